@@ -65,3 +65,31 @@ def pieces(column: pa.Array, limit: int = PIECE) -> Iterator[tuple[int, int]]:
         stop = max(start + 1, int(np.searchsorted(offs, offs[start] + limit, "right")) - 1)
         yield start, min(stop, len(column))
         start = stop
+
+
+#: Bits of a filter that the driver builds and broadcasts: 4 MB whatever the input; a fuller one only lets more rows pass.
+FILTER_BITS = 1 << 25
+
+
+def bit_filter(keys: DataFrame) -> np.ndarray:
+    """Bytes of a filter over one long column: at most FILTER_BITS / 64 rows reach the driver."""
+    low = f"`{keys.columns[0]}` & {FILTER_BITS - 1}L"
+    rows = keys.selectExpr(f"shiftright({low}, 6) AS w", f"shiftleft(1L, int(({low}) & 63)) AS b")
+    found = rows.groupBy("w").agg({"b": "bit_or"}).toDF("w", "b").toArrow()
+    out = np.zeros(FILTER_BITS // 64, np.int64)
+    out[found.column("w").to_numpy()] = found.column("b").to_numpy()
+    return out.view(np.uint8)
+
+
+def passes(bits: np.ndarray, keys: np.ndarray) -> np.ndarray:
+    """True where a 64-bit key may be in the filter."""
+    low = keys.view(np.uint64) & np.uint64(FILTER_BITS - 1)
+    return (bits[(low >> np.uint64(3)).astype(np.int64)] >> (low & np.uint64(7)).astype(np.uint8)) & 1 > 0
+
+
+def release(spark: SparkSession) -> None:
+    """Lets Spark's cleaner drop shuffle files that nothing refers to any more: phases of an operator do not add up on disk."""
+    import gc
+
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()

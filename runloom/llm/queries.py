@@ -4,10 +4,16 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from runloom.llm import compaction, decontam, mixing, quality, sanitise, secret_scan
+from runloom.llm import compaction, decontam, mixing, ngram_join, quality, sanitise, secret_scan, token_shards
 from runloom.llm.common import table, work_dir
 
 
+def op1_token_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    return token_shards.encode_table(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
+
+
 def op3_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secret_scan.scan(table(spark, sf_dir, "documents"))
 
@@ -25,6 +31,10 @@ def op6_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents"))
 
 
+def op7_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.join(table(spark, sf_dir, "documents"))
+
+
 def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
@@ -33,5 +43,6 @@ def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sanitise.scan(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op3_secret_scan, op4_sharding, op5_decontamination, op6_source_mixing, op8_quality, op10_pii)}
+_ALL = (op1_token_shards, op3_secret_scan, op4_sharding, op5_decontamination, op6_source_mixing, op7_ngram_join, op8_quality, op10_pii)
+QUERIES = {f.__name__: f for f in _ALL}
 ORACLE_SQL: dict[str, str] = {}

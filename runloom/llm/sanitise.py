@@ -19,7 +19,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from runloom.llm.common import buffers, pieces, texts, written
+from runloom.llm.common import bit_filter, buffers, passes, pieces, texts, written
 from runloom.llm.secret_scan import joined
 from runloom.llm.textnum import ALNUM, word_hashes, words
 
@@ -29,7 +29,6 @@ IP = re.compile(r"(?<![0-9])[0-9]++(\.[0-9]++)(\.[0-9]++)(\.[0-9]++)")
 CARD = re.compile(r"[0-9]([\x20-]?[0-9])+")
 PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
-TERM = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", re.I)
 WORD = re.compile(r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+")
 NOT_DIGIT = re.compile(r"[^0-9]")
 KINDS = ("email", "ip", "card", "phone", "term")
@@ -40,8 +39,6 @@ SUPPORT = 2
 DISCLOSED = 0.8
 #: Terms that tell this share of an entity are removed, others generalised.
 REMOVED = 0.97
-#: Bits of the filter that keeps counts of terms near no entity from being sent: 4 MB whatever the corpus.
-FILTER_BITS = 1 << 25
 
 
 def emails(text: str) -> Iterator[tuple[int, int]]:
@@ -109,35 +106,24 @@ def _base(batches: Iterator[pa.RecordBatch], schema: pa.Schema) -> Iterator[pa.R
 
 def _term_counts(batches: Iterator[pa.RecordBatch], kept) -> Iterator[pa.RecordBatch]:
     """Documents holding each term that may stand near an entity; one row per term and piece of text."""
-    bits, mask = kept.value, np.uint64(FILTER_BITS - 1)
+    bits = kept.value
     for batch in batches:
         column = texts(batch.column(0))
         for lo, hi in pieces(column):
             w = words(*buffers(column.slice(lo, hi - lo)), ALNUM)
-            low = w.hash & mask
-            sel = np.flatnonzero(np.unpackbits(bits[(low >> np.uint64(3)).astype(np.int64)][:, None], axis=1, bitorder="little")[np.arange(len(low)), (low & np.uint64(7)).astype(np.int64)]) if len(low) else np.zeros(0, np.int64)
+            sel = np.flatnonzero(passes(bits, w.hash))
             pairs = np.unique(np.stack([w.hash[sel].view(np.int64), w.text[sel]], axis=1), axis=0) if len(sel) else np.zeros((0, 2), np.int64)
             terms, count = np.unique(pairs[:, 0], return_counts=True)
             yield pa.RecordBatch.from_arrays([pa.array(terms, pa.int64()), pa.array(count, pa.int64())], ["term", "n"])
 
 
-def _filter_of(terms: DataFrame) -> np.ndarray:
-    """Bit array of FILTER_BITS bits, set where a term falls: at most FILTER_BITS / 64 rows reach the driver."""
-    place = F.col("term").bitwiseAND(F.lit(FILTER_BITS - 1))
-    rows = terms.select(F.shiftright(place, 6).alias("w"), F.expr(f"shiftleft(1L, int((term & {FILTER_BITS - 1}L) & 63))").alias("b")).groupBy("w").agg(F.bit_or("b").alias("b"))
-    out = np.zeros(FILTER_BITS // 64, np.int64)
-    table = rows.toArrow()
-    out[table.column("w").to_numpy()] = table.column("b").to_numpy()
-    return out.view(np.uint8)
-
-
 def disclosures(base: DataFrame, docs: DataFrame) -> DataFrame:
     """entity, term, ratio of the pairs that disclose; base: rows of BASE_SCHEMA over docs (text)."""
     spark = docs.sparkSession
     pairs = base.filter(F.size("near") > 0).select("uid", F.explode("near").alias("x")).select("uid", "x.entity", "x.term")
     in_docs = pairs.groupBy("entity", "term").agg(F.count_distinct("uid").alias("n_pair")).filter(F.col("n_pair") >= SUPPORT)
     in_docs = written(in_docs, "pii-pairs")
-    kept = spark.sparkContext.broadcast(_filter_of(in_docs.select("term")))
+    kept = spark.sparkContext.broadcast(bit_filter(in_docs.select("term")))
     counts = docs.select("text").mapInArrow(lambda b: _term_counts(b, kept), "term long, n long").groupBy("term").agg(F.sum("n").alias("n_term"))
     entities = pairs.groupBy("entity").agg(F.count_distinct("uid").alias("n_entity"))
     total = F.lit(float(base.count()))
