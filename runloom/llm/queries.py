@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from runloom.llm import compaction, decontam, mixing, ngram_join, quality, sanitise, secret_scan, token_shards
+from runloom.llm import ann, compaction, decontam, licences, mixing, ngram_join, quality, sanitise, secret_scan, token_shards
 from runloom.llm.common import table, work_dir
 
 
@@ -14,6 +14,10 @@ def op1_token_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_shards.encode_table(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op2_licences(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licences.scan(table(spark, sf_dir, "documents"))
+
+
 def op3_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secret_scan.scan(table(spark, sf_dir, "documents"))
 
@@ -39,10 +43,21 @@ def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op9_ann(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = table(spark, sf_dir, "embeddings")
+    return ann.search(rows, rows.filter("vec_id % 20 = 0"))
+
+
 def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sanitise.scan(table(spark, sf_dir, "documents"))
 
 
-_ALL = (op1_token_shards, op3_secret_scan, op4_sharding, op5_decontamination, op6_source_mixing, op7_ngram_join, op8_quality, op10_pii)
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
+_ALL = (op1_token_shards, op2_licences, op3_secret_scan, op4_sharding, op5_decontamination, op6_source_mixing, op7_ngram_join, op8_quality, op9_ann, op10_pii, pipeline)
 QUERIES = {f.__name__: f for f in _ALL}
 ORACLE_SQL: dict[str, str] = {}
