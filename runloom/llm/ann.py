@@ -56,6 +56,7 @@ class Index:
     norm: float
     near: float
     dim: int
+    everything: bool = False  # no more rows than answers: all buckets are visited
 
     @classmethod
     def fit(cls, sample: np.ndarray, queries: np.ndarray, population: int, seed: int = 7) -> Index:
@@ -100,6 +101,8 @@ class Index:
         order = np.argsort(-chance, axis=1, kind="stable")
         sorted_chance = np.take_along_axis(chance, order, 1)
         before = np.cumsum(sorted_chance, axis=1) - sorted_chance
+        if self.everything:
+            return np.ones_like(chance, bool)
         out = np.zeros_like(chance, bool)
         np.put_along_axis(out, order, before < SUCCESS, 1)
         return out
@@ -186,6 +189,7 @@ def search(rows: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_c
     x = _matrix(sample.column("v").combine_chunks(), dim)
     peak = base.agg(F.max(F.expr("aggregate(v, 0D, (s, y) -> s + y * y)")).alias("m"), F.count(F.lit(1)).alias("n")).first()
     model = Index.fit(x, x[:SAMPLE_QUERIES], peak["n"])
+    model.everything = peak["n"] <= TOP + 1
     model.norm, ratio = float(np.sqrt(peak["m"])), float(np.sqrt(peak["m"])) / model.norm
     if ratio > 1.0001:  # the corpus has longer vectors than the sample: cuts move with the lift
         model.cuts = np.quantile(model.project(x, lift=True), np.arange(1, CELLS) / CELLS, axis=1).transpose(1, 2, 0)
