@@ -5,6 +5,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 from collections.abc import Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
@@ -35,8 +36,34 @@ def written(df: DataFrame, name: str, partitions: int | None = None) -> DataFram
     """df, cut from its lineage by a Parquet table in the shared folder; a lost executor only repeats its own tasks."""
     spark = df.sparkSession
     path = work_dir(spark, name)
-    (df.coalesce(partitions) if partitions else df).write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    with shuffles_dropped(spark):
+        (df.coalesce(partitions) if partitions else df).write.parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    _paths[id(out)] = (out, path)
+    return out
+
+
+@contextmanager
+def shuffles_dropped(spark: SparkSession) -> Iterator[None]:
+    """Queries that end in here delete their shuffle files at once: phases of an operator do not add up on disk."""
+    key = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    before = spark.conf.get(key)
+    spark.conf.set(key, "true")
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
+
+
+_paths: dict[int, tuple[DataFrame, str]] = {}
+
+
+def discard(*tables: DataFrame) -> None:
+    """Deletes tables of written() that nothing reads any more."""
+    for df in tables:
+        _, path = _paths.pop(id(df))
+        where = df.sparkSession._jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(where, True)
 
 
 def texts(column: pa.Array | pa.ChunkedArray) -> pa.Array:
@@ -86,10 +113,3 @@ def passes(bits: np.ndarray, keys: np.ndarray) -> np.ndarray:
     low = keys.view(np.uint64) & np.uint64(FILTER_BITS - 1)
     return (bits[(low >> np.uint64(3)).astype(np.int64)] >> (low & np.uint64(7)).astype(np.uint8)) & 1 > 0
 
-
-def release(spark: SparkSession) -> None:
-    """Lets Spark's cleaner drop shuffle files that nothing refers to any more: phases of an operator do not add up on disk."""
-    import gc
-
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()

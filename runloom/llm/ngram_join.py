@@ -5,9 +5,10 @@
 2. Shingles are ordered rarest first by a fixed-size table of hashed counts over all sets. Of n shingles, only the first
    n - ceil(3n/4) + 1 are sent out: two linked sets must meet in one of them. A tile is one shingle with the sets sent to
    it, ordered by size; only sizes within 4/3 of each other can link.
-3. First round: inside each tile and size band, sets point to the band's first set. The best of a set's pointers is
-   checked. That joins large groups of near copies by a star, without their pairs.
-4. Second round: tiles that still hold sets of several components are joined with themselves, from the sets outside the
+3. Star rounds: inside each tile and size band, sets point to the band's first set; the best of a set's pointers is
+   checked. Then, STARS times, sets outside their tile's largest component point to a set of it. That joins large groups
+   of near copies, of which not all link, without their pairs.
+4. Last round: tiles that still hold sets of several components are joined with themselves, from the sets outside the
    tile's largest component, and every pair that sizes and places in the tiles admit is checked. No pair is left out
    but those inside one component, which cannot change it.
 A check bounds the overlap from above by the bitmaps' differing bits, then intersects the sorted arrays exactly.
@@ -20,13 +21,15 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from runloom.llm.common import bit_filter, buffers, passes, pieces, release, texts, written
+from runloom.llm.common import bit_filter, buffers, discard, passes, pieces, texts, written
 from runloom.llm.textnum import SPACED, mix, ngrams, words
 
 SHINGLE = 5
+#: Star rounds over mixed tiles before all their open pairs are checked.
+STARS = 2
 #: Bits of a set's bitmap.
 BITMAP = 1024
 #: Hashed counts that order the shingles: 1 MB a task, whatever the corpus.
@@ -209,7 +212,7 @@ def verified(pairs: DataFrame, sets: DataFrame, source: DataFrame) -> DataFrame:
     arrays = written(arrays, "join-arrays")
     both = open_pairs.join(arrays.select(F.col("sid").alias("a"), F.col("shingles").alias("x")), "a").join(arrays.select(F.col("sid").alias("b"), F.col("shingles").alias("y")), "b")
     found = written(both.select("a", "b", "x", "y").mapInArrow(_linked, "a long, b long"), "join-links")
-    release(spark)
+    discard(open_pairs, arrays)
     return found
 
 
@@ -252,15 +255,18 @@ def join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Dat
     sent = source.mapInArrow(lambda b: _prefixes(b, counters), "token long, sid long, place long")
     ordered = sent.repartition("token").sortWithinPartitions("token", "place", "sid")
     tiles = written(ordered.mapInArrow(_tiles, "token long, sid long, place long, leader long"), "join-tiles")
-    release(spark)
     votes = tiles.filter("sid <> leader").groupBy("sid", "leader").agg(F.count(F.lit(1)).alias("votes"))
     stars = votes.groupBy("sid").agg(F.max_by("leader", F.struct("votes", "leader")).alias("leader")).select(F.col("leader").alias("a"), F.col("sid").alias("b"))
     links = verified(stars, sets, source)
     labels = components(links)
-    open_pairs = _open_pairs(tiles, labels)
-    more = verified(open_pairs, sets, source)
-    if not more.isEmpty():
-        labels = components(links.union(more))
+    rows = tiles.select("token", "sid", F.shiftright("place", 31).alias("n"), F.col("place").bitwiseAND(F.lit((1 << 31) - 1)).alias("rank"))
+    rows = _mixed(rows, labels)
+    discard(tiles)
+    for seed in range(1, STARS + 1):
+        labels = _joined(labels, verified(_star_pairs(rows, seed), sets, source))
+        rows, old = _mixed(rows.drop("label", "largest"), labels), rows
+        discard(old)
+    labels = _joined(labels, verified(_open_pairs(rows), sets, source))
     by_set = documents.filter("sid is not null").groupBy("sid").agg(F.min("doc_id").alias("first"))
     by_set = by_set.join(labels.withColumnRenamed("node", "sid"), "sid", "left").withColumn("label", F.coalesce("label", "sid"))
     by_set = written(by_set, "join-sets-labelled")
@@ -269,22 +275,53 @@ def join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Dat
     return documents.join(by_set, "sid", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("sid").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
 
 
-def _open_pairs(tiles: DataFrame, labels: DataFrame) -> DataFrame:
-    """Pairs a, b of sets of different components that meet in a tile, as far as sizes and ranks admit a link."""
-    rows = tiles.select("token", "sid", F.shiftright("place", 31).alias("n"), F.col("place").bitwiseAND(F.lit((1 << 31) - 1)).alias("rank"))
+def _joined(labels: DataFrame, links: DataFrame) -> DataFrame:
+    """labels (node, label) after more links: components of the components that the links join."""
+    if links.isEmpty():
+        return labels
+    of = lambda end: labels.select(F.col("node").alias(end), F.col("label").alias(f"{end}_label"))
+    between = links.join(of("a"), "a", "left").join(of("b"), "b", "left").select(F.coalesce("a_label", "a").alias("a"), F.coalesce("b_label", "b").alias("b"))
+    step = components(written(between.filter("a <> b").distinct(), "join-between")).select(F.col("node").alias("label"), F.col("label").alias("next"))
+    known = labels.union(links.select("a", "a")).union(links.select("b", "b")).groupBy("node").agg(F.min(F.struct((F.col("node") == F.col("label")).alias("new"), "label")).alias("x"))
+    known = known.select("node", "x.label")
+    return written(known.join(step, "label", "left").select("node", F.coalesce("next", "label").alias("label")), "join-labels")
+
+
+def _mixed(rows: DataFrame, labels: DataFrame) -> DataFrame:
+    """Rows of the tiles that hold sets of several components: with their component and the tile's largest one.
+
+    Components only grow, so a tile that is left out once stays out.
+    """
     rows = rows.join(labels.withColumnRenamed("node", "sid"), "sid", "left").withColumn("label", F.coalesce("label", "sid"))
-    rows = written(rows, "join-labelled")
     by_label = rows.groupBy("token", "label").agg(F.count(F.lit(1)).alias("rows"))
     largest = by_label.groupBy("token").agg(F.max_by("label", F.struct("rows", "label")).alias("largest"), F.count(F.lit(1)).alias("labels")).filter("labels > 1")
-    mixed = written(rows.join(largest.select("token", "largest"), "token"), "join-mixed")
-    x, y = mixed.filter("label <> largest").alias("x"), mixed.alias("y")
-    left = F.least(F.expr("x.n - x.rank"), F.expr("y.n - y.rank"))  # shared elements from this shingle on, at most
-    met = (
-        x.join(y, F.expr("x.token = y.token AND x.label <> y.label AND (y.label = y.largest OR x.sid < y.sid)"))
-        .filter(F.expr("4 * least(x.n, y.n) >= 3 * greatest(x.n, y.n)") & (7 * left >= F.expr("3 * (x.n + y.n)")))
-        .select(F.expr("least(x.sid, y.sid)").alias("a"), F.expr("greatest(x.sid, y.sid)").alias("b"))
-    )
-    return met.distinct()
+    return written(rows.join(largest.select("token", "largest"), "token"), "join-mixed")
+
+
+#: Sizes and ranks of x and y admit a link: from the shared shingle on, enough elements are left to be shared.
+_ADMITS = "4 * least(x.n, y.n) >= 3 * greatest(x.n, y.n) AND 7 * least(x.n - x.rank, y.n - y.rank) >= 3 * (x.n + y.n)"
+
+
+def _star_pairs(rows: DataFrame, seed: int) -> DataFrame:
+    """a, b: each set outside its tile's largest component with one set of that component, drawn by hash; the pair met most often."""
+    drawn = F.struct(F.xxhash64("sid", F.lit(seed)).alias("h"), "sid", "n", "rank")
+    target = rows.filter("label = largest").groupBy("token").agg(F.min(drawn).alias("d")).select("token", "d.sid", "d.n", "d.rank").alias("y")
+    met = rows.filter("label <> largest").alias("x").join(target, F.expr(f"x.token = y.token AND {_ADMITS}"))
+    votes = met.groupBy(F.col("x.sid").alias("b"), F.col("y.sid").alias("a")).agg(F.count(F.lit(1)).alias("votes"))
+    return votes.groupBy("b").agg(F.max_by("a", F.struct("votes", "a")).alias("a")).select("a", "b")
+
+
+def _open_pairs(rows: DataFrame) -> DataFrame:
+    """Pairs a, b of sets of different components that meet in a tile, as far as sizes and ranks admit a link.
+
+    A pair is made once, in the first tile where it meets: rows carry their set's earlier shingles of mixed tiles, and tiles that
+    two sets of different components share are mixed.
+    """
+    earlier = F.collect_list("token").over(Window.partitionBy("sid").orderBy("rank").rowsBetween(Window.unboundedPreceding, -1))
+    rows = rows.withColumn("earlier", earlier)
+    x, y = rows.filter("label <> largest").alias("x"), rows.alias("y")
+    met = x.join(y, F.expr(f"x.token = y.token AND x.label <> y.label AND (y.label = y.largest OR x.sid < y.sid) AND {_ADMITS} AND NOT arrays_overlap(x.earlier, y.earlier)"))
+    return met.select(F.expr("least(x.sid, y.sid)").alias("a"), F.expr("greatest(x.sid, y.sid)").alias("b"))
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
