@@ -14,6 +14,7 @@ share words.
 from __future__ import annotations
 
 import re
+import struct
 import zlib
 from collections.abc import Iterator
 
@@ -37,10 +38,18 @@ END_ID = 2
 #: characters: no token crosses that place.
 _SPACE = r"\t-\r\x20\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 CHUNK = re.compile(rf"[{_SPACE}]*[^{_SPACE}]+|[{_SPACE}]+")
-#: Texts in which a space or line feed stands alone between other characters throughout are cut by str.split.
-ODD_SPACE = re.compile(r"[\t\x0b-\r\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]|[\x20\n][\x20\n]|\A[\x20\n]|[\x20\n]\Z")
+#: White space, single or doubled, that keeps a text from being cut by str.split alone.
+ODD = ("\t", "\x0b", "\x0c", "\r", "  ", " \n", "\n ", "\n\n")
+ODD_WIDE = tuple("\x85\xa0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000")
+
+
+def plainly_spaced(text: str) -> bool:
+    """A space or line feed stands alone between other characters throughout."""
+    return not (not text or text[0] in " \n" or text[-1] in " \n" or any(x in text for x in ODD) or (not text.isascii() and any(x in text for x in ODD_WIDE)))
+
+
 #: Most chunks that a worker remembers.
-MEMORY = 400_000
+MEMORY = 1_000_000
 
 
 def encode(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -134,6 +143,10 @@ def decode(words: np.ndarray, offsets: np.ndarray, n_ids: int) -> np.ndarray:
     return out[:n_ids]
 
 
+def pack(*ids: int) -> bytes:
+    return struct.pack(f"<{len(ids)}I", *ids)
+
+
 class ChunkEncoder:
     """Ids of whole texts by the tokenizers library. Chunks seen before are taken from memory; new ones are joined and encoded in one call."""
 
@@ -148,6 +161,9 @@ class ChunkEncoder:
         added = self.tokenizer.get_added_tokens_decoder()
         # every other token is spelled with one character per byte
         self.n_bytes = np.array([len(added[i].content.encode()) if i in added else len(self.tokenizer.id_to_token(i) or "") for i in range(size)], np.int64)
+        # the byte alphabet: printable bytes spell themselves, the others follow from 256 on
+        plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+        self.spelled = {b: b for b in plain} | {b: 256 + k for k, b in enumerate(b for b in range(256) if b not in plain)}
         self.spaced: dict[str, bytes] = {}  # "x" stands for " x", "\nx" for itself
         self.plain: dict[str, bytes] = {}  # first chunks, and those of oddly spaced texts
 
@@ -159,14 +175,31 @@ class ChunkEncoder:
             cut = np.searchsorted(np.cumsum(self.n_bytes[ids]), np.cumsum([len(c.encode()) for c in part])) + 1
             yield from (ids[a:b].tobytes() for a, b in zip(np.concatenate([[0], cut[:-1]]), cut))
 
+    def _spaced(self, new: list[str]) -> Iterator[tuple[str, bytes]]:
+        """Ids of new chunks. A full stop or comma after a letter or digit is a token of its own, so those chunks are put together."""
+        ended = [x for x in new if x[-1] in ".," and x[-2:-1].isalnum()]
+        bare = {x[:-1] for x in ended}
+        bare.update(x for x in new if not (x[-1] in ".," and x[-2:-1].isalnum()))
+        bare.difference_update(self.spaced)
+        whole = [x for x in bare if x.isalpha() and max(x) < "\u0250"]  # " x" is one unit of the splitter
+        tokenize, spelled = self.tokenizer.model.tokenize, self.spelled
+        learned = {x: pack(*[t.id for t in tokenize(f" {x}".encode().decode("latin-1").translate(spelled))]) for x in whole}
+        other = list(bare.difference(learned))
+        learned.update(zip(other, self._joined([x if x[0] == "\n" else " " + x for x in other])))
+        yield from learned.items()
+        mark = {c: np.array(self.tokenizer.encode(c, add_special_tokens=False).ids, np.uint32).tobytes() for c in ".,"}
+        known = self.spaced
+        for x in ended:
+            yield x, (learned.get(x[:-1]) or known[x[:-1]]) + mark[x[-1]]
+
     def encode(self, column: list[str]) -> list[bytes]:
         """Ids of each text as little-endian unsigned 32-bit integers."""
-        regular = [not ODD_SPACE.search(t) and bool(t) for t in column]
+        regular = [plainly_spaced(t) for t in column]
         cut = [t.replace("\n", " \n").split(" ") if ok else CHUNK.findall(t) for t, ok in zip(column, regular)]
         firsts = [x.pop(0) if ok else "" for x, ok in zip(cut, regular)]
         spaced = list(set().union(*(x for x, ok in zip(cut, regular) if ok)).difference(self.spaced))
         plain = list(set(firsts).union(*(x for x, ok in zip(cut, regular) if not ok)).difference(self.plain))
-        spaced_now = self._remember(self.spaced, zip(spaced, self._joined([x if x[0] == "\n" else " " + x for x in spaced])))
+        spaced_now = self._remember(self.spaced, self._spaced(spaced))
         found = self.tokenizer.encode_batch(plain, add_special_tokens=False)
         plain_now = self._remember(self.plain, zip(plain, (np.array(e.ids, np.uint32).tobytes() for e in found)))
         return [plain_now(f) + b"".join(map(spaced_now if ok else plain_now, x)) for f, x, ok in zip(firsts, cut, regular)]
