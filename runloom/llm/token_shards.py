@@ -24,7 +24,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from runloom.llm.common import texts, work_dir
+from runloom.llm.common import pieces, texts, work_dir
 
 #: Ids in a word and their bits, by selector; selector 0 is the escape.
 COUNT = np.array([1, 60, 30, 20, 15, 12, 10, 8, 7, 6, 5, 4, 3, 2, 1], np.int64)
@@ -34,6 +34,8 @@ RUN = 512
 #: A block is closed after the document that reaches this many ids.
 BLOCK_IDS = 1 << 20
 END_ID = 2
+#: Bytes of text encoded at once: what chunks they share is looked up once.
+ENCODE_BYTES = 4 << 20
 #: Fixed value: Unicode white space, as the tokenizer's splitter has it. A text may be cut before white space that follows other
 #: characters: no token crosses that place.
 _SPACE = r"\t-\r\x20\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
@@ -143,8 +145,11 @@ def decode(words: np.ndarray, offsets: np.ndarray, n_ids: int) -> np.ndarray:
     return out[:n_ids]
 
 
+_PACKED = [struct.Struct(f"<{n}I").pack for n in range(64)]
+
+
 def pack(*ids: int) -> bytes:
-    return struct.pack(f"<{len(ids)}I", *ids)
+    return _PACKED[len(ids)](*ids) if len(ids) < 64 else struct.pack(f"<{len(ids)}I", *ids)
 
 
 class ChunkEncoder:
@@ -181,9 +186,10 @@ class ChunkEncoder:
         bare = {x[:-1] for x in ended}
         bare.update(x for x in new if not (x[-1] in ".," and x[-2:-1].isalnum()))
         bare.difference_update(self.spaced)
-        whole = [x for x in bare if x.isalpha() and max(x) < "\u0250"]  # " x" is one unit of the splitter
+        whole = [x for x in bare if x.isalpha() and (x.isascii() or max(x) < "\u0250")]  # " x" is one unit of the splitter
         tokenize, spelled = self.tokenizer.model.tokenize, self.spelled
-        learned = {x: pack(*[t.id for t in tokenize(f" {x}".encode().decode("latin-1").translate(spelled))]) for x in whole}
+        spell = lambda x: "\u0120" + (x if x.isascii() else x.encode().decode("latin-1").translate(spelled))
+        learned = {x: pack(*[t.id for t in tokenize(spell(x))]) for x in whole}
         other = list(bare.difference(learned))
         learned.update(zip(other, self._joined([x if x[0] == "\n" else " " + x for x in other])))
         yield from learned.items()
@@ -233,8 +239,8 @@ def _blocks(batches: Iterator[pa.RecordBatch], vocabulary: str, id_type: pa.Data
 
     for batch in batches:
         column, names = texts(batch.column(1)), batch.column(0).to_pylist()
-        for lo in range(0, len(names), 256):
-            for name, data in zip(names[lo : lo + 256], encoder.encode(column.slice(lo, 256).to_pylist())):
+        for lo, hi in pieces(column, ENCODE_BYTES):
+            for name, data in zip(names[lo:hi], encoder.encode(column.slice(lo, hi - lo).to_pylist())):
                 ids.append(name)
                 parts.append(data + end)
                 size += len(parts[-1]) // 4
