@@ -617,11 +617,11 @@ def stream_events(spark, d):
     rows = read(spark, d, "events").select(F.col("user_id").cast("long").alias("user_id"), F.col("ts").cast("timestamp").alias("ts"), F.col("event_id").cast("long").alias("event_id"), "event_type")
     for k in range(3):
         rows.filter(F.pmod("event_id", F.lit(3)) == k).coalesce(1).write.parquet(f"{source}/part{k}")
-    closing = rows.agg(F.lit(-1).cast("long").alias("user_id"), (F.max("ts") + F.expr("INTERVAL 30 DAYS")).alias("ts"), F.lit(-1).cast("long").alias("event_id"), F.lit("end").alias("event_type"))
+    closing = rows.agg(F.lit(-1).cast("long").alias("user_id"), (F.max("ts") + F.expr("INTERVAL 7300 DAYS")).alias("ts"), F.lit(-1).cast("long").alias("event_id"), F.lit("end").alias("event_type"))
     closing.write.parquet(f"{source}/part3")
     schema = "user_id long, ts timestamp, event_id long, event_type string"
     out = shared_dir(spark, "stream-out")
-    found = match_stream.match_available(source, spark, schema, D.EVENTS, "user_id", "ts", "event_id", "event_type", out, shared_dir(spark, "stream-state"))
+    found = match_stream.match_available(source, spark, schema, D.EVENTS, "user_id", "ts", "event_id", "event_type", out, shared_dir(spark, "stream-state"), "3650 days")
     return found.select("seq_id", "pattern_id", "start")
 
 

@@ -83,10 +83,10 @@ def match_stream(events: DataFrame, patterns, key: str, ts: str, order: str, sym
     return rows.groupBy("seq_id").applyInPandasWithState(step, f"seq_id {kind}, pattern_id long, start long, ts_us long", "state string", "append", GroupStateTimeout.EventTimeTimeout)
 
 
-def match_available(events_path: str, spark, schema: str, patterns, key: str, ts: str, order: str, sym: str, out: str, checkpoint: str) -> DataFrame:
+def match_available(events_path: str, spark, schema: str, patterns, key: str, ts: str, order: str, sym: str, out: str, checkpoint: str, delay: str = "0 seconds") -> DataFrame:
     """All files now below events_path as a stream into Parquet. Rows wait for the watermark: the newest file should end with a closing row."""
     stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", True).parquet(events_path)
-    matched = match_stream(stream, patterns, key, ts, order, sym)
+    matched = match_stream(stream, patterns, key, ts, order, sym, delay)
     query = matched.writeStream.format("parquet").option("path", out).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     query.awaitTermination()
     return spark.read.schema(matched.schema).parquet(out)
