@@ -105,8 +105,16 @@ def _base(batches: Iterator[pa.RecordBatch], schema: pa.Schema) -> Iterator[pa.R
 
 
 def _term_counts(batches: Iterator[pa.RecordBatch], kept) -> Iterator[pa.RecordBatch]:
-    """Documents holding each term that may stand near an entity; one row per term and piece of text."""
+    """Documents holding each term that may stand near an entity; one row per term and task."""
     bits = kept.value
+    open_terms, open_counts, size = [], [], 0
+
+    def summed() -> tuple[np.ndarray, np.ndarray]:
+        if not open_terms:
+            return np.zeros(0, np.int64), np.zeros(0, np.int64)
+        names, place = np.unique(np.concatenate(open_terms), return_inverse=True)
+        return names, np.bincount(place.reshape(-1), np.concatenate(open_counts), len(names)).astype(np.int64)
+
     for batch in batches:
         column = texts(batch.column(0))
         for lo, hi in pieces(column):
@@ -114,7 +122,14 @@ def _term_counts(batches: Iterator[pa.RecordBatch], kept) -> Iterator[pa.RecordB
             sel = np.flatnonzero(passes(bits, w.hash))
             pairs = np.unique(np.stack([w.hash[sel].view(np.int64), w.text[sel]], axis=1), axis=0) if len(sel) else np.zeros((0, 2), np.int64)
             terms, count = np.unique(pairs[:, 0], return_counts=True)
-            yield pa.RecordBatch.from_arrays([pa.array(terms, pa.int64()), pa.array(count, pa.int64())], ["term", "n"])
+            open_terms.append(terms)
+            open_counts.append(count)
+            size += len(terms)
+            if size > 1 << 20:  # merge, so that memory follows the distinct terms
+                names, counts = summed()
+                open_terms, open_counts, size = [names], [counts], len(names) // 2
+    names, counts = summed()
+    yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array(counts, pa.int64())], ["term", "n"])
 
 
 def disclosures(base: DataFrame, docs: DataFrame) -> DataFrame:
