@@ -1,17 +1,20 @@
-"""PII by base patterns, and information-theoretic sanitisation of the terms around it.
+"""PII by base patterns, and information-theoretic sanitisation of the terms that stand in the same documents.
 
 Base entities (mail, IP, card, phone) are the protected entities. Over the whole corpus, n(t) documents hold term t,
-n(e) hold entity e, and in n(e,t) documents t stands within REACH words of e. A term tells
-PMI(e;t) = log2(n(e,t) N / (n(e) n(t))) of the IC(e) = log2(N / n(e)) bits that the entity itself carries. Terms that
-tell at least DISCLOSED of them, in at least SUPPORT documents, are spans of kind "term": a sanitised text replaces
-them by a general class, or removes those that tell nearly all.
+n(e) hold entity e, and n(e,t) hold both, t outside the base spans. A term tells PMI(e;t) = log2(n(e,t) N / (n(e) n(t)))
+of the IC(e) = log2(N / n(e)) bits that the entity itself carries. Terms that tell at least DISCLOSED of them, in at
+least SUPPORT documents, are spans of kind "term" wherever they stand in a document with an entity. An entity of fewer
+documents than SUPPORT asks for all it has: of a single document, the terms in at most N ** (1 - DISCLOSED) documents
+disclose it. A sanitised text replaces terms by a general class, or removes those that tell nearly all.
 """
 
 from __future__ import annotations
 
 import hashlib
+import math
 import re
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -21,7 +24,7 @@ from pyspark.sql import functions as F
 
 from runloom.llm.common import bit_filter, buffers, passes, pieces, texts, written
 from runloom.llm.secret_scan import joined
-from runloom.llm.textnum import ALNUM, word_hashes, words
+from runloom.llm.textnum import ALNUM, words
 
 #: The base patterns, with ends that give the same matches in linear time.
 DOMAIN = re.compile(r"[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+")
@@ -29,14 +32,14 @@ IP = re.compile(r"(?<![0-9])[0-9]++(\.[0-9]++)(\.[0-9]++)(\.[0-9]++)")
 CARD = re.compile(r"[0-9]([\x20-]?[0-9])+")
 PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
-WORD = re.compile(r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+")
 NOT_DIGIT = re.compile(r"[^0-9]")
 KINDS = ("email", "ip", "card", "phone", "term")
 LABEL = {"email": "[EMAIL]", "ip": "[IP]", "card": "[CARD]", "phone": "[PHONE]"}
 
-REACH = 8
 SUPPORT = 2
 DISCLOSED = 0.8
+#: Entities are told apart by powers of this number of documents when rare terms are looked up.
+LEVEL = 16
 #: Terms that tell this share of an entity are removed, others generalised.
 REMOVED = 0.97
 
@@ -72,26 +75,35 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
     return sorted(out)
 
 
-def _near(text: str, spans: list[tuple[int, int, int]]) -> list[dict]:
-    """Terms within REACH words of each base span, outside all base spans: entity, term, start, end."""
-    out = []
-    for s, k, e in spans:
-        entity = int.from_bytes(hashlib.blake2b(f"{KINDS[k]}:{text[s:e]}".encode(), digest_size=8).digest(), "little", signed=True)
-        low, high = max(0, s - 40 * REACH), e + 40 * REACH
-        left = [m for m in WORD.finditer(text, low, s) if m.start() > low or low == 0][-REACH:]
-        right = [m for m in WORD.finditer(text, e, high) if m.end() < high or high >= len(text)][:REACH]
-        near = [m for m in left + right if not any(a < m.end() and m.start() < b for a, _, b in spans)]
-        folded = [m[0].translate(_LOWER).encode() for m in near]
-        for m, h in zip(near, word_hashes(folded) if folded else ()):
-            out.append({"entity": entity, "term": int(h.view(np.int64)), "start": m.start(), "end": m.end()})
-    return out
+@dataclass
+class Terms:
+    """Terms of one text outside its base spans, in order: hash, start and end in code points."""
 
+    hash: np.ndarray
+    start: np.ndarray
+    end: np.ndarray
 
-_LOWER = {c: c + 32 for c in range(65, 91)}
-BASE_SCHEMA = "uid long, doc_id {id_type}, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans array<struct<start:int,kind:int,end:int>>, near array<struct<entity:long,term:long,start:int,end:int>>"
+
+def terms(text: str, spans: list[tuple[int, int, int]]) -> Terms:
+    raw = np.frombuffer(text.encode(), np.uint8)
+    w = words(raw, np.array([0, len(raw)]), ALNUM)
+    point = np.concatenate([[0], np.cumsum((raw & 0xC0) != 0x80)])  # code points before each byte
+    start, end = point[w.start], point[w.end]
+    base = np.zeros(len(text) + 1, np.int64)
+    for s, _, e in spans:
+        base[s] += 1
+        base[e] -= 1
+    covered = np.concatenate([[0], np.cumsum(np.cumsum(base) > 0)])
+    free = covered[start] == covered[end]
+    return Terms(w.hash[free].view(np.int64), start[free], end[free])
+
+
+SPAN = "struct<start:int,kind:int,end:int>"
+BASE_SCHEMA = f"uid long, doc_id {{id_type}}, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans array<{SPAN}>, entities array<long>, text string"
 
 
 def _base(batches: Iterator[pa.RecordBatch], schema: pa.Schema) -> Iterator[pa.RecordBatch]:
+    """Rows of BASE_SCHEMA; only texts with entities are carried on."""
     uid = TaskContext.get().partitionId() << 36
     for batch in batches:
         rows = []
@@ -99,13 +111,53 @@ def _base(batches: Iterator[pa.RecordBatch], schema: pa.Schema) -> Iterator[pa.R
             spans = base_spans(text)
             counts = [sum(k == n for _, k, _ in spans) for n in range(4)]
             marks = [{"start": s, "kind": k, "end": e} for s, k, e in spans]
-            rows.append((uid, doc_id, *counts, hashlib.sha256(joined(spans, KINDS).encode()).hexdigest(), marks, _near(text, spans) if spans else []))
+            entities = sorted({int.from_bytes(hashlib.blake2b(f"{KINDS[k]}:{text[s:e]}".encode(), digest_size=8).digest(), "little", signed=True) for s, k, e in spans})
+            rows.append((uid, doc_id, *counts, hashlib.sha256(joined(spans, KINDS).encode()).hexdigest(), marks, entities, text if spans else None))
             uid += 1
         yield pa.RecordBatch.from_arrays([pa.array([r[j] for r in rows], f.type) for j, f in enumerate(schema)], schema=schema)
 
 
+def _spans(column: pa.Array) -> Iterator[list[tuple[int, int, int]]]:
+    for row in column.to_pylist():
+        yield [(x["start"], x["kind"], x["end"]) for x in row]
+
+
+def _vocabulary(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Terms of texts with entities, each once a batch at least."""
+    for batch in batches:
+        if batch.num_rows:
+            found = [terms(t, s).hash for t, s in zip(batch.column(0).to_pylist(), _spans(batch.column(1)))]
+            yield pa.RecordBatch.from_arrays([pa.array(np.unique(np.concatenate(found)), pa.int64())], ["term"])
+
+
+def _pairs(batches: Iterator[pa.RecordBatch], rare) -> Iterator[pa.RecordBatch]:
+    """entity, n_entity, term: a row for each document that holds both, of terms rare enough for the entity's level."""
+    for batch in batches:
+        out: list[list] = [[np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]]
+        for text, spans, entities in zip(batch.column(0).to_pylist(), _spans(batch.column(1)), batch.column(2).to_pylist()):
+            own = np.unique(terms(text, spans).hash)
+            by_level = {k: own[passes(bits, own)] for k, bits in rare.value.items() if any(e["level"] == k for e in entities)}
+            for e in entities:
+                found = by_level[e["level"]]
+                for column, x in zip(out, (np.full(len(found), e["entity"]), np.full(len(found), e["n_entity"]), found)):
+                    column.append(x)
+        yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c), pa.int64()) for c in out], ["entity", "n_entity", "term"])
+
+
+def _places(batches: Iterator[pa.RecordBatch], kept) -> Iterator[pa.RecordBatch]:
+    """uid, term, start, end of every occurrence of a term that may disclose."""
+    for batch in batches:
+        out: list[list] = [[np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]]
+        for uid, text, spans in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), _spans(batch.column(2))):
+            t = terms(text, spans)
+            at = passes(kept.value, t.hash)
+            for column, x in zip(out, (np.full(int(at.sum()), uid), t.hash[at], t.start[at], t.end[at])):
+                column.append(x)
+        yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c), k) for c, k in zip(out, (pa.int64(), pa.int64(), pa.int32(), pa.int32()))], ["uid", "term", "start", "end"])
+
+
 def _term_counts(batches: Iterator[pa.RecordBatch], kept) -> Iterator[pa.RecordBatch]:
-    """Documents holding each term that may stand near an entity; one row per term and task."""
+    """Documents holding each term that may stand with an entity; one row per term and task."""
     bits = kept.value
     open_terms, open_counts, size = [], [], 0
 
@@ -133,18 +185,32 @@ def _term_counts(batches: Iterator[pa.RecordBatch], kept) -> Iterator[pa.RecordB
 
 
 def disclosures(base: DataFrame, docs: DataFrame) -> DataFrame:
-    """entity, term, ratio of the pairs that disclose; base: rows of BASE_SCHEMA over docs (text)."""
+    """term and the largest ratio it reaches, of the terms that disclose an entity; base: rows of BASE_SCHEMA over docs (text)."""
     spark = docs.sparkSession
-    pairs = base.filter(F.size("near") > 0).select("uid", F.explode("near").alias("x")).select("uid", "x.entity", "x.term")
-    in_docs = pairs.groupBy("entity", "term").agg(F.count_distinct("uid").alias("n_pair")).filter(F.col("n_pair") >= SUPPORT)
-    in_docs = written(in_docs, "pii-pairs")
-    kept = spark.sparkContext.broadcast(bit_filter(in_docs.select("term")))
+    private = base.filter(F.size("entities") > 0)
+    total = base.count()
+    held = private.select("uid", F.explode("entities").alias("e"))
+    # entities of the same documents have the same counts with every term: one stands for all
+    known = held.groupBy("e").agg(F.count(F.lit(1)).alias("n_entity"), F.sum(F.xxhash64("uid").cast("decimal(20,0)")).alias("documents"))
+    known = known.select("e", "n_entity", F.xxhash64("documents", "n_entity").alias("entity")).filter(F.col("n_entity") < total)
+    level = F.floor(F.log(F.col("n_entity") + F.lit(0.5)) / math.log(LEVEL)).cast("int")
+    classes = held.join(known, "e").groupBy("uid").agg(F.collect_set(F.struct("entity", "n_entity", level.alias("level"))).alias("classes"))
+    marked = written(private.select("uid", "text", "spans").join(classes, "uid"), "pii-private").select("text", "spans", "classes")
+    kept = spark.sparkContext.broadcast(bit_filter(marked.select("text", "spans").mapInArrow(_vocabulary, "term long")))
     counts = docs.select("text").mapInArrow(lambda b: _term_counts(b, kept), "term long, n long").groupBy("term").agg(F.sum("n").alias("n_term"))
-    entities = pairs.groupBy("entity").agg(F.count_distinct("uid").alias("n_entity"))
-    total = F.lit(float(base.count()))
-    told = F.log2(F.col("n_pair") * total / (F.col("n_entity") * F.col("n_term"))) / F.log2(total / F.col("n_entity"))
-    joint = in_docs.join(entities, "entity").join(counts, "term").filter(F.col("n_entity") < total)
-    return joint.select("entity", "term", told.alias("ratio")).filter(F.col("ratio") >= DISCLOSED)
+    counts = written(counts, "pii-terms")
+    # n_pair is at most n_entity, so a term that discloses is in at most N ** (1 - DISCLOSED) * n_entity ** DISCLOSED documents
+    rare = {}
+    for k in sorted(r["level"] for r in known.select(level.alias("level")).distinct().collect()):
+        most = total ** (1 - DISCLOSED) * float(LEVEL) ** ((k + 1) * DISCLOSED)
+        rare[k] = bit_filter(counts.filter(F.col("n_term") <= most * (1 + 1e-9)).select("term"))
+    shared = spark.sparkContext.broadcast(rare)
+    pairs = marked.mapInArrow(lambda b: _pairs(b, shared), "entity long, n_entity long, term long").groupBy("entity", "n_entity", "term").agg(F.count(F.lit(1)).alias("n_pair"))
+    pairs = pairs.filter(F.col("n_pair") >= F.least(F.lit(SUPPORT), "n_entity"))
+    n = F.lit(float(total))
+    told = F.log2(F.col("n_pair") * n / (F.col("n_entity") * F.col("n_term"))) / F.log2(n / F.col("n_entity"))
+    joint = pairs.join(counts, "term").select("term", told.alias("ratio")).filter(F.col("ratio") >= DISCLOSED)
+    return written(joint.groupBy("term").agg(F.max("ratio").alias("ratio")), "pii-found")
 
 
 def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -161,13 +227,14 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Dat
     schema = to_arrow_schema(StructType.fromDDL(ddl))
     base = written(source.mapInArrow(lambda b: _base(b, schema), ddl), "pii-base")
     found = disclosures(base, source)
-    near = base.filter(F.size("near") > 0).select("uid", F.explode("near").alias("x")).select("uid", "x.*")
-    terms = near.join(found, ["entity", "term"]).groupBy("uid", "start", "end").agg(F.max("ratio").alias("ratio"))
+    kept = docs.sparkSession.sparkContext.broadcast(bit_filter(found.select("term")))
+    places = base.filter(F.size("entities") > 0).select("uid", "text", "spans").mapInArrow(lambda b: _places(b, kept), "uid long, term long, start int, end int")
+    terms = places.join(found, "term")
     terms = terms.groupBy("uid").agg(F.collect_list(F.struct("start", F.lit(4).alias("kind"), "end", "ratio")).alias("terms"))
     marks = F.array_sort(F.concat(F.expr("transform(spans, s -> struct(s.start as start, s.kind as kind, s.end as end, 1D as ratio))"), F.coalesce("terms", F.expr("cast(array() as array<struct<start:int,kind:int,end:int,ratio:double>>)"))))
     names = ", ".join(f"'{k}'" for k in KINDS)
     text = F.array_join(F.transform("marks", lambda m: F.concat_ws(":", F.element_at(F.expr(f"array({names})"), m["kind"] + 1), m["start"], m["end"])), ",")
-    rows = base.drop("near").join(terms, "uid", "left").withColumn("marks", marks)
+    rows = base.drop("text", "entities").join(terms, "uid", "left").withColumn("marks", marks)
     return rows.select("doc_id", "n_email", "n_ip", "n_card", "n_phone", "base_sha256", text.alias("spans"), F.coalesce(F.size("terms"), F.lit(0)).cast("long").alias("n_term"), "marks")
 
 

@@ -402,6 +402,41 @@ def test_terms_that_disclose(spark):
     assert "Zorblax" not in text and "[EMAIL]" in text and "common words here" in text
 
 
+def disclosing(rows):
+    """(doc number, start, end) of every term span, by counting whole documents."""
+    docs = []
+    for _, text in rows:
+        spans = sanitise.base_spans(text or "")
+        t = (text or "").translate(LOW)
+        free = [(m[0], m.start(), m.end()) for m in ALNUM.finditer(t) if not any(a < m.end() and m.start() < b for a, _, b in spans)]
+        docs.append(({(k, text[a:b]) for a, k, b in spans}, set(ALNUM.findall(t)), free))
+    n, n_term, n_entity, n_pair = len(docs), Counter(), Counter(), Counter()
+    for entities, all_words, free in docs:
+        n_term.update(all_words)
+        n_entity.update(entities)
+        n_pair.update((e, w) for e in entities for w in {w for w, _, _ in free})
+    told = {w for (e, w), k in n_pair.items() if n_entity[e] < n and k >= min(2, n_entity[e]) and np.log2(k * n / (n_entity[e] * n_term[w])) >= 0.8 * np.log2(n / n_entity[e])}
+    return {(j, a, b) for j, (entities, _, free) in enumerate(docs) if entities for w, a, b in free if w in told}
+
+
+def term_spans(out):
+    return {(r["doc_id"], m["start"], m["end"]) for r in out for m in r["marks"] if m["kind"] == 4}
+
+
+def test_terms_are_counted_and_marked_over_whole_documents(spark, small):
+    far = " ".join(["common words here"] * 10)
+    rows = [(k, f"secret.person@mail.com {far} Zorblax {far} Zorblax" if k else f"Zorblax secret.person@mail.com {far} é Zorblax") for k in range(3)]
+    rows += [(3, f"other@mail.com {far} Onlyhere {far}")] + [(k, f"{far} and nothing else") for k in range(4, 44)]
+    out = sanitise.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    marked = term_spans(out)
+    words = Counter(rows[k][1][a:b] for k, a, b in marked)
+    assert words == {"Zorblax": 6, "Onlyhere": 1} and marked == disclosing(rows)
+    listed = list(enumerate(r["text"] for r in given(small)))
+    df = spark.createDataFrame(listed, "doc_id long, text string")
+    want = disclosing(listed)
+    assert term_spans(sanitise.scan(df).collect()) == want and len(want) > 100
+
+
 # --- pipeline ------------------------------------------------------------------------------------------------------------
 
 
