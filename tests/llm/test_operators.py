@@ -437,6 +437,13 @@ def test_terms_are_counted_and_marked_over_whole_documents(spark, small):
     assert term_spans(sanitise.scan(df).collect()) == want and len(want) > 100
 
 
+def test_terms_beyond_long_words_and_gaps(spark):
+    gap, run = "-" * 700, "语" * 500
+    rows = [(k, f"Zorblax {gap} secret.person@mail.com {run} {gap} Quuxfar") for k in range(3)] + [(k, "nothing else here") for k in range(3, 43)]
+    out = sanitise.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert {rows[k][1][a:b] for k, a, b in term_spans(out)} == {"Zorblax", "Quuxfar", run}
+
+
 # --- pipeline ------------------------------------------------------------------------------------------------------------
 
 
