@@ -1,13 +1,15 @@
 """Secret scans: base patterns, and assignment-aware lexing of source and configuration syntax.
 
-The lexer reads name-literal pairs (name = "x", name: x, "name" => 'x', export NAME=x), keeps the constants of a
-document, follows references to them (name = OTHER, ${OTHER}), and scores each literal by the words of its target
-name and by its own look. A literal scored at least THRESHOLD is reported where it is written, as kind "literal".
+The lexer reads name-literal pairs (name = "x", name: x, "name" => 'x', export NAME=x, name: type = "x"), in literals of
+any quotes with escapes, over several lines too, and in indented blocks. It collects the constants of a document, follows
+references to them wherever they are defined (name = OTHER, ${OTHER}, "${OTHER}"), and scores each literal by the words of the
+names that it reaches and by its own look. A literal scored at least THRESHOLD is reported where it is written, as kind "literal".
 """
 
 from __future__ import annotations
 
 import hashlib
+import heapq
 import math
 import re
 from collections.abc import Iterator
@@ -25,12 +27,22 @@ HEX = re.compile(r"[0-9a-f]{24,}")
 ASSIGN_NAMES = ("password", "passwd", "secret", "token", "api")
 KINDS = ("assign", "access", "hex", "literal")
 
-#: One name-literal pair. Names and bare values are possessive: the lexer stays linear.
+#: One name-literal pair. Names, types, literals and bare values are possessive: the lexer stays linear.
 PAIR = re.compile(
-    r"""(?<![A-Za-z0-9_.-])(?P<name>[A-Za-z_][A-Za-z0-9_.-]*+)["'\]]{0,2}[ \t]*(?::=|=>|==?|:)[ \t]*
-    (?:(?P<quote>["'`])(?P<quoted>[^"'`\\\n]*+)(?P=quote)|\$?\{?(?P<bare>[A-Za-z0-9_+/.~!@%^&*=-]++)\}?)""",
-    re.X,
+    r"""(?<![A-Za-z0-9_.-])(?P<name>[A-Za-z_][A-Za-z0-9_.-]*+)["'\]]{0,2}
+    (?:[ \t]*+:[ \t]*+(?P<type>[A-Za-z_&*?](?:[A-Za-z0-9_.&*?\[\]<>|,' \t]|::)*+)(?==(?![=>])))?
+    [ \t]*(?::=|=>|==?|:)[ \t]*
+    (?:[rRbBuUfFL@$]{0,2}(?:(?P<long>\"{3}|'{3})(?P<in_long>(?:\\.|(?!(?P=long)).)*+)(?P=long)
+        |"(?P<in_double>(?:[^"\\\n]|\\.)*+)"|'(?P<in_single>(?:[^'\\\n]|\\.)*+)'|`(?P<in_tick>(?:[^`\\]|\\.)*+)`|(?P<open>["']))
+    |(?P<block>[|>][+-]?[1-9]?[+-]?[ \t]*\n)|\$?\{?(?P<bare>[A-Za-z0-9_+/.~!@%^&*=-]++)\}?)""",
+    re.X | re.S,
 )
+QUOTED = ("in_long", "in_double", "in_single", "in_tick")
+#: Literals of plain quotes that end on a later line.
+LATER = {q: re.compile(rf"(?:[^{q}\\]|\\.)*+(?={q})", re.S) for q in "\"'"}
+#: References inside a quoted literal.
+INSIDE = re.compile(r"\$\{?([A-Za-z_][A-Za-z0-9_.-]*+)(?:\})?|\{\{?[ \t]*([A-Za-z_][A-Za-z0-9_.-]*+)[ \t]*\}|%\(([A-Za-z_][A-Za-z0-9_.-]*+)\)s|#\{([A-Za-z_][A-Za-z0-9_.-]*+)\}")
+WHOLE = re.compile(rf"(?:{INSIDE.pattern})\}}?\Z")
 NAME_WORD = re.compile(r"[A-Z]+(?![a-z])|[A-Z]?[a-z]+|[0-9]+")
 #: How much a word of a target name tells of a secret; the last group speaks against one.
 SENSITIVE = {
@@ -56,18 +68,71 @@ def literal_score(value: str) -> float:
     return min(1.0, bits / 4) * min(1.0, 0.5 + len(value) / 24)
 
 
+def _block(text: str, key: int, at: int) -> tuple[int, int]:
+    """Start and end of the lines from at on that stand deeper than the line of key."""
+    line = text.rfind("\n", 0, key) + 1
+    indent = len(text[line:key]) - len(text[line:key].lstrip(" \t"))
+    start = end = -1
+    while at < len(text):
+        stop = text.find("\n", at)
+        stop = len(text) if stop < 0 else stop
+        body = at
+        while body < stop and text[body] in " \t":
+            body += 1
+        if body < stop:
+            if body - at <= indent:
+                break
+            start, end = body if start < 0 else start, stop
+        at = stop + 1
+    return start, end
+
+
+def pairs(text: str) -> Iterator[tuple[str, int, int, bool]]:
+    """Name, start and end of its value, and whether the value is bare, in order."""
+    at = 0
+    while m := PAIR.search(text, at):
+        at = m.end()
+        if m["type"] and len(kind := m["type"].strip()) >= MIN_LITERAL and any(c.isdigit() for c in kind):  # no type, or it may be a value
+            yield m["name"], m.start("type"), m.start("type") + len(kind), True
+        if m["bare"] is not None:
+            yield m["name"], m.start("bare"), m.end("bare"), True
+        elif m["open"]:  # what stands inside is read again: the quote may be none
+            if later := LATER[m["open"]].match(text, m.end()):
+                yield m["name"], later.start(), later.end(), False
+        elif m["block"]:
+            start, end = _block(text, m.start("name"), m.end())
+            if start >= 0:
+                yield m["name"], start, end, False
+        else:
+            group = next(g for g in QUOTED if m[g] is not None)
+            yield m["name"], m.start(group), m.end(group), False
+
+
 def lexed(text: str) -> list[tuple[int, int, float]]:
-    """Start, end and score of the literals of sensitive names."""
-    constants: dict[str, tuple[str, int, int]] = {}
+    """Start, end and score of the literals that sensitive names reach."""
+    defined: dict[str, list[tuple[int, int, bool]]] = {}
+    for name, start, end, bare in pairs(text):
+        defined.setdefault(name, []).append((start, end, bare))
     found: dict[tuple[int, int], float] = {}
-    for m in PAIR.finditer(text):
-        group = "quoted" if m["quote"] else "bare"
-        value, start, end = m[group], m.start(group), m.end(group)
-        value, start, end = constants.get(value, (value, start, end)) if group == "bare" else (value, start, end)
-        constants[m["name"]] = (value, start, end)
-        if (by_name := name_score(m["name"])) > 0:
-            score = 0.6 * by_name + 0.4 * literal_score(value)
-            if score >= THRESHOLD and literal_score(value) > 0:
+    asked = [(-x, name) for name in defined if (x := name_score(name)) > 0]
+    heapq.heapify(asked)
+    done: set[str] = set()
+    while asked:  # the most sensitive first: every name is followed once, by the best that leads to it
+        by_name, name = heapq.heappop(asked)
+        if name in done:
+            continue
+        done.add(name)
+        for start, end, bare in defined[name]:
+            value = text[start:end]
+            others = {value} if bare else {x for m in INSIDE.finditer(value) for x in m.groups() if x}
+            others = {x for x in others if x in defined and x != name}
+            for other in others - done:
+                heapq.heappush(asked, (by_name, other))
+            if others and (bare or WHOLE.match(value)):
+                continue
+            look = literal_score(value)
+            score = 0.6 * -by_name + 0.4 * look
+            if score >= THRESHOLD and look > 0:
                 found[start, end] = max(score, found.get((start, end), 0.0))
     return sorted((s, e, x) for (s, e), x in found.items())
 

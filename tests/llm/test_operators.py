@@ -112,6 +112,23 @@ def test_licence_lines_of_the_given_documents(spark, small):
 # --- 3 -----------------------------------------------------------------------------------------------------------------
 
 
+def test_secret_literals_of_other_syntax():
+    secret = "k3yMaterial-9fQ2xZ71"
+    found = lambda t: [t[s:e] for s, e, _ in secret_scan.lexed(t)]
+    for t in (f'db_pwd: str = "{secret}"', f"const authToken: string = '{secret}';", f'let apiSecret: Option<&str> = b"{secret}"', f'db_pwd = X\nY = 1\nX = "{secret}"', f'db_pwd = "${{X}}"\nX = "{secret}"',
+              f'db_pwd = A\nA = B\nB = "${{C}}"\nC = "{secret}"', f"A = '{secret}'\ndb_pwd = A\nA2 = A"):
+        assert found(t) == [secret], t
+    assert found('db_pwd = "it\'s-S3cr3t-9fQ2xZ71"') == ["it's-S3cr3t-9fQ2xZ71"]
+    assert found('db_pwd = "a\\"b-S3cr3t-9fQ2xZ71"') == ['a\\"b-S3cr3t-9fQ2xZ71']
+    lines = "MIIEpAIBAAKC9fQ2xZ71\nk3yMaterial-44vT-00aa"
+    for t in (f'privateKeyPassword = """{lines}"""', f"signing_secret = `{lines}`", f'db_pwd="{lines}"\n'):
+        assert found(t) == [lines], t
+    assert found(f"app:\n  db_pwd: |\n    {secret}\n    more-9fQ2\n  user_name: plain") == [f"{secret}\n    more-9fQ2"]
+    assert found("A = B\nB = A\ndb_pwd = A") == []
+    for t in ("a: b " * 100_000, 'a="\n' * 100_000, "pwd='''" * 100_000, "a: |\n" * 100_000, "pwd: a<" * 100_000):
+        secret_scan.lexed(t)
+
+
 def test_secret_scan(spark, small, odd):
     assign = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A)
     for df, rows in both(spark, small, odd):
