@@ -135,19 +135,25 @@ def _visited_blocks(batches: Iterator[pa.RecordBatch], index, blocks) -> Iterato
 
 
 def best(q: np.ndarray, qid: np.ndarray, x: np.ndarray, xid: np.ndarray, mask: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Query place, id and exact score of the TOP best of each query: largest score, then smallest id; a query's own id is left out."""
+    """Query place, id and exact score of the TOP best ids of each query: largest score, then smallest id; a query's own id is left out.
+
+    An id of several rows counts once, by its best."""
     s = q @ x.T
     s[qid[:, None] == xid[None]] = -np.inf
     if mask is not None:
         s[~mask] = -np.inf
     out: list[list] = [[], [], []]
-    k = min(TOP, s.shape[1])
-    floor = np.partition(s, -k, axis=1)[:, -k]
+    by_id = np.argsort(xid, kind="stable")
+    starts = np.flatnonzero(np.concatenate([[True], np.diff(xid[by_id]) != 0]))
+    of_id = s if len(starts) == s.shape[1] else np.maximum.reduceat(s[:, by_id], starts, axis=1)
+    k = min(TOP, of_id.shape[1])
+    floor = np.partition(of_id, -k, axis=1)[:, -k]
     slack = 1e-9 * (1 + np.abs(np.where(np.isfinite(floor), floor, 0)))
     for i in range(len(q)):
         at = np.flatnonzero((s[i] >= floor[i] - slack[i]) & (s[i] > -np.inf)) if np.isfinite(floor[i]) else np.flatnonzero(s[i] > -np.inf)
         exact = (x[at] * q[i]).sum(1)
-        order = np.lexsort((xid[at], -exact))[:TOP]
+        order = np.lexsort((xid[at], -exact))
+        order = order[np.sort(np.unique(xid[at][order], return_index=True)[1])][:TOP]
         out[0].append(np.full(len(order), i))
         out[1].append(xid[at][order])
         out[2].append(exact[order])
@@ -184,10 +190,11 @@ def search(rows: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_c
         return spark.createDataFrame([], schema)
     dim = lengths[0]["n"]
     base = base.filter(F.size("v") == dim).select(F.col("id").cast("long").alias("id"), "v")
+    base = written(base.dropDuplicates(["id", "v"]), "ann-rows")  # copies of a row are one
     asked = usable(queries, id_col, vector_col).filter(F.size("v") == dim).select(F.col("id").cast("long").alias("qid"), F.col("v").alias("q"))
     sample = base.orderBy(F.xxhash64("id"), "id").limit(SAMPLE).toArrow()
     x = _matrix(sample.column("v").combine_chunks(), dim)
-    peak = base.agg(F.max(F.expr("aggregate(v, 0D, (s, y) -> s + y * y)")).alias("m"), F.count(F.lit(1)).alias("n")).first()
+    peak = base.agg(F.max(F.expr("aggregate(v, 0D, (s, y) -> s + y * y)")).alias("m"), F.count_distinct("id").alias("n")).first()
     model = Index.fit(x, x[:SAMPLE_QUERIES], peak["n"])
     model.everything = peak["n"] <= TOP + 1
     model.norm, ratio = float(np.sqrt(peak["m"])), float(np.sqrt(peak["m"])) / model.norm
@@ -214,7 +221,7 @@ def search(rows: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_c
             for k in range(splits):
                 members[t].setdefault(first + k, []).append(bucket)
     where = F.broadcast(spark.createDataFrame(directory, "tab int, bucket int, first int, splits int"))
-    blocks = placed.join(where, ["tab", "bucket"]).withColumn("block", (F.col("first") + F.pmod(F.xxhash64("id"), F.col("splits"))).cast("int"))
+    blocks = placed.join(where, ["tab", "bucket"]).withColumn("block", (F.col("first") + F.pmod(F.xxhash64("id", "v"), F.col("splits"))).cast("int"))
     query_blocks = max(1, -(-asked.count() // QUERY_BLOCK))
     grid = blocks.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(query_blocks - 1)))).select("tab", "block", "part", "id", "v", "bucket")
     shared = spark.sparkContext.broadcast(members)

@@ -383,6 +383,19 @@ def test_ann_odd_vectors(spark):
     assert ann.search(df.limit(0), df.limit(0)).count() == 0 and ann.search(df, df.filter("vec_id = 3")).count() == 0
 
 
+def test_neighbours_of_repeated_ids(spark):
+    rng = np.random.default_rng(3)
+    one = {k: rng.normal(size=8).tolist() for k in range(21)}
+    rows = [(k, v) for k, v in one.items() for _ in range(30)] + [(7, (np.array(one[0]) * (3 + j)).tolist()) for j in range(40)]
+    best = {k: max(float(np.dot(one[0], v)) for i, v in rows if i == k) for k in one if k}
+    want = sorted(best, key=lambda k: (-best[k], k))
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = sorted((r["rank"], r["vec_id"]) for r in ann.search(df, spark.createDataFrame(rows[:1], df.schema)).collect())
+    assert got == list(enumerate(want, 1))
+    x, xid = np.array([v for _, v in rows]), np.array([i for i, _ in rows])
+    assert ann.best(x[:1], xid[:1], x, xid)[1].tolist() == want
+
+
 # --- 10 ----------------------------------------------------------------------------------------------------------------
 
 
