@@ -32,17 +32,37 @@ def work_dir(spark: SparkSession, name: str) -> str:
     return f"{base.rstrip('/')}/runloom-{name}-{uuid.uuid4().hex[:12]}"
 
 
-def written(df: DataFrame, name: str, partitions: int | None = None) -> DataFrame:
-    """df, cut from its lineage by a Parquet table in the shared folder; a lost executor only repeats its own tasks."""
+def written(df: DataFrame, name: str, *used: DataFrame) -> DataFrame:
+    """df, cut from its lineage by a Parquet table in the shared folder; a lost executor only repeats its own tasks. used: tables to discard then."""
     spark = df.sparkSession
     path = work_dir(spark, name)
     with shuffles_dropped(spark):
-        (df.coalesce(partitions) if partitions else df).write.parquet(path)
+        df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     _paths[id(out)] = (out, path)
+    discard(*used)
     return out
 
 
+def tidy() -> None:
+    """Gives memory that a kernel has freed back to the system: the worker that ran it stays alive."""
+    pa.default_memory_pool().release_unused()
+    if _trim is not None:
+        _trim(0)
+
+
+def _trimmer():
+    import ctypes
+
+    try:
+        return ctypes.CDLL(None).malloc_trim
+    except (OSError, AttributeError):  # not glibc
+        return None
+
+
+_trim = _trimmer()
+
+
 @contextmanager
 def shuffles_dropped(spark: SparkSession) -> Iterator[None]:
     """Queries that end in here delete their shuffle files at once: phases of an operator do not add up on disk."""

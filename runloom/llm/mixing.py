@@ -67,7 +67,7 @@ def source_cuts(rows: DataFrame) -> DataFrame:
     Keys below cut_draw are in the last epoch; those equal to it share the cut_words left by their sizes (cut_total together).
     """
     source = rows.groupBy(F.col("__mix_source").alias("source")).agg(F.sum("__mix_size").alias("source_size"), F.count(F.lit(1)).alias("n"))
-    source = written(source, "mix-sources", 1)
+    source = written(source.coalesce(1), "mix-sources")
     targets = source_targets(source.select("source", "source_size"))
     ranges = F.greatest(F.lit(1), F.ceil(F.col("n") / RANGE_ROWS)).cast("long")
     plan = (
@@ -77,7 +77,7 @@ def source_cuts(rows: DataFrame) -> DataFrame:
         .withColumn("rest", F.col("budget") - F.col("epochs") * F.col("source_size"))
         .drop("name")
     )
-    plan = written(plan, "mix-plan", 1)
+    plan = written(plan.coalesce(1), "mix-plan")
     # ranges of the key inside a source, their words, and the running words before each
     part = F.expr("shiftright(shiftright(__mix_draw, 32) * ranges, 31)")
     placed = rows.join(plan.select("source", "ranges", "rest"), F.col("__mix_source").eqNullSafe(F.col("source"))).withColumn("part", part)
@@ -92,7 +92,7 @@ def source_cuts(rows: DataFrame) -> DataFrame:
     near = near.withColumn("left", F.col("rest") - F.col("base") - F.coalesce(F.sum("words").over(ordered), F.lit(0)))
     near = near.filter((F.col("left") >= 0) & (F.col("left") < F.col("words")))
     cut = near.select(F.col("source").alias("name"), F.col("__mix_draw").alias("cut_draw"), F.col("left").alias("cut_words"), F.col("words").alias("cut_total"))
-    return written(plan.join(cut, F.col("source").eqNullSafe(F.col("name")), "left").drop("name", "rest", "ranges", "budget"), "mix-cuts", 1)
+    return written(plan.join(cut, F.col("source").eqNullSafe(F.col("name")), "left").drop("name", "rest", "ranges", "budget").coalesce(1), "mix-cuts")
 
 
 #: Words that a row takes of its source's last epoch. No cut: the epochs end with a whole one.

@@ -1,144 +1,168 @@
 """N-gram Jaccard join: every link of similarity 0.75 or more between 5-word shingle sets, and its connected components.
 
-1. Each text becomes its set of shingle hashes. Equal sets share a 64-bit set id and are one node from there on. A set
-   carries a parity bitmap of BITMAP bits: where two bitmaps differ, the sets differ in at least as many elements.
-2. Shingles are ordered rarest first by a fixed-size table of hashed counts over all sets. Of n shingles, only the first
-   n - ceil(3n/4) + 1 are sent out: two linked sets must meet in one of them. A tile is one shingle with the sets sent to
-   it, ordered by size; only sizes within 4/3 of each other can link.
-3. Star rounds: inside each tile and size band, sets point to the band's first set; the best of a set's pointers is
-   checked. Then, STARS times, sets outside their tile's largest component point to a set of it. That joins large groups
-   of near copies, of which not all link, without their pairs.
-4. Last round: tiles that still hold sets of several components are joined with themselves, from the sets outside the
-   tile's largest component, and every pair that sizes and places in the tiles admit is checked. No pair is left out
-   but those inside one component, which cannot change it.
-A check bounds the overlap from above by the bitmaps' differing bits, then intersects the sorted arrays exactly.
-Arrays are made again from the texts, for the sets of open pairs only.
+1. Each text becomes its set of 56-bit shingle hashes. Equal sets share a 64-bit set id and are one node from there on.
+2. Shingles are ordered rarest first by a fixed-size table of hashed counts over all sets. Of n shingles only the rarest
+   quarter is sent out, and n / MEET more: two linked sets must then meet in several of them. A tile is one shingle with the
+   sets sent to it, in bands of size; a set that stands in too few tiles has no link and goes no further.
+3. Sets gather in families, under the band's first set that they meet most often, in blocks of bounded size. Inside a block
+   every pair is checked unless it is joined already.
+4. Tiles that still hold sets of several components are cut into blocks of TILE_BLOCK sets. A task takes a pair of blocks and
+   compares all of its pairs of different components by sizes, places and bitmaps; those that may link are checked exactly.
+A check bounds the overlap from above by the differing bits of two parity bitmaps (where they differ, the sets differ in as
+many elements at least), then intersects the sorted arrays exactly. Rows stay in proportion to the sets and the links
+between components: pairs of a group are never written out.
 """
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from runloom.llm.common import bit_filter, buffers, discard, passes, pieces, texts, written
-from runloom.llm.textnum import SPACED, mix, ngrams, words
+from runloom.llm.common import bit_filter, buffers, discard, passes, pieces, texts, tidy, written
+from runloom.llm.textnum import SPACED, mix, ngrams, same_text, words
 
 SHINGLE = 5
-#: Star rounds over mixed tiles before all their open pairs are checked.
-STARS = 2
+#: Of n shingles, n // MEET more than needed are sent out: linked sets meet in that many tiles besides one.
+MEET = 32
 #: Bits of a set's bitmap.
 BITMAP = 1024
-#: Hashed counts that order the shingles: 1 MB a task, whatever the corpus.
-COUNTERS = 1 << 18
-_CHUNK = 1 << 14
-
-
-def shingle_sets(column: pa.Array) -> Iterator[tuple[int, np.ndarray]]:
-    """Row number and sorted distinct shingle hashes of every text of a null-free column. Fewer than five words: the whole sequence."""
+#: Hashed counts that order the shingles: 4 MB a task, whatever the corpus.
+COUNTERS = 1 << 22
+_CHUNK = 1 << 16
+#: Most sets and (but for one larger set) shingles of a family's block.
+BLOCK_SETS, BLOCK_SHINGLES = 2048, 1 << 20
+#: Sets of a tile that a task compares with as many others.
+TILE_BLOCK = 8192
+#: Pairs that two components of one pair of blocks have checked before the components are joined; the rest wait for that.
+FIRST = 16
+_LOW = np.uint64((1 << 56) - 1)
+
+
+def shingle_sets(column: pa.Array, rarity: np.ndarray | None = None) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+    """For pieces of a null-free column: first and last row, borders of each text's shingles, and the shingles, distinct and sorted.
+
+    Fewer than five words: the whole sequence. rarity: a level of every counter; shingles are then sorted by it first and
+    hold it in their top byte.
+    """
     for lo, hi in pieces(column):
         w = words(*buffers(column.slice(lo, hi - lo)), SPACED)
-        grams = ngrams(w.hash, SHINGLE)
-        for i in range(hi - lo):
-            first, count = int(w.first[i]), int(w.first[i + 1] - w.first[i])
-            x = grams[first : first + count - SHINGLE + 1] if count >= SHINGLE else ngrams(w.hash[first : first + count], count) if count else grams[:0]
-            x = np.sort(x)
-            yield lo + i, x[np.concatenate([[True], x[1:] != x[:-1]])] if len(x) else x
-
-
-def set_id(x: np.ndarray) -> int:
-    """A 64-bit id of a set: equal for equal sets, different for others but for a chance of 2^-64 a pair."""
-    parts = np.array([mix(x).sum(dtype=np.uint64), np.bitwise_xor.reduce(mix(~x)), len(x)], np.uint64)
-    return int(ngrams(parts, 3)[0].view(np.int64))
+        count = np.diff(w.first)
+        sizes = np.where(count >= SHINGLE, count - SHINGLE + 1, count > 0)
+        first = np.concatenate([[0], np.cumsum(sizes)])
+        x = np.empty(first[-1], np.uint64)
+        whole = np.repeat(count >= SHINGLE, sizes)
+        x[whole] = ngrams(w.hash, SHINGLE)[same_text(w, SHINGLE)]
+        x[~whole] = [ngrams(w.hash[w.first[i] : w.first[i + 1]], count[i])[0] for i in np.flatnonzero((count > 0) & (count < SHINGLE))]
+        x &= _LOW
+        if rarity is not None:
+            x |= rarity[(x & np.uint64(COUNTERS - 1)).astype(np.int64)].astype(np.uint64) << np.uint64(56)
+        for a, b in zip(first[:-1].tolist(), first[1:].tolist()):
+            x[a:b].sort()
+        new = np.ones(len(x), bool)
+        new[1:] = x[1:] != x[:-1]
+        new[first[:-1][sizes > 0]] = True
+        yield lo, hi, np.concatenate([[0], np.cumsum(new)])[first], x[new]
+
+
+def set_ids(first: np.ndarray, x: np.ndarray) -> np.ndarray:
+    """A 64-bit id of each set (0 where it is empty): equal for equal sets, different for others but for a chance of 2^-64 a pair."""
+    sizes = np.diff(first)
+    full = np.flatnonzero(sizes)
+    out = np.zeros(len(sizes), np.int64)
+    if len(full):
+        x, starts = x & _LOW, first[:-1][full]
+        total, odd = np.add.reduceat(mix(x), starts), np.bitwise_xor.reduceat(mix(~x), starts)
+        out[full] = mix(mix(total + sizes[full].astype(np.uint64)) ^ odd).view(np.int64)
+    return out
 
 
 def bitmap(x: np.ndarray) -> np.ndarray:
     odd = np.bincount((x & np.uint64(BITMAP - 1)).astype(np.int64), minlength=BITMAP) & 1
-    return np.packbits(odd.astype(np.uint8)).view(np.int64)
+    return np.packbits(odd.astype(np.uint8))
 
 
-SET_SCHEMA = "doc_id {id_type}, n long, sid long, bits array<long>, chunk int, counts binary"
+def _unseen(sid: np.ndarray, sizes: np.ndarray, seen: set[int]) -> np.ndarray:
+    """True for the first of each set in this task."""
+    out = np.zeros(len(sid), bool)
+    for i in np.flatnonzero(sizes):
+        if (key := int(sid[i])) not in seen:
+            seen.add(key)
+            out[i] = True
+    return out
+
+
+SET_SCHEMA = "doc_id {id_type}, text_hash long, n long, sid long, chunk int, counts binary"
 
 
 def _sets(batches: Iterator[pa.RecordBatch], id_type: pa.DataType) -> Iterator[pa.RecordBatch]:
-    """A row per document (bits with the first of each set here), and at the end the task's counters in chunks."""
+    """A row per document, and at the end the task's counters in chunks."""
     counters, seen = np.zeros(COUNTERS, np.uint32), set()
-    types = [id_type, pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.int32(), pa.binary()]
-    names = ["doc_id", "n", "sid", "bits", "chunk", "counts"]
+    types = [id_type, pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.binary()]
+    names = ["doc_id", "text_hash", "n", "sid", "chunk", "counts"]
     for batch in batches:
-        n, sid, bits, fresh = [], [], [], []
-        for _, x in shingle_sets(texts(batch.column(1))):
-            key = set_id(x) if len(x) else None
-            n.append(len(x))
-            sid.append(key)
-            new = key is not None and key not in seen
-            bits.append(bitmap(x) if new else None)
-            if new:
-                seen.add(key)
-                fresh.append(x)
-        if fresh:
-            counters += np.bincount((np.concatenate(fresh) & np.uint64(COUNTERS - 1)).astype(np.int64), minlength=COUNTERS).astype(np.uint32)
-        nothing = [None] * len(n)
-        yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, t) for c, t in zip((n, sid, bits, nothing, nothing), types[1:]))], names)
+        sizes, sids = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        for _, _, first, x in shingle_sets(texts(batch.column(2))):
+            sizes.append(np.diff(first))
+            sids.append(set_ids(first, x))
+            fresh = _unseen(sids[-1], sizes[-1], seen)
+            np.add.at(counters, (x[np.repeat(fresh, sizes[-1])] & np.uint64(COUNTERS - 1)).astype(np.int64), np.uint32(1))
+        n, sid = np.concatenate(sizes), np.concatenate(sids)
+        nothing = [pa.nulls(len(n), t) for t in types[4:]]
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(n), pa.array(sid, mask=n == 0), *nothing], names)
     if seen:
         chunks = range(COUNTERS // _CHUNK)
-        none = [None] * len(chunks)
-        parts = [counters[k * _CHUNK : (k + 1) * _CHUNK].tobytes() for k in chunks]
-        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip((none, none, none, none, list(chunks), parts), types)], names)
+        parts = [zlib.compress(np.minimum(counters[k * _CHUNK : (k + 1) * _CHUNK], 65535).astype(np.uint16).tobytes(), 1) for k in chunks]
+        yield pa.RecordBatch.from_arrays([*(pa.nulls(len(chunks), t) for t in types[:4]), pa.array(chunks, pa.int32()), pa.array(parts, pa.binary())], names)
+    tidy()
 
 
-def _sum_counts(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    total = np.zeros(_CHUNK, np.uint64)
+def _rarity(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    total = np.zeros(_CHUNK, np.int64)
     for batch in batches:
-        for x in batch.column("counts").to_pylist():
-            total += np.frombuffer(x, np.uint32)
-    yield pa.RecordBatch.from_arrays([pa.array([key[0].as_py()], pa.int32()), pa.array([np.minimum(total, (1 << 32) - 1).astype(np.uint32).tobytes()], pa.binary())], ["chunk", "counts"])
+        for x in batch.column("counts"):
+            total += np.frombuffer(zlib.decompress(x.as_py()), np.uint16)
+    level = np.minimum(8 * np.log2(np.maximum(total, 1)), 255).astype(np.uint8)
+    yield pa.RecordBatch.from_arrays([pa.array([key[0].as_py()], pa.int32()), pa.array([level.tobytes()], pa.binary())], ["chunk", "levels"])
 
 
-def shingle_counts(sets: DataFrame) -> np.ndarray:
-    """The summed counters: COUNTERS numbers."""
-    rows = sets.filter("chunk is not null").select("chunk", "counts").groupBy("chunk").applyInArrow(_sum_counts, "chunk int, counts binary").collect()
-    out = np.zeros(COUNTERS, np.uint32)
+def rarity(sets: DataFrame) -> np.ndarray:
+    """A level from 0 (rarest) to 255 of every counter, summed over all tasks: COUNTERS bytes."""
+    rows = sets.filter("chunk is not null").select("chunk", "counts").groupBy("chunk").applyInArrow(_rarity, "chunk int, levels binary").collect()
+    out = np.zeros(COUNTERS, np.uint8)
     for r in rows:
-        out[r["chunk"] * _CHUNK : (r["chunk"] + 1) * _CHUNK] = np.frombuffer(r["counts"], np.uint32)
+        out[r["chunk"] * _CHUNK : (r["chunk"] + 1) * _CHUNK] = np.frombuffer(r["levels"], np.uint8)
     return out
 
 
-def _prefixes(batches: Iterator[pa.RecordBatch], counters) -> Iterator[pa.RecordBatch]:
-    """token, sid, place: the rarest shingles of each set, once a task; place holds the set's size and the shingle's rank."""
-    counts, seen = counters.value, set()
+def _prefixes(batches: Iterator[pa.RecordBatch], levels) -> Iterator[pa.RecordBatch]:
+    """token, sid, place: the rarest shingles of each set, once a task; place holds size band (top byte), size and rank (28 bits each)."""
+    rare, seen = levels.value, set()
     for batch in batches:
-        out: list[list] = [[], [], []]
-        for _, x in shingle_sets(texts(batch.column(0))):
-            if not len(x) or (key := set_id(x)) in seen:
-                continue
-            seen.add(key)
-            keep = len(x) - -(-3 * len(x) // 4) + 1
-            order = np.lexsort((x, counts[(x & np.uint64(COUNTERS - 1)).astype(np.int64)]))[:keep]
-            out[0].append(x[order].view(np.int64))
-            out[1].append(np.full(keep, key, np.int64))
-            out[2].append((len(x) << 31) + np.arange(keep, dtype=np.int64))
-            if sum(map(len, out[0][-1:])) and len(out[0]) >= 256:
-                yield _batch(out)
-                out = [[], [], []]
-        if out[0]:
-            yield _batch(out)
-
-
-def _batch(columns: list[list]) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in columns], ["token", "sid", "place"])
+        for _, _, first, x in shingle_sets(texts(batch.column(0)), rare):
+            sizes, sid = np.diff(first), set_ids(first, x)
+            keep = np.where(_unseen(sid, sizes, seen), np.minimum(sizes, sizes // 4 + 1 + sizes // MEET), 0)
+            band = np.floor(np.log(np.maximum(sizes, 1)) / np.log(4 / 3) + 1e-9).astype(np.int64)
+            rank = np.arange(len(x)) - np.repeat(first[:-1], sizes)
+            rows = np.flatnonzero(rank < np.repeat(keep, sizes))
+            place = np.repeat((band << 56) + (sizes << 28), sizes)[rows] + rank[rows]
+            out = [x[rows].view(np.int64), np.repeat(sid, sizes)[rows], place]
+            for k in range(0, len(rows), 1 << 18):
+                yield pa.RecordBatch.from_arrays([pa.array(c[k : k + (1 << 18)]) for c in out], ["token", "sid", "place"])
+    tidy()
 
 
 def _tiles(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows of tiles with two sets or more, from rows ordered by token, place, sid: with the first set of their size band.
+    """Rows of tiles with two sets or more, from rows ordered by token, band, sid: with the first set of their band, and their number in the tile.
 
     One row is held back between batches, so memory does not depend on the size of a tile.
     """
-    held: tuple | None = None  # token, sid, place, in a tile with the row before, band, first of the band
-    names = ["token", "sid", "place", "leader"]
+    held: tuple | None = None  # token, sid, place, in a tile with the row before, first of the band, number
+    names = ["token", "sid", "place", "leader", "number"]
     for batch in batches:
         cols = [batch.column(k).to_numpy() for k in range(3)]
         if held is not None:
@@ -149,71 +173,166 @@ def _tiles(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         token, sid, place = token[fresh], sid[fresh], place[fresh]
         if not len(token):
             continue
-        band = np.floor(np.log((place >> 31).astype(np.float64)) / np.log(4 / 3)).astype(np.int64)
         same = np.zeros(len(token), bool)
         same[1:] = token[1:] == token[:-1]
-        start = ~same
+        band, at = place >> 56, np.arange(len(token))
+        tile = ~same
+        start = tile.copy()
         start[1:] |= band[1:] != band[:-1]
-        if held is not None:
-            same[0], start[0] = held[3], False
-        at = np.maximum.accumulate(np.where(start, np.arange(len(token)), -1))
-        leader = np.where(at >= 0, sid[np.maximum(at, 0)], held[4] if held is not None else 0)
+        leader = sid[np.maximum.accumulate(np.where(start, at, 0))]
+        number = at - np.maximum.accumulate(np.where(tile, at, 0))
+        if held is not None:  # the tile and the band of row 0 began before
+            same[0] = held[3]
+            leader[: int(np.argmax(start[1:])) + 1 if start[1:].any() else None] = held[4]
+            number[: int(np.argmax(tile[1:])) + 1 if tile[1:].any() else None] += held[5]
         many = same.copy()
         many[:-1] |= same[1:]
         rows = np.flatnonzero(many[:-1])
         if len(rows):
-            yield pa.RecordBatch.from_arrays([pa.array(c[rows]) for c in (token, sid, place, leader)], names)
-        held = (token[-1], sid[-1], place[-1], bool(same[-1]), leader[-1])
+            yield pa.RecordBatch.from_arrays([pa.array(c[rows]) for c in (token, sid, place, leader, number)], names)
+        held = (token[-1], sid[-1], place[-1], bool(same[-1]), leader[-1], number[-1])
     if held is not None and held[3]:
-        yield pa.RecordBatch.from_arrays([pa.array([v], pa.int64()) for v in (held[0], held[1], held[2], held[4])], names)
+        yield pa.RecordBatch.from_arrays([pa.array([v], pa.int64()) for v in (held[0], held[1], held[2], held[4], held[5])], names)
+    tidy()
 
 
 def _arrays(batches: Iterator[pa.RecordBatch], wanted) -> Iterator[pa.RecordBatch]:
-    """sid and sorted shingles of the sets that the filter lets pass, once a task."""
+    """sid, size, bitmap and sorted shingles of the sets that the filter lets pass, once a task."""
     bits, seen = wanted.value, set()
+    names = ["sid", "n", "bits", "shingles"]
     for batch in batches:
-        keys, data, size = [], [], 0
-        for _, x in shingle_sets(texts(batch.column(0))):
-            if not len(x) or (key := set_id(x)) in seen or not passes(bits, np.array([key]))[0]:
-                continue
-            seen.add(key)
-            keys.append(key)
-            data.append(x.tobytes())
-            size += len(data[-1])
-            if size > 1 << 24:
-                yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(data, pa.binary())], ["sid", "shingles"])
-                keys, data, size = [], [], 0
-        if keys:
-            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(data, pa.binary())], ["sid", "shingles"])
+        for _, _, first, x in shingle_sets(texts(batch.column(0))):
+            sizes, sid = np.diff(first), set_ids(first, x)
+            keep = np.flatnonzero(_unseen(sid, np.where(passes(bits, sid), sizes, 0), seen))
+            parts = [x[first[i] : first[i + 1]] for i in keep]
+            if parts:
+                yield pa.RecordBatch.from_arrays([pa.array(sid[keep]), pa.array(sizes[keep]), pa.array([bitmap(p).tobytes() for p in parts], pa.binary()), pa.array([p.tobytes() for p in parts], pa.binary())], names)
+    tidy()
+
+
+def _links(a: np.ndarray, b: np.ndarray) -> bool:
+    """100 times the common elements are at least 75 times all elements, of two sorted arrays."""
+    if len(a) > len(b):
+        a, b = b, a
+    place = np.searchsorted(b, a)
+    common = int((b[np.minimum(place, len(b) - 1)] == a).sum())
+    return 100 * common >= 75 * (len(a) + len(b) - common)
+
+
+def joined(sid: np.ndarray, bits: np.ndarray, arrays: list[np.ndarray]) -> np.ndarray:
+    """Component of each set of a block: the number of one of its sets. Every pair that sizes and bitmaps admit is checked unless joined already."""
+    n = np.array([len(x) for x in arrays])
+    order = np.argsort(n, kind="stable")
+    label = np.arange(len(sid))
+    for at, i in enumerate(order):
+        low = int(np.searchsorted(n[order], -(-3 * n[i] // 4)))
+        before = order[low:at]
+        before = before[(sid[before] != sid[i]) & (label[before] != label[i])]
+        differing = np.bitwise_count(bits[before] ^ bits[i]).sum(axis=1, dtype=np.int64)
+        near = 7 * differing <= n[before] + n[i]
+        before, differing = before[near], differing[near]
+        before = before[np.argsort(differing, kind="stable")]
+        while len(before):
+            if _links(arrays[before[0]], arrays[i]):
+                label[label == label[before[0]]] = label[i]
+            before = before[1:]
+            before = before[label[before] != label[i]]
+    return label
+
+
+def _block_links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Links a, b that hold the components of each block together, from rows family, block, sid, bits, shingles ordered by block."""
+    held: list[pa.RecordBatch] = []
+
+    def found() -> pa.RecordBatch:
+        rows = pa.Table.from_batches(held)
+        sid = rows.column("sid").to_numpy()
+        _, once = np.unique(sid, return_index=True)
+        rows, sid = rows.take(once), sid[once]
+        bits = np.frombuffer(b"".join(rows.column("bits").to_pylist()), np.uint64).reshape(len(sid), -1)
+        label = joined(sid, bits, [np.frombuffer(x.as_buffer(), np.uint64) for chunk in rows.column("shingles").chunks for x in chunk])
+        rest = np.flatnonzero(label != np.arange(len(sid)))
+        return pa.RecordBatch.from_arrays([pa.array(sid[label[rest]]), pa.array(sid[rest])], ["a", "b"])
+
+    key = None
+    for batch in batches:
+        family, block = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+        cuts = np.flatnonzero((family[1:] != family[:-1]) | (block[1:] != block[:-1])) + 1
+        for a, b in zip([0, *cuts], [*cuts, len(family)]):
+            if b > a:
+                if key != (family[a], block[a]) and held:
+                    yield found()
+                    held = []
+                key = (family[a], block[a])
+                held.append(batch.slice(a, b - a))
+    if held:
+        yield found()
+    tidy()
+
+
+def _tile_pairs(batches: Iterator[pa.RecordBatch], limit: int | None) -> Iterator[pa.RecordBatch]:
+    """Pairs a, b of different components that sizes, places and bitmaps admit, from rows of pairs of blocks, ordered by them.
+
+    limit: of two components of one pair of blocks that many pairs, the nearest first; more: there are others.
+    """
+    held: list[pa.RecordBatch] = []
+
+    def found(rows: pa.Table) -> Iterator[pa.RecordBatch]:
+        token, i, j, block, sid, label, place = (rows.column(k).to_numpy() for k in range(7))
+        group = np.concatenate([[0], np.cumsum((token[1:] != token[:-1]) | (i[1:] != i[:-1]) | (j[1:] != j[:-1]))])
+        n, rank = (place >> 28) & ((1 << 28) - 1), place & ((1 << 28) - 1)
+        order = np.lexsort((n, group))
+        i, j, block, sid, label, n, rank, group = (c[order] for c in (i, j, block, sid, label, n, rank, group))
+        bits = np.frombuffer(b"".join(rows.column(7).to_pylist()), np.uint64).reshape(len(sid), -1)[order]
+        sized = (group << 32) + n
+        count = np.searchsorted(sized, (group << 32) + 4 * n // 3, "right") - np.arange(len(n)) - 1
+        ends = np.cumsum(count)
+        start = 0
+        while start < len(n):
+            stop = max(start + 1, int(np.searchsorted(ends, (ends[start - 1] if start else 0) + (1 << 18), "right")))
+            own = count[start:stop]
+            x = np.repeat(np.arange(start, stop), own)
+            y = x + 1 + np.arange(len(x)) - np.repeat(np.cumsum(own) - own, own)
+            ok = (label[x] != label[y]) & (7 * np.minimum(n[x] - rank[x], n[y] - rank[y]) >= 3 * (n[x] + n[y])) & ((i[x] == j[x]) | (block[x] != block[y]))
+            x, y = x[ok], y[ok]
+            differing = np.bitwise_count(bits[x] ^ bits[y]).sum(axis=1, dtype=np.int64)
+            ok = 7 * differing <= n[x] + n[y]
+            x, y, differing = x[ok], y[ok], differing[ok]
+            swap = label[x] > label[y]
+            x, y = np.where(swap, y, x), np.where(swap, x, y)
+            more = np.zeros(len(x), bool)
+            if limit and len(x):
+                by = np.lexsort((differing, label[y], label[x], group[x]))
+                x, y = x[by], y[by]
+                new = np.ones(len(x), bool)
+                new[1:] = (group[x][1:] != group[x][:-1]) | (label[x][1:] != label[x][:-1]) | (label[y][1:] != label[y][:-1])
+                nth = np.arange(len(x)) - np.maximum.accumulate(np.where(new, np.arange(len(x)), 0))
+                many = np.bincount(np.cumsum(new) - 1)[np.cumsum(new) - 1] > limit
+                x, y, more = x[nth < limit], y[nth < limit], many[nth < limit]
+            if len(x):
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in (sid[x], sid[y], more)], ["a", "b", "more"])
+            start = stop
+
+    for batch in batches:
+        held.append(batch)
+        if sum(b.num_rows for b in held) < 1 << 14:
+            continue
+        rows = pa.Table.from_batches(held).combine_chunks()
+        token, i, j = (rows.column(k).to_numpy() for k in range(3))
+        last = int(np.argmax((token == token[-1]) & (i == i[-1]) & (j == j[-1])))  # the last group may go on
+        if last:
+            yield from found(rows.slice(0, last))
+        held = rows.slice(last).to_batches()
+    if held:
+        yield from found(pa.Table.from_batches(held))
+    tidy()
 
 
 def _linked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        ok = []
-        for x, y in zip(batch.column(2), batch.column(3)):
-            a, b = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
-            place = np.searchsorted(b, a)
-            common = int((b[np.minimum(place, len(b) - 1)] == a).sum())
-            ok.append(100 * common >= 75 * (len(a) + len(b) - common))
-        keep = pa.array(ok, pa.bool_())
+        keep = pa.array([_links(np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)) for x, y in zip(batch.column(2), batch.column(3))], pa.bool_())
         yield pa.RecordBatch.from_arrays([batch.column(0).filter(keep), batch.column(1).filter(keep)], ["a", "b"])
-
-
-def verified(pairs: DataFrame, sets: DataFrame, source: DataFrame) -> DataFrame:
-    """The pairs a, b that link. sets: sid, n, bits; source: text."""
-    spark = pairs.sparkSession
-    left, right = (sets.select(F.col("sid").alias(k), F.col("n").alias(f"n_{k}"), F.col("bits").alias(f"bits_{k}")) for k in "ab")
-    differing = F.aggregate(F.zip_with("bits_a", "bits_b", lambda x, y: F.bit_count(x.bitwiseXOR(y)).cast("long")), F.lit(0).cast("long"), lambda s, x: s + x)
-    open_pairs = pairs.join(left, "a").join(right, "b").filter((4 * F.least("n_a", "n_b") >= 3 * F.greatest("n_a", "n_b")) & (7 * differing <= F.col("n_a") + F.col("n_b")))
-    open_pairs = written(open_pairs.select("a", "b"), "join-pairs")
-    wanted = open_pairs.select(F.col("a").alias("sid")).union(open_pairs.select("b")).distinct()
-    shared = spark.sparkContext.broadcast(bit_filter(wanted))
-    arrays = source.mapInArrow(lambda b: _arrays(b, shared), "sid long, shingles binary").join(wanted, "sid", "left_semi").dropDuplicates(["sid"])
-    arrays = written(arrays, "join-arrays")
-    both = open_pairs.join(arrays.select(F.col("sid").alias("a"), F.col("shingles").alias("x")), "a").join(arrays.select(F.col("sid").alias("b"), F.col("shingles").alias("y")), "b")
-    found = written(both.select("a", "b", "x", "y").mapInArrow(_linked, "a long, b long"), "join-links")
-    discard(open_pairs, arrays)
-    return found
+    tidy()
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -222,15 +341,91 @@ def components(links: DataFrame) -> DataFrame:
     Each round takes the neighbours' smallest label and then the label of that label, so long chains take few rounds.
     """
     edges = written(links.select(F.col("a").alias("node"), F.col("b").alias("other")).union(links.select("b", "a")).distinct(), "cc-edges")
-    labels = written(edges.groupBy("node").agg(F.least(F.first("node"), F.min("other")).alias("label")), "cc-0")
+    labels = written(edges.groupBy("node").agg(F.least(F.first("node"), F.min("other")).alias("label")), "cc")
     while True:
         around = edges.join(labels.withColumnRenamed("node", "other"), "other").groupBy("node").agg(F.min("label").alias("near"))
         step = labels.join(around, "node").select("node", "label", F.least("label", "near").alias("next"))
         far = labels.select(F.col("node").alias("next"), F.col("label").alias("far"))
-        labels = written(step.join(far, "next", "left").select("node", F.least("next", "far").alias("label"), F.col("label").alias("old")), "cc")
-        if labels.filter(F.col("label") != F.col("old")).isEmpty():
-            return labels.select("node", "label")
-        labels = labels.select("node", "label")
+        after = written(step.join(far, "next", "left").select("node", F.least("next", "far").alias("label"), F.col("label").alias("old")), "cc")
+        discard(labels)
+        if after.filter(F.col("label") != F.col("old")).isEmpty():
+            discard(edges)
+            return written(after.select("node", "label"), "cc-labels", after)
+        labels = written(after.select("node", "label"), "cc", after)
+
+
+def _families(nodes: DataFrame, arrays: DataFrame) -> DataFrame:
+    """Links a, b inside the families: nodes has sid, n, leader; a leader stands in every block of its family."""
+    members = nodes.select(F.col("leader").alias("family"), "sid", "n").filter("family <> sid")
+    sizes = members.groupBy("family").agg(F.greatest(F.ceil(F.count(F.lit(1)) / (BLOCK_SETS - 1)), F.ceil(F.sum("n") / BLOCK_SHINGLES)).cast("int").alias("blocks"))
+    dealt = members.join(sizes, "family").select("family", F.pmod(F.xxhash64("sid"), F.col("blocks")).cast("int").alias("block"), "sid")
+    leaders = sizes.select("family", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.col("family").alias("sid"))
+    rows = dealt.unionByName(leaders).join(arrays, "sid").select("family", "block", "sid", "bits", "shingles")
+    return rows.repartition("family", "block").sortWithinPartitions("family", "block").mapInArrow(_block_links, "a long, b long")
+
+
+def _mixed(tiles: DataFrame, labels: DataFrame) -> DataFrame:
+    """Rows of the tiles that hold sets of several components, with their component and the number of the tile's last block.
+
+    Components only grow, so a tile that is left out once stays out.
+    """
+    rows = tiles.join(labels.withColumnRenamed("node", "sid"), "sid", "left").withColumn("label", F.coalesce("label", "sid"))
+    mixed = rows.groupBy("token").agg(F.min("label").alias("x"), F.max("label").alias("y"), F.floor(F.max("number") / TILE_BLOCK).cast("int").alias("last")).filter("x <> y")
+    return rows.join(mixed.select("token", "last"), "token")
+
+
+def _open_links(tiles: DataFrame, labels: DataFrame, arrays: DataFrame, limit: int | None) -> tuple[DataFrame, DataFrame]:
+    """Links a, b between components that meet in a tile, and pairs of components (as pairs of sets) with more pairs than the limit."""
+    block = F.floor(F.col("number") / TILE_BLOCK).cast("int")
+    around = F.transform(F.sequence(F.lit(0), F.col("last")), lambda k: F.struct(F.least(k, F.col("block")).alias("i"), F.greatest(k, F.col("block")).alias("j")))
+    rows = _mixed(tiles, labels).withColumn("block", block).join(arrays.select("sid", "bits"), "sid")
+    rows = rows.select("token", F.explode(around).alias("of"), "block", "sid", "label", "place", "bits").select("token", "of.i", "of.j", "block", "sid", "label", "place", "bits")
+    pairs = rows.repartition("token", "i", "j").sortWithinPartitions("token", "i", "j").mapInArrow(lambda b: _tile_pairs(b, limit), "a long, b long, more boolean")
+    pairs = written(pairs.groupBy("a", "b").agg(F.max("more").alias("more")), "join-pairs")
+    of = lambda end, name: arrays.select(F.col("sid").alias(end), F.col("shingles").alias(name))
+    links = written(pairs.join(of("a", "x"), "a").join(of("b", "y"), "b").select("a", "b", "x", "y").mapInArrow(_linked, "a long, b long"), "join-links")
+    return links, pairs
+
+
+def _labelled(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """doc_id, text_hash, n, sid, label of every row: label is a set of its component, null without shingles."""
+    from pyspark.sql.pandas.types import to_arrow_type
+
+    spark = docs.sparkSession
+    source = docs.select(F.col(text_col).cast("string").alias("text"))
+    rows = docs.select(F.col(id_col).alias("doc_id"), F.xxhash64(F.col(text_col).cast("string")).alias("text_hash"), F.col(text_col).cast("string").alias("text"))
+    kind = rows.schema["doc_id"].dataType
+    id_type = to_arrow_type(kind)
+    sets = written(rows.mapInArrow(lambda b: _sets(b, id_type), SET_SCHEMA.format(id_type=kind.simpleString())), "join-sets")
+    levels = spark.sparkContext.broadcast(rarity(sets))
+    sent = source.mapInArrow(lambda b: _prefixes(b, levels), "token long, sid long, place long")
+    band = F.shiftright("place", 56)
+    tiles = written(sent.repartition("token").sortWithinPartitions("token", band, "sid").mapInArrow(_tiles, "token long, sid long, place long, leader long, number long"), "join-tiles")
+    levels.destroy()
+    # a set's tiles by leader: linked sets meet in 1 + least size // MEET tiles or more, and that size is 3/4 of either's at least
+    votes = tiles.groupBy("sid", "leader").agg(F.count(F.lit(1)).alias("votes"), F.first(F.shiftright("place", 28).bitwiseAND(F.lit((1 << 28) - 1))).alias("n"))
+    best = F.max_by("leader", F.struct(F.col("leader") != F.col("sid"), "votes", "leader")).alias("leader")
+    nodes = votes.groupBy("sid").agg(F.sum("votes").alias("met"), F.first("n").alias("n"), best).filter(F.col("met") >= 1 + F.floor(F.ceil(0.75 * F.col("n")) / MEET))
+    nodes = written(nodes.select("sid", "n", "leader"), "join-nodes")
+    wanted = spark.sparkContext.broadcast(bit_filter(nodes.select("sid")))
+    arrays = source.mapInArrow(lambda b: _arrays(b, wanted), "sid long, n long, bits binary, shingles binary").join(nodes.select("sid"), "sid", "left_semi")
+    arrays = written(arrays.dropDuplicates(["sid"]), "join-arrays")
+    wanted.destroy()
+    labels = components(_families(nodes, arrays))
+    slim = tiles.join(nodes.select("sid"), "sid", "left_semi").select("token", "sid", "place", "number")
+    mixed = written(_mixed(slim, labels).select("token", "sid", "place", "number"), "join-mixed")
+    discard(tiles, nodes)
+    links, pairs = _open_links(mixed, labels, arrays, FIRST)
+    labels = _joined(labels, links)
+    of = lambda end: labels.select(F.col("node").alias(end), F.col("label").alias(f"{end}_label"))
+    left = pairs.filter("more").join(of("a"), "a", "left").join(of("b"), "b", "left").filter(F.coalesce("a_label", "a") != F.coalesce("b_label", "b"))
+    if not left.isEmpty():
+        discard(links, pairs)
+        links, pairs = _open_links(mixed, labels, arrays, None)
+        labels = _joined(labels, links)
+    discard(links, pairs, mixed, arrays)
+    documents = sets.filter("chunk is null").select("doc_id", "text_hash", "n", "sid")
+    return documents.join(labels.withColumnRenamed("node", "sid"), "sid", "left").withColumn("label", F.coalesce("label", "sid"))
 
 
 def join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -240,39 +435,10 @@ def join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Dat
     empty table gives no rows. A null id is never the smallest unless all of its component are null. Other columns are
     not read.
     """
-    spark = docs.sparkSession
-    source = docs.select(F.col(text_col).cast("string").alias("text"))
-    both = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    from pyspark.sql.pandas.types import to_arrow_type
-
-    kind = both.schema["doc_id"].dataType
-    id_type = to_arrow_type(kind)
-    rows = written(both.mapInArrow(lambda b: _sets(b, id_type), SET_SCHEMA.format(id_type=kind.simpleString())), "join-sets")
-    documents = rows.filter("chunk is null").select("doc_id", "n", "sid")
-    sets = rows.filter("bits is not null").groupBy("sid").agg(F.first("n").alias("n"), F.first("bits").alias("bits"))
-    sets = written(sets, "join-bits")
-    counters = spark.sparkContext.broadcast(shingle_counts(rows))
-    sent = source.mapInArrow(lambda b: _prefixes(b, counters), "token long, sid long, place long")
-    ordered = sent.repartition("token").sortWithinPartitions("token", "place", "sid")
-    tiles = written(ordered.mapInArrow(_tiles, "token long, sid long, place long, leader long"), "join-tiles")
-    votes = tiles.filter("sid <> leader").groupBy("sid", "leader").agg(F.count(F.lit(1)).alias("votes"))
-    stars = votes.groupBy("sid").agg(F.max_by("leader", F.struct("votes", "leader")).alias("leader")).select(F.col("leader").alias("a"), F.col("sid").alias("b"))
-    links = verified(stars, sets, source)
-    labels = components(links)
-    rows = tiles.select("token", "sid", F.shiftright("place", 31).alias("n"), F.col("place").bitwiseAND(F.lit((1 << 31) - 1)).alias("rank"))
-    rows = _mixed(rows, labels)
-    discard(tiles)
-    for seed in range(1, STARS + 1):
-        labels = _joined(labels, verified(_star_pairs(rows, seed), sets, source))
-        rows, old = _mixed(rows.drop("label", "largest"), labels), rows
-        discard(old)
-    labels = _joined(labels, verified(_open_pairs(rows), sets, source))
-    by_set = documents.filter("sid is not null").groupBy("sid").agg(F.min("doc_id").alias("first"))
-    by_set = by_set.join(labels.withColumnRenamed("node", "sid"), "sid", "left").withColumn("label", F.coalesce("label", "sid"))
-    by_set = written(by_set, "join-sets-labelled")
-    least = by_set.groupBy("label").agg(F.min("first").alias("component_id"))
-    by_set = by_set.join(least, "label").select("sid", "component_id")
-    return documents.join(by_set, "sid", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("sid").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
+    rows = written(_labelled(docs, id_col, text_col).select("doc_id", "n", "label"), "join-labelled")
+    least = rows.filter("label is not null").groupBy("label").agg(F.min("doc_id").alias("component_id"))
+    out = rows.join(least, "label", "left")
+    return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("label").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
 
 
 def _joined(labels: DataFrame, links: DataFrame) -> DataFrame:
@@ -281,52 +447,27 @@ def _joined(labels: DataFrame, links: DataFrame) -> DataFrame:
         return labels
     of = lambda end: labels.select(F.col("node").alias(end), F.col("label").alias(f"{end}_label"))
     between = links.join(of("a"), "a", "left").join(of("b"), "b", "left").select(F.coalesce("a_label", "a").alias("a"), F.coalesce("b_label", "b").alias("b"))
-    step = components(written(between.filter("a <> b").distinct(), "join-between")).select(F.col("node").alias("label"), F.col("label").alias("next"))
+    found = components(between.filter("a <> b").distinct())
+    step = found.select(F.col("node").alias("label"), F.col("label").alias("next"))
     known = labels.union(links.select("a", "a")).union(links.select("b", "b")).groupBy("node").agg(F.min(F.struct((F.col("node") == F.col("label")).alias("new"), "label")).alias("x"))
     known = known.select("node", "x.label")
-    return written(known.join(step, "label", "left").select("node", F.coalesce("next", "label").alias("label")), "join-labels")
-
-
-def _mixed(rows: DataFrame, labels: DataFrame) -> DataFrame:
-    """Rows of the tiles that hold sets of several components: with their component and the tile's largest one.
-
-    Components only grow, so a tile that is left out once stays out.
-    """
-    rows = rows.join(labels.withColumnRenamed("node", "sid"), "sid", "left").withColumn("label", F.coalesce("label", "sid"))
-    by_label = rows.groupBy("token", "label").agg(F.count(F.lit(1)).alias("rows"))
-    largest = by_label.groupBy("token").agg(F.max_by("label", F.struct("rows", "label")).alias("largest"), F.count(F.lit(1)).alias("labels")).filter("labels > 1")
-    return written(rows.join(largest.select("token", "largest"), "token"), "join-mixed")
-
-
-#: Sizes and ranks of x and y admit a link: from the shared shingle on, enough elements are left to be shared.
-_ADMITS = "4 * least(x.n, y.n) >= 3 * greatest(x.n, y.n) AND 7 * least(x.n - x.rank, y.n - y.rank) >= 3 * (x.n + y.n)"
-
-
-def _star_pairs(rows: DataFrame, seed: int) -> DataFrame:
-    """a, b: each set outside its tile's largest component with one set of that component, drawn by hash; the pair met most often."""
-    drawn = F.struct(F.xxhash64("sid", F.lit(seed)).alias("h"), "sid", "n", "rank")
-    target = rows.filter("label = largest").groupBy("token").agg(F.min(drawn).alias("d")).select("token", "d.sid", "d.n", "d.rank").alias("y")
-    met = rows.filter("label <> largest").alias("x").join(target, F.expr(f"x.token = y.token AND {_ADMITS}"))
-    votes = met.groupBy(F.col("x.sid").alias("b"), F.col("y.sid").alias("a")).agg(F.count(F.lit(1)).alias("votes"))
-    return votes.groupBy("b").agg(F.max_by("a", F.struct("votes", "a")).alias("a")).select("a", "b")
+    return written(known.join(step, "label", "left").select("node", F.coalesce("next", "label").alias("label")), "join-labels", found)
 
 
-def _open_pairs(rows: DataFrame) -> DataFrame:
-    """Pairs a, b of sets of different components that meet in a tile, as far as sizes and ranks admit a link.
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """docs with one row of each component: the one of smallest id (null last; equal ids by a hash of the text).
 
-    A pair is made once, in the first tile where it meets: rows carry their set's earlier shingles of mixed tiles, and tiles that
-    two sets of different components share are mixed.
+    Rows are told apart by id and text, so unlike texts that share an id are judged apart. Texts without words all stay.
     """
-    earlier = F.collect_list("token").over(Window.partitionBy("sid").orderBy("rank").rowsBetween(Window.unboundedPreceding, -1))
-    rows = rows.withColumn("earlier", earlier)
-    x, y = rows.filter("label <> largest").alias("x"), rows.alias("y")
-    met = x.join(y, F.expr(f"x.token = y.token AND x.label <> y.label AND (y.label = y.largest OR x.sid < y.sid) AND {_ADMITS} AND NOT arrays_overlap(x.earlier, y.earlier)"))
-    return met.select(F.expr("least(x.sid, y.sid)").alias("a"), F.expr("greatest(x.sid, y.sid)").alias("b"))
-
-
-def keep_one(docs: DataFrame) -> DataFrame:
-    """docs with one document of each component: the one of smallest id. Rows without an id stay; of rows sharing one, the first stays."""
-    kept = join(docs).filter(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("__join_id")).distinct()
-    kept = written(kept, "join-kept")
-    named = docs.join(kept, F.col("doc_id") == F.col("__join_id"), "left_semi").dropDuplicates(["doc_id"])
-    return named.union(docs.filter(F.col("doc_id").isNull()))
+    rows = written(_labelled(docs, id_col, text_col).filter("label is not null").select("doc_id", "text_hash", "label"), "join-labelled")
+    first = rows.groupBy("label").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "text_hash")).alias("f")).select("f.doc_id", "f.text_hash")
+    first = first.withColumnsRenamed({"doc_id": "__join_id", "text_hash": "__join_hash"})
+    same = F.col("doc_id").eqNullSafe(F.col("__join_id")) & (F.col("text_hash") == F.col("__join_hash"))
+    kept = written(rows.join(first, same).groupBy("__join_id", "__join_hash").agg(F.count(F.lit(1)).alias("__join_rows")), "join-kept")
+    text = F.col(text_col).cast("string")
+    wordless = ~F.coalesce(text.rlike(r"[^\x20\x09-\x0D]"), F.lit(False))
+    held = docs.filter(~wordless).join(kept, F.col(id_col).eqNullSafe(F.col("__join_id")) & (F.xxhash64(text) == F.col("__join_hash")))
+    out = held.filter("__join_rows = 1").select(docs.columns).union(docs.filter(wordless))
+    if kept.filter("__join_rows > 1").isEmpty():
+        return out
+    return out.union(held.filter("__join_rows > 1").dropDuplicates(["__join_id", "__join_hash"]).select(docs.columns))

@@ -321,6 +321,48 @@ def test_ngram_join(spark, small, odd):
     assert ngram_join.join(odd.limit(0)).count() == 0
 
 
+def test_rows_that_share_an_id_are_judged_apart(spark):
+    unlike = [" ".join(f"{c}{k}" for k in range(30)) for c in "abc"]
+    rows = [(3, unlike[0]), (10, unlike[1]), (10, unlike[2]), (11, unlike[1]), (None, unlike[2] + " more"), (None, ""), (12, None), (3, unlike[0])]
+    out = ngram_join.keep_one(spark.createDataFrame(rows, "doc_id long, text string"))
+    assert collected(out, "doc_id", "text") == Counter([(3, unlike[0]), (10, unlike[1]), (10, unlike[2]), (None, ""), (12, None)])
+
+
+def test_groups_of_many_blocks(spark, monkeypatch):
+    """Blocks and limits far smaller than the groups: families, tiles and pairs of components of several blocks."""
+    for name, value in (("BLOCK_SETS", 4), ("TILE_BLOCK", 3), ("FIRST", 1)):
+        monkeypatch.setattr(ngram_join, name, value)
+    rows = chain()
+    assert collected(ngram_join.join(spark.createDataFrame(rows, "doc_id long, text string, source string")), "doc_id", "n_shingles", "component_id") == groups(rows)
+
+
+def test_large_group_and_long_text(spark):
+    """A family of near copies of which few are near each other, beside a long text and a copy of it."""
+    rng = np.random.default_rng(3)
+    words, rows = [f"v{k}" for k in range(150)], []
+    for k in range(1500):
+        text = [w if keep else f"x{k}_{j}" for j, (w, keep) in enumerate(zip(words, rng.random(150) > 0.06 * rng.random()))]
+        rows.append((k, " ".join(text), "s"))
+    long = " ".join(f"l{k % 150_001}" for k in range(200_000))
+    rows += [(5000, long, "s"), (5001, "start " + long, "s")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(3)
+    got = {r["doc_id"]: r["component_id"] for r in ngram_join.join(df).collect()}
+    assert got[5000] == got[5001] == 5000
+    sets = {k: {tuple(t.split()[i : i + 5]) for i in range(146)} for k, t, _ in rows[:1500]}
+    tokens = {s: n for n, s in enumerate(set().union(*sets.values()))}
+    grid = np.zeros((1500, len(tokens)), np.float32)
+    for k, s in sets.items():
+        grid[k, [tokens[x] for x in s]] = 1
+    common, size = grid @ grid.T, grid.sum(1)
+    link, label = 100 * common >= 75 * (size[:, None] + size[None] - common), np.arange(1500)
+    while True:
+        step = np.where(link, label[None], 1500).min(1)
+        if (step == label).all():
+            break
+        label = step
+    assert got == dict(enumerate(label)) | {5000: 5000, 5001: 5000} and len(set(label)) > 100
+
+
 def test_components_of_long_chains(spark):
     links = spark.createDataFrame([(k, k + 1) for k in range(100)] + [(500, 501), (501, 500)], "a long, b long")
     assert collected(ngram_join.components(links), "node", "label") == Counter([(k, 0) for k in range(101)] + [(500, 500), (501, 500)])
