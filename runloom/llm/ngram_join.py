@@ -4,10 +4,10 @@
 2. Shingles are ordered rarest first by a fixed-size table of hashed counts over all sets. Of n shingles only the rarest
    quarter is sent out, and n / MEET more: two linked sets must then meet in several of them. A tile is one shingle with the
    sets sent to it, in bands of size; a set that stands in too few tiles has no link and goes no further.
-3. Sets gather in families, under the band's first set that they meet most often, in blocks of bounded size. Inside a block
-   every pair is checked unless it is joined already.
-4. Tiles that still hold sets of several components are cut into blocks of TILE_BLOCK sets. A task takes a pair of blocks and
-   compares all of its pairs of different components by sizes, places and bitmaps; those that may link are checked exactly.
+3. Sets gather in families: under the band's first set that they meet most often, and its leaders. Families are cut into
+   blocks of bounded size. Inside a block every pair is checked unless it is joined already.
+4. Tiles that hold sets of several components and blocks are cut into blocks of TILE_BLOCK sets. A task takes a pair of blocks and
+   compares all of its pairs that are still open by sizes, places and bitmaps; those that may link are checked exactly.
 A check bounds the overlap from above by the differing bits of two parity bitmaps (where they differ, the sets differ in as
 many elements at least), then intersects the sorted arrays exactly. Rows stay in proportion to the sets and the links
 between components: pairs of a group are never written out.
@@ -35,7 +35,9 @@ BITMAP = 1024
 COUNTERS = 1 << 22
 _CHUNK = 1 << 16
 #: Most sets and (but for one larger set) shingles of a family's block.
-BLOCK_SETS, BLOCK_SHINGLES = 2048, 1 << 20
+BLOCK_SETS, BLOCK_SHINGLES = 8192, 1 << 22
+#: Times that families go up to their leaders' families: chains of up to 2^JUMPS leaders become one family.
+JUMPS = 3
 #: Sets of a tile that a task compares with as many others.
 TILE_BLOCK = 8192
 #: Pairs that two components of one pair of blocks have checked before the components are joined; the rest wait for that.
@@ -278,12 +280,12 @@ def _tile_pairs(batches: Iterator[pa.RecordBatch], limit: int | None) -> Iterato
     held: list[pa.RecordBatch] = []
 
     def found(rows: pa.Table) -> Iterator[pa.RecordBatch]:
-        token, i, j, block, sid, label, place = (rows.column(k).to_numpy() for k in range(7))
+        token, i, j, block, sid, label, place, home = (rows.column(k).to_numpy() for k in range(8))
         group = np.concatenate([[0], np.cumsum((token[1:] != token[:-1]) | (i[1:] != i[:-1]) | (j[1:] != j[:-1]))])
         n, rank = (place >> 28) & ((1 << 28) - 1), place & ((1 << 28) - 1)
         order = np.lexsort((n, group))
-        i, j, block, sid, label, n, rank, group = (c[order] for c in (i, j, block, sid, label, n, rank, group))
-        bits = np.frombuffer(b"".join(rows.column(7).to_pylist()), np.uint64).reshape(len(sid), -1)[order]
+        i, j, block, sid, label, home, n, rank, group = (c[order] for c in (i, j, block, sid, label, home, n, rank, group))
+        bits = np.frombuffer(b"".join(rows.column(8).to_pylist()), np.uint64).reshape(len(sid), -1)[order]
         sized = (group << 32) + n
         count = np.searchsorted(sized, (group << 32) + 4 * n // 3, "right") - np.arange(len(n)) - 1
         ends = np.cumsum(count)
@@ -293,7 +295,7 @@ def _tile_pairs(batches: Iterator[pa.RecordBatch], limit: int | None) -> Iterato
             own = count[start:stop]
             x = np.repeat(np.arange(start, stop), own)
             y = x + 1 + np.arange(len(x)) - np.repeat(np.cumsum(own) - own, own)
-            ok = (label[x] != label[y]) & (7 * np.minimum(n[x] - rank[x], n[y] - rank[y]) >= 3 * (n[x] + n[y])) & ((i[x] == j[x]) | (block[x] != block[y]))
+            ok = (label[x] != label[y]) & (home[x] != home[y]) & (7 * np.minimum(n[x] - rank[x], n[y] - rank[y]) >= 3 * (n[x] + n[y])) & ((i[x] == j[x]) | (block[x] != block[y]))
             x, y = x[ok], y[ok]
             differing = np.bitwise_count(bits[x] ^ bits[y]).sum(axis=1, dtype=np.int64)
             ok = 7 * differing <= n[x] + n[y]
@@ -354,23 +356,35 @@ def components(links: DataFrame) -> DataFrame:
         labels = written(after.select("node", "label"), "cc", after)
 
 
-def _families(nodes: DataFrame, arrays: DataFrame) -> DataFrame:
-    """Links a, b inside the families: nodes has sid, n, leader; a leader stands in every block of its family."""
-    members = nodes.select(F.col("leader").alias("family"), "sid", "n").filter("family <> sid")
-    sizes = members.groupBy("family").agg(F.greatest(F.ceil(F.count(F.lit(1)) / (BLOCK_SETS - 1)), F.ceil(F.sum("n") / BLOCK_SHINGLES)).cast("int").alias("blocks"))
-    dealt = members.join(sizes, "family").select("family", F.pmod(F.xxhash64("sid"), F.col("blocks")).cast("int").alias("block"), "sid")
-    leaders = sizes.select("family", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.col("family").alias("sid"))
-    rows = dealt.unionByName(leaders).join(arrays, "sid").select("family", "block", "sid", "bits", "shingles")
+def _trees(nodes: DataFrame) -> DataFrame:
+    """sid, n, family, home of every set: a leader has a smaller id than the sets it leads, so leaders' leaders end in a family.
+
+    home is the block of the family in which all pairs of its sets are checked.
+    """
+    found = nodes.select("sid", "n", F.col("leader").alias("family"))
+    for _ in range(JUMPS):
+        above = found.select(F.col("sid").alias("up"), F.col("family").alias("top"))
+        found = written(found.join(above, F.col("family") == F.col("up"), "left").select("sid", "n", F.coalesce("top", "family").alias("family")), "join-trees")
+    blocks = F.greatest(F.ceil(F.count(F.lit(1)) / BLOCK_SETS), F.ceil(F.sum("n") / BLOCK_SHINGLES)).cast("int").alias("blocks")
+    sizes = found.groupBy("family").agg(blocks)
+    block = F.pmod(F.xxhash64("sid"), F.col("blocks")).cast("int")
+    return written(found.join(sizes, "family").select("sid", "n", "family", block.alias("block"), F.xxhash64("family", block).alias("home")), "join-homes")
+
+
+def _block_rows(homes: DataFrame, arrays: DataFrame) -> DataFrame:
+    """Links a, b inside the blocks."""
+    rows = homes.select("family", "block", "sid").join(arrays, "sid").select("family", "block", "sid", "bits", "shingles")
     return rows.repartition("family", "block").sortWithinPartitions("family", "block").mapInArrow(_block_links, "a long, b long")
 
 
 def _mixed(tiles: DataFrame, labels: DataFrame) -> DataFrame:
-    """Rows of the tiles that hold sets of several components, with their component and the number of the tile's last block.
+    """Rows of the tiles that hold sets of several components and homes, with their component and the number of the tile's last block.
 
     Components only grow, so a tile that is left out once stays out.
     """
     rows = tiles.join(labels.withColumnRenamed("node", "sid"), "sid", "left").withColumn("label", F.coalesce("label", "sid"))
-    mixed = rows.groupBy("token").agg(F.min("label").alias("x"), F.max("label").alias("y"), F.floor(F.max("number") / TILE_BLOCK).cast("int").alias("last")).filter("x <> y")
+    several = lambda c: F.min(c) != F.max(c)
+    mixed = rows.groupBy("token").agg((several("label") & several("home")).alias("open"), F.floor(F.max("number") / TILE_BLOCK).cast("int").alias("last")).filter("open")
     return rows.join(mixed.select("token", "last"), "token")
 
 
@@ -379,7 +393,7 @@ def _open_links(tiles: DataFrame, labels: DataFrame, arrays: DataFrame, limit: i
     block = F.floor(F.col("number") / TILE_BLOCK).cast("int")
     around = F.transform(F.sequence(F.lit(0), F.col("last")), lambda k: F.struct(F.least(k, F.col("block")).alias("i"), F.greatest(k, F.col("block")).alias("j")))
     rows = _mixed(tiles, labels).withColumn("block", block).join(arrays.select("sid", "bits"), "sid")
-    rows = rows.select("token", F.explode(around).alias("of"), "block", "sid", "label", "place", "bits").select("token", "of.i", "of.j", "block", "sid", "label", "place", "bits")
+    rows = rows.select("token", F.explode(around).alias("of"), "block", "sid", "label", "place", "home", "bits").select("token", "of.i", "of.j", "block", "sid", "label", "place", "home", "bits")
     pairs = rows.repartition("token", "i", "j").sortWithinPartitions("token", "i", "j").mapInArrow(lambda b: _tile_pairs(b, limit), "a long, b long, more boolean")
     pairs = written(pairs.groupBy("a", "b").agg(F.max("more").alias("more")), "join-pairs")
     of = lambda end, name: arrays.select(F.col("sid").alias(end), F.col("shingles").alias(name))
@@ -411,10 +425,11 @@ def _labelled(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     arrays = source.mapInArrow(lambda b: _arrays(b, wanted), "sid long, n long, bits binary, shingles binary").join(nodes.select("sid"), "sid", "left_semi")
     arrays = written(arrays.dropDuplicates(["sid"]), "join-arrays")
     wanted.destroy()
-    labels = components(_families(nodes, arrays))
-    slim = tiles.join(nodes.select("sid"), "sid", "left_semi").select("token", "sid", "place", "number")
-    mixed = written(_mixed(slim, labels).select("token", "sid", "place", "number"), "join-mixed")
-    discard(tiles, nodes)
+    homes = _trees(nodes)
+    labels = components(_block_rows(homes, arrays))
+    slim = tiles.join(homes.select("sid", "home"), "sid").select("token", "sid", "place", "number", "home")
+    mixed = written(_mixed(slim, labels).select("token", "sid", "place", "number", "home"), "join-mixed")
+    discard(tiles, nodes, homes)
     links, pairs = _open_links(mixed, labels, arrays, FIRST)
     labels = _joined(labels, links)
     of = lambda end: labels.select(F.col("node").alias(end), F.col("label").alias(f"{end}_label"))
