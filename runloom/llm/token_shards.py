@@ -13,8 +13,7 @@ share words.
 
 from __future__ import annotations
 
-import re
-import struct
+import json
 import zlib
 from collections.abc import Iterator
 
@@ -24,7 +23,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from runloom.llm.common import pieces, texts, work_dir
+from runloom.llm.common import buffers, pieces, texts, tidy, work_dir
+from runloom.llm.textnum import mix
 
 #: Ids in a word and their bits, by selector; selector 0 is the escape.
 COUNT = np.array([1, 60, 30, 20, 15, 12, 10, 8, 7, 6, 5, 4, 3, 2, 1], np.int64)
@@ -34,25 +34,12 @@ RUN = 512
 #: A block is closed after the document that reaches this many ids.
 BLOCK_IDS = 1 << 20
 END_ID = 2
-#: Bytes of text encoded at once: what chunks they share is looked up once.
+#: Bytes of text encoded at once.
 ENCODE_BYTES = 4 << 20
-#: Fixed value: Unicode white space, as the tokenizer's splitter has it. A text may be cut before white space that follows other
-#: characters: no token crosses that place.
-_SPACE = r"\t-\r\x20\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
-CHUNK = re.compile(rf"[{_SPACE}]*[^{_SPACE}]+|[{_SPACE}]+")
-#: White space, single or doubled, that keeps a text from being cut by str.split alone.
-ODD = ("\t", "\x0b", "\x0c", "\r", "  ", " \n", "\n ", "\n\n")
-ODD_WIDE = tuple("\x85\xa0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000")
-
-
-def plainly_spaced(text: str) -> bool:
-    """A space or line feed stands alone between other characters throughout."""
-    return not (not text or text[0] in " \n" or text[-1] in " \n" or any(x in text for x in ODD) or (not text.isascii() and any(x in text for x in ODD_WIDE)))
-
-
-#: Most chunks that a worker remembers.
-MEMORY = 1_000_000
-
+#: Most chunks that a worker remembers, beside those of the texts at hand; beyond them it starts anew.
+MEMORY = 1 << 18
+#: Longest chunk (in bytes) that is remembered: three words of eight bytes, the last of which holds the length.
+SHORT = 23
 
 def encode(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Words (uint64) and run offsets (uint32) of unsigned ids; all runs take a step at a time."""
@@ -145,15 +132,71 @@ def decode(words: np.ndarray, offsets: np.ndarray, n_ids: int) -> np.ndarray:
     return out[:n_ids]
 
 
-_PACKED = [struct.Struct(f"<{n}I").pack for n in range(64)]
+def _ascii(*ranges: tuple[int, int]) -> np.ndarray:
+    out = np.zeros(256, bool)
+    for low, high in ranges:
+        out[low : high + 1] = True
+    return out
+
+
+_SPACE, _ALNUM, _PUNCTUATION = _ascii((9, 13), (32, 32)), _ascii((48, 57), (65, 90), (97, 122)), _ascii((33, 47), (58, 64), (91, 96), (123, 126))
+_MASK = np.array([(1 << 8 * k) - 1 for k in range(9)], np.uint64)
+
 
+def _after_wide_space(buf: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """True where the character before a place is white space of several bytes (Unicode's White_Space, fixed values)."""
+    x, y, z = (np.where(at >= k, buf[np.maximum(at - k, 0)], 0) for k in (3, 2, 1))
+    general = (x == 0xE2) & (((y == 0x80) & ((z <= 0x8A) | np.isin(z, (0xA8, 0xA9, 0xAF)))) | ((y == 0x81) & (z == 0x9F)))
+    return general | ((y == 0xC2) & np.isin(z, (0x85, 0xA0))) | ((x == 0xE1) & (y == 0x9A) & (z == 0x80)) | ((x == 0xE3) & (y == 0x80) & (z == 0x80))
 
-def pack(*ids: int) -> bytes:
-    return _PACKED[len(ids)](*ids) if len(ids) < 64 else struct.pack(f"<{len(ids)}I", *ids)
+
+class ChunkMemory:
+    """A hash table of short chunks, by their bytes, and their ids in one pool."""
+
+    def __init__(self) -> None:
+        self.slots = np.full(4 * MEMORY + 4, -1, np.int32)
+        self.keys, self.place, self.count = np.zeros((0, 3), np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        self.pool = np.zeros(0, np.uint32)
+
+    def find(self, keys: np.ndarray, hashes: np.ndarray) -> np.ndarray:
+        """Number of each chunk, -1 where it is unknown."""
+        out = np.full(len(keys), -1, np.int64)
+        if not len(self.keys):
+            return out
+        pending, slot = np.arange(len(keys)), (hashes % np.uint64(len(self.slots))).astype(np.int64)
+        while len(pending):
+            entry = self.slots[slot]
+            same = (entry >= 0) & (self.keys[entry] == keys[pending]).all(axis=1)
+            out[pending[same]] = entry[same]
+            go = (entry >= 0) & ~same
+            pending, slot = pending[go], (slot[go] + 1) % len(self.slots)
+        return out
+
+    def add(self, place: np.ndarray, count: np.ndarray, ids: np.ndarray, keys: np.ndarray) -> None:
+        self.place, self.count = np.concatenate([self.place, place + len(self.pool)]), np.concatenate([self.count, count])
+        self.pool, self.keys = np.concatenate([self.pool, ids]), np.concatenate([self.keys, keys])
+
+    def keep(self, n: int) -> None:
+        if n < len(self.keys):
+            self.pool = self.pool[: self.place[n]]
+            self.keys, self.place, self.count = self.keys[:n], self.place[:n], self.count[:n]
+
+    def index(self, entries: np.ndarray, hashes: np.ndarray) -> None:
+        slot = (hashes % np.uint64(len(self.slots))).astype(np.int64)
+        while len(entries):
+            free = self.slots[slot] < 0
+            self.slots[slot[free]] = entries[free]  # of several the last one stands
+            go = self.slots[slot] != entries
+            entries, slot = entries[go], (slot[go] + 1) % len(self.slots)
 
 
 class ChunkEncoder:
-    """Ids of whole texts by the tokenizers library. Chunks seen before are taken from memory; new ones are joined and encoded in one call."""
+    """Ids of whole texts by the tokenizers library.
+
+    A byte-level tokenizer's splitter ends a piece before white space that follows other characters, and between an ASCII
+    letter or digit and ASCII punctuation. Texts are cut there, and the tokenizer sees each different chunk once. A tokenizer
+    that splits in other ways encodes whole texts.
+    """
 
     def __init__(self, path: str) -> None:
         import os
@@ -166,58 +209,104 @@ class ChunkEncoder:
         added = self.tokenizer.get_added_tokens_decoder()
         # every other token is spelled with one character per byte
         self.n_bytes = np.array([len(added[i].content.encode()) if i in added else len(self.tokenizer.id_to_token(i) or "") for i in range(size)], np.int64)
-        # the byte alphabet: printable bytes spell themselves, the others follow from 256 on
-        plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
-        self.spelled = {b: b for b in plain} | {b: 256 + k for k, b in enumerate(b for b in range(256) if b not in plain)}
-        self.spaced: dict[str, bytes] = {}  # "x" stands for " x", "\nx" for itself
-        self.plain: dict[str, bytes] = {}  # first chunks, and those of oddly spaced texts
-
-    def _joined(self, chunks: list[str]) -> Iterator[bytes]:
-        """Ids of chunks that start with white space and end with other characters, encoded as one text and cut by byte lengths."""
-        for k in range(0, len(chunks), 4096):
-            part = chunks[k : k + 4096]
-            ids = np.array(self.tokenizer.encode("".join(part), add_special_tokens=False).ids, np.uint32)
-            cut = np.searchsorted(np.cumsum(self.n_bytes[ids]), np.cumsum([len(c.encode()) for c in part])) + 1
-            yield from (ids[a:b].tobytes() for a, b in zip(np.concatenate([[0], cut[:-1]]), cut))
-
-    def _spaced(self, new: list[str]) -> Iterator[tuple[str, bytes]]:
-        """Ids of new chunks. A full stop or comma after a letter or digit is a token of its own, so those chunks are put together."""
-        ended = [x for x in new if x[-1] in ".," and x[-2:-1].isalnum()]
-        bare = {x[:-1] for x in ended}
-        bare.update(x for x in new if not (x[-1] in ".," and x[-2:-1].isalnum()))
-        bare.difference_update(self.spaced)
-        whole = [x for x in bare if x.isalpha() and (x.isascii() or max(x) < "\u0250")]  # " x" is one unit of the splitter
-        tokenize, spelled = self.tokenizer.model.tokenize, self.spelled
-        spell = lambda x: "\u0120" + (x if x.isascii() else x.encode().decode("latin-1").translate(spelled))
-        learned = {x: pack(*[t.id for t in tokenize(spell(x))]) for x in whole}
-        other = list(bare.difference(learned))
-        learned.update(zip(other, self._joined([x if x[0] == "\n" else " " + x for x in other])))
-        yield from learned.items()
-        mark = {c: np.array(self.tokenizer.encode(c, add_special_tokens=False).ids, np.uint32).tobytes() for c in ".,"}
-        known = self.spaced
-        for x in ended:
-            yield x, (learned.get(x[:-1]) or known[x[:-1]]) + mark[x[-1]]
-
-    def encode(self, column: list[str]) -> list[bytes]:
-        """Ids of each text as little-endian unsigned 32-bit integers."""
-        regular = [plainly_spaced(t) for t in column]
-        cut = [t.replace("\n", " \n").split(" ") if ok else CHUNK.findall(t) for t, ok in zip(column, regular)]
-        firsts = [x.pop(0) if ok else "" for x, ok in zip(cut, regular)]
-        spaced = list(set().union(*(x for x, ok in zip(cut, regular) if ok)).difference(self.spaced))
-        plain = list(set(firsts).union(*(x for x, ok in zip(cut, regular) if not ok)).difference(self.plain))
-        spaced_now = self._remember(self.spaced, self._spaced(spaced))
-        found = self.tokenizer.encode_batch(plain, add_special_tokens=False)
-        plain_now = self._remember(self.plain, zip(plain, (np.array(e.ids, np.uint32).tobytes() for e in found)))
-        return [plain_now(f) + b"".join(map(spaced_now if ok else plain_now, x)) for f, x, ok in zip(firsts, cut, regular)]
-
-    @staticmethod
-    def _remember(known: dict[str, bytes], learned: Iterator[tuple[str, bytes]]):
-        """The look-up for one batch: what it learned stays in memory while there is room."""
-        if len(known) < MEMORY:
-            known.update(learned)
-            return known.__getitem__
-        now = dict(learned)
-        return (lambda k: now.get(k) or known[k]) if now else known.__getitem__
+        form = json.loads(self.tokenizer.to_str())
+        splitter = form["pre_tokenizer"] or {}
+        odd = any(t.lstrip or t.rstrip or t.single_word or any(c.isspace() for c in t.content) for t in added.values())
+        self.chunked = splitter.get("type") == "ByteLevel" and splitter.get("use_regex") and not splitter.get("add_prefix_space") and not form["normalizer"] and not odd
+        self.punctuation = _PUNCTUATION.copy()  # but for what stands inside an added token
+        self.punctuation[[b for t in added.values() for b in t.content[1:].encode()]] = False
+        self.memory = ChunkMemory()
+
+    def _starts(self, buf: np.ndarray) -> np.ndarray:
+        """True where a chunk may begin, as far as the bytes before tell."""
+        cut = np.zeros(len(buf), bool)
+        space = _SPACE[buf]
+        cut[1:] = (space[1:] & ~space[:-1]) | (self.punctuation[buf[1:]] & _ALNUM[buf[:-1]])
+        at = np.flatnonzero(cut[1:] & (buf[:-1] >= 0x80)) + 1
+        cut[at[_after_wide_space(buf, at)]] = False
+        return cut
+
+    def _learn(self, chunks: list[str]) -> list[np.ndarray]:
+        """Ids of different chunks. Those that start with white space and end with other characters are encoded as one text and cut by byte lengths."""
+        out: list = [None] * len(chunks)
+        spaced = [k for k, c in enumerate(chunks) if c[0] in " \t\n\x0b\x0c\r" and not c[-1].isspace()]
+        for k in range(0, len(spaced), 4096):
+            part = spaced[k : k + 4096]
+            ids = np.array(self.tokenizer.encode("".join([chunks[i] for i in part]), add_special_tokens=False).ids, np.uint32)
+            cut = np.searchsorted(np.cumsum(self.n_bytes[ids]), np.cumsum([len(chunks[i].encode()) for i in part])) + 1
+            for i, a, b in zip(part, np.concatenate([[0], cut[:-1]]), cut):
+                out[i] = ids[a:b]
+        rest = [k for k, x in enumerate(out) if x is None]
+        for k, e in zip(rest, self.tokenizer.encode_batch([chunks[k] for k in rest], add_special_tokens=False)):
+            out[k] = np.array(e.ids, np.uint32)
+        return out
+
+    def _window(self, buf: np.ndarray, start: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of the chunks that begin at start, and how many each has."""
+        memory = self.memory
+        if len(memory.keys) > MEMORY:
+            memory = self.memory = ChunkMemory()
+        length = np.diff(np.append(start, len(buf)))
+        padded = np.concatenate([buf, np.zeros(24, np.uint8)])
+        word = np.ndarray((len(buf) + 16,), np.uint64, padded, strides=(1,))  # eight bytes from every place on
+        keys = np.stack([word[start + 8 * k] & _MASK[np.clip(length - 8 * k, 0, 8)] for k in range(3)], axis=1)
+        short = length <= SHORT
+        keys[short, 2] |= length[short].astype(np.uint64) << np.uint64(56)
+        hashes = mix(mix(mix(keys[:, 0]) ^ keys[:, 1]) + keys[:, 2])
+        entry = np.full(len(start), -1, np.int64)
+        at = np.flatnonzero(short)
+        entry[at] = memory.find(keys[at], hashes[at])
+        new = at[entry[at] < 0]
+        _, first, inverse = np.unique(hashes[new], return_index=True, return_inverse=True)
+        same = (keys[new] == keys[new[first[inverse]]]).all(axis=1)  # others share a hash: each for itself, as long chunks
+        once, raw = new[first], buf.tobytes()
+        other = np.concatenate([np.flatnonzero(~short), new[~same]])
+        spelled = [raw[a:b] for a, b in zip(start[other].tolist(), (start + length)[other].tolist())]
+        number = {c: k for k, c in enumerate(dict.fromkeys(spelled))}
+        chunks = [raw[a:b] for a, b in zip(start[once].tolist(), (start + length)[once].tolist())] + list(number)
+        learned = self._learn([c.decode() for c in chunks])
+        count = np.array([len(x) for x in learned], np.int64)
+        known = len(memory.keys)
+        entry[new[same]] = known + inverse[same]
+        entry[other] = known + len(once) + np.array([number[c] for c in spelled], np.int64)
+        memory.add(np.cumsum(count) - count, count, np.concatenate([np.zeros(0, np.uint32), *learned]), np.concatenate([keys[once], np.zeros((len(number), 3), np.uint64)]))
+        counts = memory.count[entry]
+        ids = memory.pool[np.repeat(memory.place[entry] - (np.cumsum(counts) - counts), counts) + np.arange(counts.sum())]
+        kept = min(known + len(once), len(memory.slots) // 2)  # neither long chunks nor those beyond half of the table stay
+        memory.keep(kept)
+        memory.index(np.arange(known, kept, dtype=np.int32), hashes[once[: kept - known]])
+        return ids, counts
+
+    def encode(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of a null-free column's texts, one after the other, and how many each has."""
+        if not self.chunked:
+            found = [np.array(e.ids, np.uint32) for e in self.tokenizer.encode_batch(column.to_pylist(), add_special_tokens=False)]
+            return np.concatenate([np.zeros(0, np.uint32), *found]), np.array([len(x) for x in found], np.int64)
+        buf, offs = buffers(column)
+        out, lo = [np.zeros(0, np.uint32)], 0
+        ends, totals, before = [], [], 0  # for each chunk: where it ends, ids up to there
+        while lo < len(buf):
+            size = ENCODE_BYTES
+            while True:
+                part = buf[lo : lo + size]
+                cut = self._starts(part)
+                cut[0] = True
+                borders = offs[(offs > lo) & (offs < lo + len(part))] - lo
+                cut[borders] = True
+                start = np.flatnonzero(cut)
+                if lo + len(part) == len(buf) or len(start) > 1:
+                    break
+                size *= 2  # no cut in here
+            if lo + len(part) < len(buf):
+                part, start = part[: start[-1]], start[:-1]
+            ids, counts = self._window(part, start)
+            out.append(ids)
+            ends.append(np.append(start[1:], len(part)) + lo)
+            totals.append(before + np.cumsum(counts))
+            before += len(ids)
+            lo += len(part)
+        ends, totals = np.concatenate([[0], *ends]), np.concatenate([[0], *totals])
+        return np.concatenate(out), np.diff(totals[np.searchsorted(ends, offs)])
 
 
 _encoders: dict[str, ChunkEncoder] = {}
@@ -227,28 +316,36 @@ BLOCK_SCHEMA = "shard long, block int, doc_ids array<{id_type}>, lengths array<l
 def _blocks(batches: Iterator[pa.RecordBatch], vocabulary: str, id_type: pa.DataType) -> Iterator[pa.RecordBatch]:
     encoder = _encoders.get(vocabulary) or _encoders.setdefault(vocabulary, ChunkEncoder(vocabulary))
     shard, block = TaskContext.get().partitionId(), 0
-    end = np.array([END_ID], np.uint32).tobytes()
-    ids, parts, size = [], [], 0
+    ids, lengths, parts, size = [], [], [], 0
     types = [pa.int64(), pa.int32(), pa.list_(id_type), pa.list_(pa.int64()), pa.int64(), pa.binary(), pa.binary()]
 
     def closed() -> pa.RecordBatch:
-        values = np.frombuffer(b"".join(parts), np.uint32)
+        values = np.concatenate(parts)
         words, offsets = encode(values)
-        row = [shard, block, ids, [len(p) // 4 for p in parts], len(values), offsets.tobytes(), words.tobytes()]
+        row = [shard, block, ids, lengths, len(values), offsets.tobytes(), words.tobytes()]
         return pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in zip(row, types)], ["shard", "block", "doc_ids", "lengths", "n_ids", "offsets", "words"])
 
     for batch in batches:
         column, names = texts(batch.column(1)), batch.column(0).to_pylist()
         for lo, hi in pieces(column, ENCODE_BYTES):
-            for name, data in zip(names[lo:hi], encoder.encode(column.slice(lo, hi - lo).to_pylist())):
-                ids.append(name)
-                parts.append(data + end)
-                size += len(parts[-1]) // 4
+            found, counts = encoder.encode(column.slice(lo, hi - lo))
+            ends = np.cumsum(counts)
+            found, counts = np.insert(found, ends, np.uint32(END_ID)), counts + 1
+            ends = np.cumsum(counts)
+            start, at = 0, 0  # documents and ids that are in a block
+            while start < hi - lo:
+                stop = min(hi - lo, int(np.searchsorted(ends, at + BLOCK_IDS - size)) + 1)
+                ids.extend(names[lo + start : lo + stop])
+                lengths.extend(counts[start:stop].tolist())
+                parts.append(found[at : ends[stop - 1]])
+                size += len(parts[-1])
+                start, at = stop, ends[stop - 1]
                 if size >= BLOCK_IDS:
                     yield closed()
-                    ids, parts, size, block = [], [], 0, block + 1
+                    ids, lengths, parts, size, block = [], [], [], 0, block + 1
     if ids:
         yield closed()
+    tidy()
 
 
 def write(docs: DataFrame, path: str, vocabulary: str, id_col: str = "doc_id", text_col: str = "text") -> None:

@@ -6,6 +6,7 @@ import zlib
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pyarrow.parquet as pq
 import pytest
 from pyspark.sql import functions as F
@@ -68,6 +69,33 @@ def test_simple8b_round_trip():
             assert (token_shards.decode(words[offsets[k] : end], np.zeros(1, np.uint32), len(part)) == part).all()
 
 
+@pytest.mark.parametrize(("memory", "size"), [(1 << 18, 4 << 20), (0, 1 << 10), (100, 1 << 8), (3, 7)])
+def test_chunks_give_the_tokens_of_whole_texts(monkeypatch, memory, size):
+    """Odd white space, punctuation and added tokens, with a memory that is full or forgets, and windows smaller than a text."""
+    import public_tokenizers
+
+    monkeypatch.setattr(token_shards, "MEMORY", memory)
+    monkeypatch.setattr(token_shards, "ENCODE_BYTES", size)
+    parts = [" ", "  ", "\n", "\t", "\xa0", "\u3000", "\u2009", "\x85", "\u1680", "\u205f", "a", "Zq", "é", "日本", "'s", "'ll", "'", "<|endoftext|>", "<|", "|>", ".", ",", "1", "23", "!?", "_", "-", "\x1c", "\x00", "\U0001f600", "ofthst", ")", "x" * 30]
+    rng = np.random.default_rng(5)
+    texts = ["".join(rng.choice(parts, rng.integers(0, 60))) for _ in range(1500)] + ["", "long" * 2000, " " * 3000, "", "a b " * 3000]
+    encoder = token_shards.ChunkEncoder(public_tokenizers.path("byte_bpe_50k.json"))
+    assert encoder.chunked
+    ids, counts = encoder.encode(pa.array(texts))
+    want = encoder.tokenizer.encode_batch(texts, add_special_tokens=False)
+    assert counts.tolist() == [len(e.ids) for e in want] and ids.tolist() == [x for e in want for x in e.ids]
+
+
+def test_other_tokenizers_encode_whole_texts(spark):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    path = public_tokenizers.path("word_bpe_49k.json")
+    assert not token_shards.ChunkEncoder(path).chunked
+    out = token_shards.encode_table(spark.createDataFrame([(1, "Some Words, here."), (2, None)], "doc_id long, text string"), path, with_ids=True).collect()
+    assert {r["doc_id"]: list(r["ids"]) for r in out} == {1: Tokenizer.from_file(path).encode("Some Words, here.", add_special_tokens=False).ids + [2], 2: [2]}
+
+
 def test_token_shards(spark, small, odd):
     import public_tokenizers
     from tokenizers import Tokenizer
