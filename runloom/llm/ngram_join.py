@@ -163,7 +163,7 @@ def _tiles(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
     One row is held back between batches, so memory does not depend on the size of a tile.
     """
-    held: tuple | None = None  # token, sid, place, in a tile with the row before, first of the band, number
+    held: tuple | None = None  # token, sid, place, in a tile with the row before, first of the band, number, leader
     names = ["token", "sid", "place", "leader", "number"]
     for batch in batches:
         cols = [batch.column(k).to_numpy() for k in range(3)]
@@ -181,34 +181,42 @@ def _tiles(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tile = ~same
         start = tile.copy()
         start[1:] |= band[1:] != band[:-1]
-        leader = sid[np.maximum.accumulate(np.where(start, at, 0))]
+        head = np.maximum.accumulate(np.where(start, at, 0))
+        leader = sid[head]
         number = at - np.maximum.accumulate(np.where(tile, at, 0))
         if held is not None:  # the tile and the band of row 0 began before
             same[0] = held[3]
             leader[: int(np.argmax(start[1:])) + 1 if start[1:].any() else None] = held[4]
+        # a band's first set follows that of the band before, so that families reach over bands
+        firsts = np.flatnonzero(start[1:] & ~tile[1:]) + 1
+        firsts = firsts[band[firsts] == band[firsts - 1] + 1]
+        follows = leader.copy()
+        follows[firsts] = leader[firsts - 1]
+        if held is not None:
+            follows[0] = held[6]
             number[: int(np.argmax(tile[1:])) + 1 if tile[1:].any() else None] += held[5]
         many = same.copy()
         many[:-1] |= same[1:]
         rows = np.flatnonzero(many[:-1])
         if len(rows):
-            yield pa.RecordBatch.from_arrays([pa.array(c[rows]) for c in (token, sid, place, leader, number)], names)
-        held = (token[-1], sid[-1], place[-1], bool(same[-1]), leader[-1], number[-1])
+            yield pa.RecordBatch.from_arrays([pa.array(c[rows]) for c in (token, sid, place, follows, number)], names)
+        held = (token[-1], sid[-1], place[-1], bool(same[-1]), leader[-1], number[-1], follows[-1])
     if held is not None and held[3]:
-        yield pa.RecordBatch.from_arrays([pa.array([v], pa.int64()) for v in (held[0], held[1], held[2], held[4], held[5])], names)
+        yield pa.RecordBatch.from_arrays([pa.array([v], pa.int64()) for v in (held[0], held[1], held[2], held[6], held[5])], names)
     tidy()
 
 
 def _arrays(batches: Iterator[pa.RecordBatch], wanted) -> Iterator[pa.RecordBatch]:
-    """sid, size, bitmap and sorted shingles of the sets that the filter lets pass, once a task."""
+    """sid, bitmap and sorted shingles of the sets that the filter lets pass, once a task."""
     bits, seen = wanted.value, set()
-    names = ["sid", "n", "bits", "shingles"]
+    names = ["sid", "bits", "shingles"]
     for batch in batches:
         for _, _, first, x in shingle_sets(texts(batch.column(0))):
             sizes, sid = np.diff(first), set_ids(first, x)
             keep = np.flatnonzero(_unseen(sid, np.where(passes(bits, sid), sizes, 0), seen))
             parts = [x[first[i] : first[i + 1]] for i in keep]
             if parts:
-                yield pa.RecordBatch.from_arrays([pa.array(sid[keep]), pa.array(sizes[keep]), pa.array([bitmap(p).tobytes() for p in parts], pa.binary()), pa.array([p.tobytes() for p in parts], pa.binary())], names)
+                yield pa.RecordBatch.from_arrays([pa.array(sid[keep]), pa.array([bitmap(p).tobytes() for p in parts], pa.binary()), pa.array([p.tobytes() for p in parts], pa.binary())], names)
     tidy()
 
 
@@ -225,9 +233,8 @@ def joined(sid: np.ndarray, bits: np.ndarray, arrays: list[np.ndarray]) -> np.nd
     """Component of each set of a block: the number of one of its sets. Every pair that sizes and bitmaps admit is checked unless joined already."""
     n = np.array([len(x) for x in arrays])
     order = np.argsort(n, kind="stable")
-    label = np.arange(len(sid))
-    for at, i in enumerate(order):
-        low = int(np.searchsorted(n[order], -(-3 * n[i] // 4)))
+    label, lows = np.arange(len(sid)), np.searchsorted(n[order], -(-3 * n[order] // 4))
+    for at, (i, low) in enumerate(zip(order, lows)):
         before = order[low:at]
         before = before[(sid[before] != sid[i]) & (label[before] != label[i])]
         differing = np.bitwise_count(bits[before] ^ bits[i]).sum(axis=1, dtype=np.int64)
@@ -371,9 +378,9 @@ def _trees(nodes: DataFrame) -> DataFrame:
     return written(found.join(sizes, "family").select("sid", "n", "family", block.alias("block"), F.xxhash64("family", block).alias("home")), "join-homes")
 
 
-def _block_rows(homes: DataFrame, arrays: DataFrame) -> DataFrame:
+def _block_links_of(arrays: DataFrame) -> DataFrame:
     """Links a, b inside the blocks."""
-    rows = homes.select("family", "block", "sid").join(arrays, "sid").select("family", "block", "sid", "bits", "shingles")
+    rows = arrays.select("family", "block", "sid", "bits", "shingles")
     return rows.repartition("family", "block").sortWithinPartitions("family", "block").mapInArrow(_block_links, "a long, b long")
 
 
@@ -417,18 +424,22 @@ def _labelled(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     tiles = written(sent.repartition("token").sortWithinPartitions("token", band, "sid").mapInArrow(_tiles, "token long, sid long, place long, leader long, number long"), "join-tiles")
     levels.destroy()
     # a set's tiles by leader: linked sets meet in 1 + least size // MEET tiles or more, and that size is 3/4 of either's at least
-    votes = tiles.groupBy("sid", "leader").agg(F.count(F.lit(1)).alias("votes"), F.first(F.shiftright("place", 28).bitwiseAND(F.lit((1 << 28) - 1))).alias("n"))
+    size, enough = F.shiftright("place", 28).bitwiseAND(F.lit((1 << 28) - 1)), F.col("met") >= 1 + F.floor(F.ceil(0.75 * F.col("n")) / MEET)
+    votes = tiles.groupBy("sid", "leader").agg(F.count(F.lit(1)).alias("votes"), F.first(size).alias("n"))
     best = F.max_by("leader", F.struct(F.col("leader") != F.col("sid"), "votes", "leader")).alias("leader")
-    nodes = votes.groupBy("sid").agg(F.sum("votes").alias("met"), F.first("n").alias("n"), best).filter(F.col("met") >= 1 + F.floor(F.ceil(0.75 * F.col("n")) / MEET))
+    nodes = votes.groupBy("sid").agg(F.sum("votes").alias("met"), F.first("n").alias("n"), best).filter(enough)
     nodes = written(nodes.select("sid", "n", "leader"), "join-nodes")
     wanted = spark.sparkContext.broadcast(bit_filter(nodes.select("sid")))
-    arrays = source.mapInArrow(lambda b: _arrays(b, wanted), "sid long, n long, bits binary, shingles binary").join(nodes.select("sid"), "sid", "left_semi")
+    homes = _trees(nodes)
+    arrays = source.mapInArrow(lambda b: _arrays(b, wanted), "sid long, bits binary, shingles binary").join(homes.select("sid", "family", "block"), "sid")
     arrays = written(arrays.dropDuplicates(["sid"]), "join-arrays")
     wanted.destroy()
-    homes = _trees(nodes)
-    labels = components(_block_rows(homes, arrays))
+    labels = components(_block_links_of(arrays))
     slim = tiles.join(homes.select("sid", "home"), "sid").select("token", "sid", "place", "number", "home")
     mixed = written(_mixed(slim, labels).select("token", "sid", "place", "number", "home"), "join-mixed")
+    # the tiles that two linked sets of different components and homes share are all among these
+    able = mixed.groupBy("sid").agg(F.count(F.lit(1)).alias("met"), F.first(size).alias("n")).filter(enough).select("sid")
+    mixed = written(mixed.join(able, "sid", "left_semi"), "join-open", mixed)
     discard(tiles, nodes, homes)
     links, pairs = _open_links(mixed, labels, arrays, FIRST)
     labels = _joined(labels, links)
