@@ -130,6 +130,47 @@ def test_licences(spark, odd):
     assert licences.scan(odd).count() == len(ODD) and licences.scan(odd.limit(0)).count() == 0
 
 
+MIT = next(t for name, t in licences.TEMPLATES if name == "MIT" and len(t) > 500)
+
+
+def test_wrapped_headers_and_licence_files(spark):
+    """A notice wrapped in comments, one inside a long line, a licence text over many lines, and what lies around them."""
+    words = MIT.split()
+    wrapped = "MIT License\n\nCopyright (c) 2020 Some Body\n\n" + "\n".join(" ".join(words[k : k + 9]) for k in range(0, len(words), 9))
+    header = "# Licensed under the Apache License, Version 2.0 (the \"License\");\n# you may not use this file except in\n# compliance with the License.\n#\nimport that\n\n" + "and = much + more(of, the, same)\n" * 9
+    inside = "Some prose that goes before it. Licensed under the Apache License, Version 2.0. And some prose that comes after the notice."
+    rows = [(1, wrapped, "lib/one/LICENSE"), (2, "code without a notice", "lib/one/src/deep/a.py"), (3, header, "lib/two/b.py"), (4, inside, "lib/two/c.py"), (5, "nothing at all", "lib/two/d.py"), (6, None, "lib/one/e.py"), (7, "top", "f.py")]
+    got = {r["doc_id"]: (r["licence"], r["origin"], r["licence_dir"]) for r in licences.scan(spark.createDataFrame(rows, "doc_id long, text string, path string"), F.col("path")).collect()}
+    assert got == {1: ("MIT", "file", None), 2: ("MIT", "inherited", "lib/one"), 3: ("Apache-2.0", "header", None), 4: ("Apache-2.0", "header", None), 5: (None, None, None), 6: ("MIT", "inherited", "lib/one"), 7: (None, None, None)}
+
+
+def licence_units_by_hand(rows):
+    """Cosine of every unit with every template, term by term."""
+    counts = Counter(t for _, text in rows for t in set(licences._python_terms(text or "")))
+    idf, rare = licences.weights(counts, len(rows))
+    square = lambda terms: sum(idf.get(t, rare) ** 2 for t in terms)
+    out = Counter()
+    for d, text in rows:
+        for kind, cut in (*licences.UNITS, ("text", None)):
+            for k, part in enumerate([] if text is None else [text] if cut is None else re.split(cut, text)):
+                own, best = set(licences._python_terms(part)), (0.0, 0, None)
+                for i, (name, t) in enumerate(licences.TEMPLATES):
+                    terms = set(licences._python_terms(t))
+                    if own and (cosine := round(square(own & terms) / (square(own) * square(terms)) ** 0.5, 6)) >= licences.COSINE:
+                        best = max(best, (cosine, -i, name))
+                if best[2]:
+                    out[d, kind, k, best[2], best[0], min(len(SPACED.findall(part)), len(SPACED.findall(licences.TEMPLATES[-best[1]][1])))] += 1
+    return out
+
+
+def test_licence_units_against_brute_force(spark, small):
+    rows = [(r["doc_id"], r["text"]) for r in given(small)]
+    rows += [(10_000 + k, "word " * k + t + " more words.\n\n" + t.replace(" ", "\n", 3)) for k, (_, t) in enumerate(licences.TEMPLATES)] + [(20_000, MIT[:300]), (20_001, ""), (20_002, None), (20_003, MIT * 2)]
+    found = {tuple(r[c] for c in ("doc_id", "kind", "unit", "licence", "words")): r["cosine"] for r in licences.licence_units(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    want = {(d, kind, k, name, words): cosine for d, kind, k, name, cosine, words in licence_units_by_hand(rows)}
+    assert found.keys() == want.keys() and all(abs(found[k] - want[k]) < 2e-6 for k in want) and len(want) > 100
+
+
 def test_licence_lines_of_the_given_documents(spark, small):
     fixed = [t for _, t in licences.TEMPLATES]
     want = {r["doc_id"] for r in given(small) if any(line in fixed for line in (r["text"] or "").split("\n"))}
