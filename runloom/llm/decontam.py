@@ -2,31 +2,32 @@
 
 Text is lower-cased (A-Z) and cut into words of digits, letters and all non-ASCII characters. A window is N_WORDS
 consecutive item words; an item of fewer words is one window. Window hashes of a document are looked up in the
-broadcast set, and every hit is compared word for word. The set's size is checked: benchmarks beyond
-BLOCK_WINDOWS windows are scanned in several blocks, each within that bound, and the hits of a document are merged.
+broadcast set, and every hit is compared word for word. The set's size is checked: a benchmark beyond BLOCK_WINDOWS windows
+is scanned block by block. Only one block is on the driver and the workers at a time; its hits are written, and those of
+equal rows (id and text) are merged.
 """
 
 from __future__ import annotations
 
-import hashlib
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from runloom.llm.common import buffers, pieces, texts
+from runloom.llm.common import buffers, discard, pieces, texts, tidy, written
 from runloom.llm.textnum import ALNUM, Words, ngrams, same_text, words
 
 N_WORDS = 10
 #: Item windows in one broadcast: about 200 bytes each.
 BLOCK_WINDOWS = 400_000
-#: Items read by the driver at once when windows are made.
-BLOCK_ITEMS = 20_000
 
 WINDOW_SCHEMA = "item_id string, n int, hash long, words binary"
-HIT_SCHEMA = "doc_id {id_type}, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean, hit_words array<struct<first:int,last:int>>, hit_chars array<struct<start:int,end:int>>"
+#: A run of hit words: first and last word, start and end character.
+RUNS = "array<struct<first:int,last:int,start:int,end:int>>"
+FOUND_SCHEMA = f"doc_id {{id_type}}, text_hash long, n_words long, runs {RUNS}, item_ids array<string>"
 
 
 def _joined(w: Words, k: int, n: int) -> bytes:
@@ -51,12 +52,12 @@ def _item_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
 class WindowSet:
     """A bounded set of windows: sorted hashes by window length, and the items of each window's words."""
 
-    def __init__(self, rows: list) -> None:
+    def __init__(self, rows: pa.Table) -> None:
         self.items: dict[tuple[int, bytes], list[str]] = {}
         by_length: dict[int, set[int]] = {}
-        for r in rows:
-            self.items.setdefault((r["n"], bytes(r["words"])), []).append(r["item_id"])
-            by_length.setdefault(r["n"], set()).add(r["hash"])
+        for item, n, code, found in zip(*(rows.column(k).to_pylist() for k in ("item_id", "n", "hash", "words"))):
+            self.items.setdefault((n, found), []).append(item)
+            by_length.setdefault(n, set()).add(code)
         self.hashes = {n: np.sort(np.array(list(x), np.int64).view(np.uint64)) for n, x in sorted(by_length.items())}
         self.maps = {}
         for n, x in self.hashes.items():  # one bit per low hash bits: most windows stop here
@@ -86,48 +87,96 @@ def _runs(flags: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.flatnonzero(edge == 1), np.flatnonzero(edge == -1) - 1
 
 
-def _scan_batches(batches: Iterator[pa.RecordBatch], windows, schema: pa.Schema) -> Iterator[pa.RecordBatch]:
+def _found(batches: Iterator[pa.RecordBatch], windows, schema: pa.Schema, every: bool) -> Iterator[pa.RecordBatch]:
+    """doc_id, text_hash, n_words, runs, item_ids (and further columns of the rows) of every text, or of those with a hit."""
     known = windows.value
     for batch in batches:
-        ids, column = batch.column(0), texts(batch.column(1))
+        column = texts(batch.column(2))
         for lo, hi in pieces(column):
             buf, offs = buffers(column.slice(lo, hi - lo))
             w = words(buf, offs, ALNUM)
             hit, items = known.scan(w, hi - lo)
-            total = np.concatenate([[0], np.cumsum(hit)])
-            out: dict[str, list] = {k: [] for k in ("item_ids", "hit_words", "hit_chars")}
-            n_hit = total[w.first[1:]] - total[w.first[:-1]]
-            for i in range(hi - lo):
-                spans, chars = [], []
-                if n_hit[i]:
-                    base = int(w.first[i])
-                    first, last = _runs(hit[base : int(w.first[i + 1])])
-                    spans = [{"first": int(a), "last": int(b)} for a, b in zip(first, last)]
-                    place = np.cumsum((buf[offs[i] : offs[i + 1]] & 0xC0) != 0x80)  # characters up to each byte
-                    chars = [{"start": int(place[w.start[base + a] - offs[i]]) - 1, "end": int(place[w.end[base + b] - 1 - offs[i]])} for a, b in zip(first, last)]
-                out["item_ids"].append(sorted(items[i]))
-                out["hit_words"].append(spans)
-                out["hit_chars"].append(chars)
-            digest = [hashlib.sha256(",".join(x).encode()).hexdigest() for x in out["item_ids"]]
-            arrays = [ids.slice(lo, hi - lo), np.diff(w.first), n_hit, [len(x) for x in out["item_ids"]], digest, n_hit > 0, out["hit_words"], out["hit_chars"]]
-            if "item_ids" in schema.names:
-                arrays.append(out["item_ids"])
-            if "text" in schema.names:
-                arrays.append(column.slice(lo, hi - lo))
-            yield pa.RecordBatch.from_arrays([a if isinstance(a, pa.Array) else pa.array(a, f.type) for a, f in zip(arrays, schema)], schema=schema)
-
-
-def _window_blocks(items: DataFrame, id_col: str, text_col: str) -> Iterator[list]:
-    """Windows of all items in lists of at most BLOCK_WINDOWS; one block unless the benchmark is huge."""
-    windows = items.select(F.col(id_col).cast("string"), F.col(text_col)).mapInArrow(_item_windows, WINDOW_SCHEMA).distinct()
-    windows = windows.persist()
-    blocks = -(-windows.count() // BLOCK_WINDOWS)
-    if blocks <= 1:
-        yield windows.collect()
-    else:  # twice as many parts as needed on average, so that each keeps the bound
-        for k in range(2 * blocks):
-            yield windows.filter(F.pmod(F.xxhash64("words"), F.lit(2 * blocks)) == k).collect()
-    windows.unpersist()
+            rows, runs = range(hi - lo) if every else [i for i, x in enumerate(items) if x], []
+            for i in rows:
+                base = int(w.first[i])
+                first, last = _runs(hit[base : int(w.first[i + 1])]) if items[i] else ((), ())
+                place = np.cumsum((buf[offs[i] : offs[i + 1]] & 0xC0) != 0x80) if items[i] else None  # characters up to each byte
+                runs.append([(int(a), int(b), int(place[w.start[base + a] - offs[i]]) - 1, int(place[w.end[base + b] - 1 - offs[i]])) for a, b in zip(first, last)])
+            at = pa.array([lo + i for i in rows], pa.int64())
+            marks = [pa.array(np.diff(w.first)[list(rows)], pa.int64()), pa.array([[dict(zip(("first", "last", "start", "end"), r)) for r in x] for x in runs], schema.field("runs").type), pa.array([sorted(items[i]) for i in rows], pa.list_(pa.string()))]
+            more = [batch.column(k).take(at) for k in range(3, batch.num_columns)]
+            yield pa.RecordBatch.from_arrays([batch.column(0).take(at), batch.column(1).take(at), *marks, *more], schema=schema)
+    tidy()
+
+
+def _merged(batches: Iterator[pa.RecordBatch], schema: pa.Schema) -> Iterator[pa.RecordBatch]:
+    """Runs of several blocks as runs of words: those that overlap or follow each other become one."""
+    for batch in batches:
+        out = []
+        for runs in batch.column(2).to_pylist():
+            kept: list[dict] = []
+            for r in sorted(runs, key=lambda r: (r["first"], r["last"])):
+                if kept and r["first"] <= kept[-1]["last"] + 1:
+                    if r["last"] > kept[-1]["last"]:
+                        kept[-1] |= {"last": r["last"], "end": r["end"]}
+                else:
+                    kept.append(dict(r))
+            out.append(kept)
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, schema.field("runs").type), batch.column(3)], schema=schema)
+
+
+def _window_blocks(items: DataFrame, id_col: str, text_col: str) -> Iterator[tuple[int, pa.Table]]:
+    """Number of blocks and the windows of each: BLOCK_WINDOWS at most, but for items that share one window."""
+    named = items.select(F.coalesce(F.col(id_col).cast("string"), F.lit("")), F.col(text_col).cast("string"))
+    windows = written(named.mapInArrow(_item_windows, WINDOW_SCHEMA).distinct(), "leak-windows")
+    total = windows.count()
+    if total <= BLOCK_WINDOWS:
+        yield 1, windows.toArrow()
+    else:
+        part = F.pmod(F.xxhash64("words"), F.lit(8 * -(-total // BLOCK_WINDOWS)))
+        blocks: list[tuple[int, list[int]]] = []
+        for r in sorted(windows.groupBy(part.alias("part")).count().collect(), key=lambda r: r["part"]):
+            if not blocks or blocks[-1][0] + r["count"] > BLOCK_WINDOWS:
+                blocks.append((0, []))
+            blocks[-1] = (blocks[-1][0] + r["count"], [*blocks[-1][1], r["part"]])
+        for _, parts in blocks:
+            yield len(blocks), windows.filter(part.isin(parts)).toArrow()
+    discard(windows)
+
+
+def _rows(docs: DataFrame, id_col: str, text_col: str, *more: str) -> DataFrame:
+    text = F.col(text_col).cast("string")
+    return docs.select(F.col(id_col).alias("doc_id"), F.xxhash64(text).alias("text_hash"), text.alias("text"), *(F.col(c).alias(f"__{c}") for c in more))
+
+
+def _scan(docs: DataFrame, items: DataFrame, id_col: str, text_col: str, item_id: str, item_text: str, with_text: bool) -> DataFrame:
+    """doc_id, text_hash, n_words, runs, item_ids (and __text) of every row."""
+    from pyspark.sql.pandas.types import to_arrow_schema
+    from pyspark.sql.types import StructType
+
+    spark = docs.sparkSession
+    ddl = FOUND_SCHEMA.format(id_type=docs.select(id_col).schema[0].dataType.simpleString())
+    slim, wide = (to_arrow_schema(StructType.fromDDL(x)) for x in (ddl, ddl + ", __text string"))
+    source, held, count, windows = _rows(docs, id_col, text_col), [], 0, None
+    for count, block in _window_blocks(items, item_id, item_text):
+        windows = spark.sparkContext.broadcast(WindowSet(block))
+        if count > 1:
+            held.append(written(source.mapInArrow(lambda b, w=windows: _found(b, w, slim, False), ddl).drop("n_words").distinct(), "leak-hits"))
+            windows.destroy()
+    if count > 1:
+        windows = spark.sparkContext.broadcast(WindowSet(block.slice(0, 0)))  # words are counted once, with an empty set
+    named = _rows(docs, id_col, text_col, text_col).withColumnRenamed(f"__{text_col}", "__text") if with_text else source
+    schema, out = (wide, ddl + ", __text string") if with_text else (slim, ddl)
+    rows = named.mapInArrow(lambda b: _found(b, windows, schema, True), out)
+    if count <= 1:
+        return rows
+    both = reduce(DataFrame.union, held).groupBy("doc_id", "text_hash").agg(F.flatten(F.collect_list("runs")).alias("runs"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("item_ids")))).alias("item_ids"))
+    kind = out.split(",")[0]
+    few = to_arrow_schema(StructType.fromDDL(f"{kind}, text_hash long, runs {RUNS}, item_ids array<string>"))
+    merged = written(both.mapInArrow(lambda b: _merged(b, few), f"{kind}, text_hash long, runs {RUNS}, item_ids array<string>"), "leak-merged", *held)
+    merged = merged.withColumnsRenamed({"doc_id": "__id", "text_hash": "__hash", "runs": "__runs", "item_ids": "__items"})
+    joined = rows.join(merged, F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col("text_hash") == F.col("__hash")), "left")
+    return joined.withColumns({"runs": F.coalesce("__runs", "runs"), "item_ids": F.coalesce("__items", "item_ids")}).drop("__id", "__hash", "__runs", "__items")
 
 
 def scan(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_id: str = "item_id", item_text: str = "text") -> DataFrame:
@@ -137,111 +186,50 @@ def scan(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: st
     rows; items with equal text are all reported; an empty benchmark hits nothing. Null item ids count as "". Other columns
     are not read.
     """
-    from pyspark.sql.pandas.types import to_arrow_schema
-    from pyspark.sql.types import StructType
-
-    spark = docs.sparkSession
-    id_type = docs.select(id_col).schema[0].dataType.simpleString()
-    ddl = HIT_SCHEMA.format(id_type=id_type)
-    items = items.withColumn(item_id, F.coalesce(F.col(item_id).cast("string"), F.lit("")))
-    blocks = [spark.sparkContext.broadcast(WindowSet(rows)) for rows in _window_blocks(items, item_id, item_text)] or [spark.sparkContext.broadcast(WindowSet([]))]
-    source = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    if len(blocks) == 1:
-        schema = to_arrow_schema(StructType.fromDDL(ddl))
-        return source.mapInArrow(lambda b, w=blocks[0]: _scan_batches(b, w, schema), ddl)
-    # several blocks: the texts pass all of them in one task each, and the hits are merged there
-    schema = to_arrow_schema(StructType.fromDDL(ddl + ", item_ids array<string>"))
-    merged = to_arrow_schema(StructType.fromDDL(ddl))
-    return source.mapInArrow(lambda b: _scan_in_turn(b, blocks, schema, merged), ddl)
-
-
-def _scan_in_turn(batches: Iterator[pa.RecordBatch], blocks: list, schema: pa.Schema, merged: pa.Schema) -> Iterator[pa.RecordBatch]:
-    """Every batch against one block after the other."""
-    for batch in batches:
-        found = [pa.Table.from_batches(list(_scan_batches(iter([batch]), b, schema)), schema).to_pylist() for b in blocks]
-        out = []
-        for same in zip(*found):
-            spans = {}
-            for kind, a, b, gap in (("hit_words", "first", "last", 1), ("hit_chars", "start", "end", 0)):
-                spans[kind] = _union([(s[a], s[b]) for r in same for s in r[kind]], a, b, gap)
-            by_words = spans["hit_words"]
-            ids = sorted({i for r in same for i in r["item_ids"]})
-            out.append(same[0] | spans | {"hit_chars": _chars_of(by_words, spans["hit_chars"]), "n_items": len(ids), "n_hit": sum(s["last"] - s["first"] + 1 for s in by_words), "contaminated": bool(by_words), "items_sha256": hashlib.sha256(",".join(ids).encode()).hexdigest()})
-        for r in out:
-            r.pop("item_ids", None)
-        yield from pa.Table.from_pylist(out, merged).to_batches()
-
-
-def _union(spans: list[tuple[int, int]], a: str, b: str, gap: int) -> list[dict]:
-    out: list[list[int]] = []
-    for lo, hi in sorted(spans):
-        if out and lo <= out[-1][1] + gap:
-            out[-1][1] = max(out[-1][1], hi)
-        else:
-            out.append([lo, hi])
-    return [{a: lo, b: hi} for lo, hi in out]
-
-
-def _chars_of(by_words: list[dict], by_chars: list[dict]) -> list[dict]:
-    """Character spans that touch in words but not in characters become one."""
-    if len(by_words) == len(by_chars):
-        return by_chars
-    return [{"start": by_chars[0]["start"], "end": by_chars[-1]["end"]}] if len(by_words) == 1 else by_chars
+    rows = _scan(docs, items, id_col, text_col, item_id, item_text, False)
+    n_hit = F.aggregate("runs", F.lit(0).cast("long"), lambda s, r: s + r["last"] - r["first"] + 1)
+    part = lambda a, b: F.transform("runs", lambda r: F.struct(r[a].alias(a), r[b].alias(b)))
+    return rows.select(
+        "doc_id", "n_words", n_hit.alias("n_hit"), F.size("item_ids").cast("long").alias("n_items"), F.sha2(F.array_join("item_ids", ","), 256).alias("items_sha256"),
+        (F.size("runs") > 0).alias("contaminated"), part("first", "last").alias("hit_words"), part("start", "end").alias("hit_chars"),
+    )
 
 
 def drop_documents(docs: DataFrame, items: DataFrame) -> DataFrame:
-    """docs without those in which a benchmark window occurs; same columns, rows untouched."""
-    return _flagged(docs, items).filter(~F.col("__leak")).drop("__leak")
+    """docs without those in which a benchmark window occurs; same columns, rows untouched. One pass over whole rows for each block of windows."""
+    spark, at = docs.sparkSession, docs.columns.index("text")
 
-
-def _flagged(docs: DataFrame, items: DataFrame) -> DataFrame:
-    """docs and __leak, in one pass over whole rows (no join back)."""
-    from pyspark.sql.pandas.types import to_arrow_schema
-    from pyspark.sql.types import BooleanType, StructField, StructType
-
-    spark = docs.sparkSession
-    rows = items.withColumn("item_id", F.coalesce(F.col("item_id").cast("string"), F.lit("")))
-    blocks = [spark.sparkContext.broadcast(WindowSet(r)) for r in _window_blocks(rows, "item_id", "text")]
-    out = StructType([*docs.schema.fields, StructField("__leak", BooleanType())])
-    schema, at = to_arrow_schema(out), docs.columns.index("text")
-
-    def flag(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def clean(batches: Iterator[pa.RecordBatch], windows) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             column = texts(batch.column(at))
             leak = np.zeros(len(column), bool)
             for lo, hi in pieces(column):
                 w = words(*buffers(column.slice(lo, hi - lo)), ALNUM)
-                for b in blocks:
-                    hit, _ = b.value.scan(w, hi - lo)
-                    leak[lo + np.unique(w.text[hit])] = True
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(leak)], schema=pa.schema([*batch.schema, pa.field("__leak", pa.bool_())]))
-
-    return docs.mapInArrow(flag, out)
+                hit, _ = windows.value.scan(w, hi - lo)
+                leak[lo + np.unique(w.text[hit])] = True
+            yield batch.filter(pa.array(~leak))
+        tidy()
+
+    before = None
+    for count, block in _window_blocks(items, "item_id", "text"):
+        windows = spark.sparkContext.broadcast(WindowSet(block))
+        docs = docs.mapInArrow(lambda b, w=windows: clean(b, w), docs.schema)
+        if count > 1:
+            docs = written(docs, "leak-free", *([before] if before is not None else []))
+            windows.destroy()
+            before = docs
+    return docs
 
 
 def remove_spans(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, text without the hit words' character spans (the characters around them stay); null texts stay null."""
+    """doc_id, text without the hit words' character spans (the characters around them stay), n_hit; null texts stay null."""
     kept = F.filter(
         F.transform(F.col("marks"), lambda m, k: F.struct(F.when(k == 0, 0).otherwise(F.element_at("marks", k)["end"]).alias("start"), m["start"].alias("end"))),
         lambda s: s["end"] > s["start"],
     )
-    end = F.array(F.struct(F.length("text").alias("start"), F.length("text").alias("end")))
-    hits = scan_with_text(docs, items, id_col, text_col)
-    hits = hits.withColumn("marks", F.concat(F.col("hit_chars"), end)).withColumn("kept", kept)
-    cut = F.array_join(F.transform("kept", lambda s: F.substring(F.col("text"), s["start"] + 1, s["end"] - s["start"])), "")
-    return hits.select("doc_id", cut.alias("text"), "n_hit")
-
-
-def scan_with_text(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """scan() with the text carried along."""
-    from pyspark.sql.pandas.types import to_arrow_schema
-    from pyspark.sql.types import StructType
-
-    spark = docs.sparkSession
-    rows = items.withColumn("item_id", F.coalesce(F.col("item_id").cast("string"), F.lit("")))
-    blocks = [spark.sparkContext.broadcast(WindowSet(r)) for r in _window_blocks(rows, "item_id", "text")]
-    if len(blocks) > 1:
-        raise ValueError("span removal takes one block of items at a time: call it once per block")
-    ddl = HIT_SCHEMA.format(id_type=docs.select(id_col).schema[0].dataType.simpleString()) + ", text string"
-    schema = to_arrow_schema(StructType.fromDDL(ddl))
-    return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(lambda b: _scan_batches(b, blocks[0], schema), ddl)
+    n_hit = F.aggregate("runs", F.lit(0).cast("long"), lambda s, r: s + r["last"] - r["first"] + 1)
+    end = F.array(F.struct(F.length("__text").alias("start"), F.length("__text").alias("end")))
+    hits = _scan(docs, items, id_col, text_col, "item_id", "text", True)
+    hits = hits.withColumn("marks", F.concat(F.transform("runs", lambda r: F.struct(r["start"].alias("start"), r["end"].alias("end"))), end)).withColumn("kept", kept)
+    cut = F.array_join(F.transform("kept", lambda s: F.substring(F.col("__text"), s["start"] + 1, s["end"] - s["start"])), "")
+    return hits.select("doc_id", cut.alias("text"), n_hit.alias("n_hit"))

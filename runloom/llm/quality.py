@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from runloom.llm.common import buffers, pieces, texts
+from runloom.llm.common import buffers, pieces, texts, tidy
 from runloom.llm.textnum import SPACED, ngrams, same_text, words
 
 #: Hashed n-gram features.
@@ -52,6 +52,7 @@ def _feature_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
             ends = np.searchsorted(owner, np.arange(hi - lo + 1))
             data = [feature[a:b].astype(np.int32).tobytes() for a, b in zip(ends[:-1], ends[1:])]
             yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), batch.column(1).slice(lo, hi - lo), pa.array(data, pa.binary())], ["doc_id", "label", "features"])
+    tidy()
 
 
 @dataclass
@@ -152,6 +153,7 @@ def _scored(docs: DataFrame, model: Model, text_col: str) -> DataFrame:
             for lo, hi, owner, feature in features(column):
                 out[lo:hi] = shared.value.scores(hi - lo, owner, feature)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out)], schema=pa.schema([*batch.schema, pa.field("__score", pa.float64())]))
+        tidy()
 
     return docs.mapInArrow(score, StructType([*docs.schema.fields, StructField("__score", DoubleType())]))
 

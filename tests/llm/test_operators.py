@@ -277,13 +277,21 @@ def test_decontamination(spark, small, odd, monkeypatch):
     given_items = [(r["item_id"], r["text"]) for r in given(small, "benchmark")]
     odd_rows = [(100, "three words only"), (101, " ".join(BASE.split()[2:14]).title()), (102, None), (103, ""), (104, "twenty"), (105, "three words ONLY"), (106, "é")]
     odd_items = spark.createDataFrame(odd_rows, "item_id long, text string")
-    for (df, rows), (table, listed) in zip(both(spark, small, odd), ((items, given_items), (odd_items, odd_rows))):
-        assert collected(decontam.scan(df, table), *COLUMNS) == leaks(rows, listed)
-        monkeypatch.setattr(decontam, "BLOCK_WINDOWS", 3)  # several blocks: the same
-        assert collected(decontam.scan(df, table), *COLUMNS) == leaks(rows, listed)
-        monkeypatch.undo()
-        clean = Counter(k[0] for k, n in leaks(rows, listed).items() for _ in range(n) if not k[5])
+    for (df, rows), (table, listed), few in zip(both(spark, small, odd), ((items, given_items), (odd_items, odd_rows)), (400, 2)):
+        want = leaks(rows, listed)
+        clean = Counter(k[0] for k, n in want.items() for _ in range(n) if not k[5])
+        one = decontam.scan(df, table)
+        assert collected(one, *COLUMNS) == want
+        assert Counter(r["doc_id"] for r in decontam.drop_documents(df, table).collect()) == clean
+        spans, cut = collected(one.select("doc_id", F.to_json("hit_words").alias("w"), F.to_json("hit_chars").alias("c")), "doc_id", "w", "c"), collected(decontam.remove_spans(df, table), "doc_id", "text", "n_hit")
+        monkeypatch.setattr(decontam, "BLOCK_WINDOWS", few)  # several blocks: the same, down to the spans
+        assert max(n for n, _ in decontam._window_blocks(table, "item_id", "text")) > 2
+        many = decontam.scan(df, table)
+        assert collected(many, *COLUMNS) == want
+        assert collected(many.select("doc_id", F.to_json("hit_words").alias("w"), F.to_json("hit_chars").alias("c")), "doc_id", "w", "c") == spans
+        assert collected(decontam.remove_spans(df, table), "doc_id", "text", "n_hit") == cut
         assert Counter(r["doc_id"] for r in decontam.drop_documents(df, table).collect()) == clean
+        monkeypatch.undo()
     assert decontam.scan(odd, odd_items.limit(0)).filter("contaminated").count() == 0
     assert decontam.scan(odd.limit(0), odd_items).count() == 0
     cut = {r["doc_id"]: r["text"] for r in decontam.remove_spans(odd, odd_items.filter("item_id = 101")).collect()}
