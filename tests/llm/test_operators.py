@@ -239,6 +239,14 @@ def test_compaction(spark, small, odd):
     with pytest.raises(RuntimeError):
         store._commit(before)  # that version exists
     assert store.manifest() == after
+    for version in store.versions():  # earlier versions can be read
+        assert store.read(version).count() == (docs.count() if version >= 6 else docs.filter(F.pmod("doc_id", F.lit(6)) < version).count())
+    # a writer that is lost between its job and its commit is in nobody's way
+    docs.write.parquet(f"{store.path}/level0/batch-{after['next']:08d}-lost0000")
+    doubled = store.append(docs.limit(7))
+    assert store.read().count() == docs.count() + 7
+    assert store.vacuum(retain=1, orphan_hours=-1) and store.versions() == [doubled["version"]]
+    assert store.read().count() == docs.count() + 7 and not store.vacuum(retain=1, orphan_hours=-1)
     with pytest.raises(ValueError):
         store.append(docs.select("doc_id"))
     for df in (odd, odd.limit(0)):
