@@ -37,7 +37,7 @@ END_ID = 2
 #: Bytes of text encoded at once.
 ENCODE_BYTES = 4 << 20
 #: Most chunks that a worker remembers, beside those of the texts at hand; beyond them it starts anew.
-MEMORY = 1 << 18
+MEMORY = 1 << 19
 #: Longest chunk (in bytes) that is remembered: three words of eight bytes, the last of which holds the length.
 SHORT = 23
 
@@ -150,36 +150,47 @@ def _after_wide_space(buf: np.ndarray, at: np.ndarray) -> np.ndarray:
     return general | ((y == 0xC2) & np.isin(z, (0x85, 0xA0))) | ((x == 0xE1) & (y == 0x9A) & (z == 0x80)) | ((x == 0xE3) & (y == 0x80) & (z == 0x80))
 
 
+def _grown(x: np.ndarray, size: int) -> np.ndarray:
+    """x with room for size rows at least."""
+    if size <= len(x):
+        return x
+    out = np.empty((max(size, 2 * len(x)), *x.shape[1:]), x.dtype)
+    out[: len(x)] = x
+    return out
+
+
 class ChunkMemory:
     """A hash table of short chunks, by their bytes, and their ids in one pool."""
 
     def __init__(self) -> None:
-        self.slots = np.full(4 * MEMORY + 4, -1, np.int32)
-        self.keys, self.place, self.count = np.zeros((0, 3), np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
-        self.pool = np.zeros(0, np.uint32)
+        self.slots, self.n, self.n_ids = np.full(4 * MEMORY + 4, -1, np.int32), 0, 0
+        self.keys, self.place, self.count, self.pool = np.zeros((0, 3), np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint32)
 
     def find(self, keys: np.ndarray, hashes: np.ndarray) -> np.ndarray:
         """Number of each chunk, -1 where it is unknown."""
         out = np.full(len(keys), -1, np.int64)
-        if not len(self.keys):
+        if not self.n:
             return out
         pending, slot = np.arange(len(keys)), (hashes % np.uint64(len(self.slots))).astype(np.int64)
         while len(pending):
             entry = self.slots[slot]
-            same = (entry >= 0) & (self.keys[entry] == keys[pending]).all(axis=1)
+            known, asked = self.keys[entry], keys[pending]
+            same = (entry >= 0) & (known[:, 0] == asked[:, 0]) & (known[:, 1] == asked[:, 1]) & (known[:, 2] == asked[:, 2])
             out[pending[same]] = entry[same]
             go = (entry >= 0) & ~same
             pending, slot = pending[go], (slot[go] + 1) % len(self.slots)
         return out
 
-    def add(self, place: np.ndarray, count: np.ndarray, ids: np.ndarray, keys: np.ndarray) -> None:
-        self.place, self.count = np.concatenate([self.place, place + len(self.pool)]), np.concatenate([self.count, count])
-        self.pool, self.keys = np.concatenate([self.pool, ids]), np.concatenate([self.keys, keys])
+    def add(self, count: np.ndarray, ids: np.ndarray, keys: np.ndarray) -> None:
+        n, n_ids = self.n + len(count), self.n_ids + len(ids)
+        self.keys, self.place, self.count, self.pool = _grown(self.keys, n), _grown(self.place, n), _grown(self.count, n), _grown(self.pool, n_ids)
+        self.place[self.n : n] = self.n_ids + np.cumsum(count) - count
+        self.count[self.n : n], self.keys[self.n : n], self.pool[self.n_ids : n_ids] = count, keys, ids
+        self.n, self.n_ids = n, n_ids
 
     def keep(self, n: int) -> None:
-        if n < len(self.keys):
-            self.pool = self.pool[: self.place[n]]
-            self.keys, self.place, self.count = self.keys[:n], self.place[:n], self.count[:n]
+        if n < self.n:
+            self.n, self.n_ids = n, int(self.place[n])
 
     def index(self, entries: np.ndarray, hashes: np.ndarray) -> None:
         slot = (hashes % np.uint64(len(self.slots))).astype(np.int64)
@@ -226,30 +237,41 @@ class ChunkEncoder:
         cut[at[_after_wide_space(buf, at)]] = False
         return cut
 
-    def _learn(self, chunks: list[str]) -> list[np.ndarray]:
-        """Ids of different chunks. Those that start with white space and end with other characters are encoded as one text and cut by byte lengths."""
-        out: list = [None] * len(chunks)
-        spaced = [k for k, c in enumerate(chunks) if c[0] in " \t\n\x0b\x0c\r" and not c[-1].isspace()]
-        for k in range(0, len(spaced), 4096):
-            part = spaced[k : k + 4096]
-            ids = np.array(self.tokenizer.encode("".join([chunks[i] for i in part]), add_special_tokens=False).ids, np.uint32)
-            cut = np.searchsorted(np.cumsum(self.n_bytes[ids]), np.cumsum([len(chunks[i].encode()) for i in part])) + 1
-            for i, a, b in zip(part, np.concatenate([[0], cut[:-1]]), cut):
-                out[i] = ids[a:b]
-        rest = [k for k, x in enumerate(out) if x is None]
-        for k, e in zip(rest, self.tokenizer.encode_batch([chunks[k] for k in rest], add_special_tokens=False)):
-            out[k] = np.array(e.ids, np.uint32)
-        return out
+    def _learn(self, buf: np.ndarray, start: np.ndarray, length: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids and their numbers of the chunks of buf at start. Those that start with white space and end with other characters are encoded as one text and cut by byte lengths."""
+        end = start + length
+        spaced = _SPACE[buf[start]] & ~_SPACE[buf[end - 1]] & ~((buf[end - 1] >= 0x80) & _after_wide_space(buf, end))
+        out, count = [], np.zeros(len(start), np.int64)
+        at = np.flatnonzero(spaced)
+        for k in range(0, len(at), 8192):
+            part = at[k : k + 8192]
+            ends = np.cumsum(length[part])
+            text = buf[np.repeat(start[part] - (ends - length[part]), length[part]) + np.arange(ends[-1])].tobytes().decode()
+            ids = np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, np.uint32)
+            out.append(ids)
+            count[part] = np.diff(np.searchsorted(np.cumsum(self.n_bytes[ids]), ends) + 1, prepend=0)
+        rest = np.flatnonzero(~spaced)
+        found = self.tokenizer.encode_batch([buf[a:b].tobytes().decode() for a, b in zip(start[rest], end[rest])], add_special_tokens=False)
+        count[rest] = [len(e.ids) for e in found]
+        out += [np.array(e.ids, np.uint32) for e in found]
+        ids = np.concatenate([np.zeros(0, np.uint32), *out])
+        # from the order of encoding back to that of the chunks
+        order = np.concatenate([at, rest])
+        place = np.empty(len(start), np.int64)
+        place[order] = np.cumsum(count[order]) - count[order]
+        return ids[np.repeat(place - (np.cumsum(count) - count), count) + np.arange(len(ids))], count
 
     def _window(self, buf: np.ndarray, start: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Ids of the chunks that begin at start, and how many each has."""
         memory = self.memory
-        if len(memory.keys) > MEMORY:
+        if memory.n > MEMORY:
             memory = self.memory = ChunkMemory()
         length = np.diff(np.append(start, len(buf)))
         padded = np.concatenate([buf, np.zeros(24, np.uint8)])
         word = np.ndarray((len(buf) + 16,), np.uint64, padded, strides=(1,))  # eight bytes from every place on
-        keys = np.stack([word[start + 8 * k] & _MASK[np.clip(length - 8 * k, 0, 8)] for k in range(3)], axis=1)
+        keys = np.empty((len(start), 3), np.uint64)
+        for k in range(3):
+            keys[:, k] = word[start + 8 * k] & _MASK[np.clip(length - 8 * k, 0, 8)]
         short = length <= SHORT
         keys[short, 2] |= length[short].astype(np.uint64) << np.uint64(56)
         hashes = mix(mix(mix(keys[:, 0]) ^ keys[:, 1]) + keys[:, 2])
@@ -259,17 +281,20 @@ class ChunkEncoder:
         new = at[entry[at] < 0]
         _, first, inverse = np.unique(hashes[new], return_index=True, return_inverse=True)
         same = (keys[new] == keys[new[first[inverse]]]).all(axis=1)  # others share a hash: each for itself, as long chunks
-        once, raw = new[first], buf.tobytes()
-        other = np.concatenate([np.flatnonzero(~short), new[~same]])
-        spelled = [raw[a:b] for a, b in zip(start[other].tolist(), (start + length)[other].tolist())]
-        number = {c: k for k, c in enumerate(dict.fromkeys(spelled))}
-        chunks = [raw[a:b] for a, b in zip(start[once].tolist(), (start + length)[once].tolist())] + list(number)
-        learned = self._learn([c.decode() for c in chunks])
-        count = np.array([len(x) for x in learned], np.int64)
-        known = len(memory.keys)
-        entry[new[same]] = known + inverse[same]
-        entry[other] = known + len(once) + np.array([number[c] for c in spelled], np.int64)
-        memory.add(np.cumsum(count) - count, count, np.concatenate([np.zeros(0, np.uint32), *learned]), np.concatenate([keys[once], np.zeros((len(number), 3), np.uint64)]))
+        once, other = new[first], np.concatenate([np.flatnonzero(~short), new[~same]])
+        number: dict[bytes, int] = {}
+        places = []  # of the different long chunks
+        for k in other.tolist():
+            chunk = buf[start[k] : start[k] + length[k]].tobytes()
+            if chunk not in number:
+                number[chunk] = len(number)
+                places.append(k)
+            entry[k] = memory.n + len(once) + number[chunk]
+        entry[new[same]] = memory.n + inverse[same]
+        asked = np.concatenate([once, np.array(places, np.int64)])
+        ids, count = self._learn(buf, start[asked], length[asked])
+        known = memory.n
+        memory.add(count, ids, np.concatenate([keys[once], np.zeros((len(places), 3), np.uint64)]))
         counts = memory.count[entry]
         ids = memory.pool[np.repeat(memory.place[entry] - (np.cumsum(counts) - counts), counts) + np.arange(counts.sum())]
         kept = min(known + len(once), len(memory.slots) // 2)  # neither long chunks nor those beyond half of the table stay
