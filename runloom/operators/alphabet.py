@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 
 #: Ranks of symbols that only the text or only the patterns hold; shared symbols count from 1.
 TEXT_ONLY, PATTERN_ONLY = 0, -1
+#: Most shared symbols whose ranks travel with a closure.
+MOST = 10_000
 
 
 def mapping(patterns: DataFrame, text: DataFrame) -> DataFrame:
@@ -25,19 +27,32 @@ def mapping(patterns: DataFrame, text: DataFrame) -> DataFrame:
 def reduce(patterns, text: DataFrame) -> tuple[DataFrame, DataFrame]:
     """text and patterns over ranks. Equal neighbours that arise are merged; patterns with a symbol the text lacks are dropped.
 
-    The ranks of the shared symbols, as few as the dictionary's symbols, travel with the closure.
+    The ranks of up to MOST shared symbols travel with the closure; larger alphabets are joined. Both give the same.
     """
     from runloom.functions.encode import recoded
     from runloom.sources.readers import dictionary
+    from runloom.sources.store import stored
 
     if not isinstance(patterns, DataFrame):
         patterns = dictionary(text.sparkSession, patterns)
-    ranks = {r["sym"]: r["rank"] for r in mapping(patterns, text).filter("in_text AND in_patterns").collect()}
-    known = F.array(*[F.lit(s) for s in ranks]) if ranks else None
-    own = patterns.filter(F.forall("runs", lambda r: F.array_contains(known, r["sym"])) if ranks else F.lit(False)).withColumnRenamed("pattern_id", "seq_id")
+    shared = stored(mapping(patterns, text).filter("in_text AND in_patterns").select("sym", "rank"), "alphabet")
+    unknown = patterns.select("pattern_id", F.explode("runs.sym").alias("sym")).join(shared, "sym", "left_anti").select("pattern_id").distinct()
+    own = patterns.join(unknown, "pattern_id", "left_anti").withColumnRenamed("pattern_id", "seq_id")
+    if shared.limit(MOST + 1).count() > MOST:
+        return joined(text, shared, TEXT_ONLY), joined(own, shared, PATTERN_ONLY).withColumnRenamed("seq_id", "pattern_id")
+    ranks = {r["sym"]: r["rank"] for r in shared.collect()}
     return recoded(text, ranks, TEXT_ONLY), recoded(own, ranks, PATTERN_ONLY).withColumnRenamed("seq_id", "pattern_id")
 
 
+def joined(rows: DataFrame, ranks: DataFrame, other: int) -> DataFrame:
+    """seq_id, runs over ranks (sym, rank), others by `other`: runs are laid out, joined by symbol, and put together again by row."""
+    keyed = rows.select("seq_id", "runs").withColumn("row", F.monotonically_increasing_id())
+    long = keyed.select("seq_id", "row", F.posexplode_outer("runs").alias("k", "r")).join(ranks.withColumnRenamed("sym", "s"), F.col("r.sym") == F.col("s"), "left")
+    one = F.when(F.col("k").isNotNull(), F.struct("k", F.coalesce("rank", F.lit(other)).alias("sym"), F.col("r.len").alias("len")))
+    back = long.groupBy("seq_id", "row").agg(F.array_sort(F.collect_list(one)).alias("x"))
+    return back.select("seq_id", merged(F.transform("x", lambda r: F.struct(r["sym"].alias("sym"), r["len"].alias("len")))).alias("runs"))
+
+
 def merged(runs):
     """Runs with equal neighbours joined, by the places where the symbol changes."""
     n = F.size(runs)

@@ -23,6 +23,8 @@ from runloom.types import COST_DDL, MATCH_DDL, Run, pattern_runs
 MAX_PATTERN_RUNS = 2_000_000
 #: Characters that a kernel encodes at once.
 PIECE = 1 << 20
+#: Occurrences that a kernel writes out at once.
+EMIT = 1 << 20
 #: Runs of a chunk of a long sequence.
 CHUNK = 65_536
 
@@ -68,27 +70,31 @@ def _coded_text(texts: list[str], table: tuple[np.ndarray, np.ndarray]) -> tuple
     return sym, n, start, border
 
 
-def _single(d: Dictionary, sym: np.ndarray, n: np.ndarray, start: np.ndarray, skip: np.ndarray, compact: bool) -> list[tuple]:
-    """(run, id, length, first start, last start) of single-run patterns; by start unless compact."""
-    out = []
+def _single(d: Dictionary, sym: np.ndarray, n: np.ndarray, start: np.ndarray, skip: np.ndarray) -> Iterator[tuple]:
+    """(run, id, length, first start, last start) of single-run patterns: a row for a pattern and run."""
     for s, items in d.lists.items():
         at = np.flatnonzero((sym == s) & ~skip)
         for x, name in items:  # shortest first: later ones find fewer runs
             at = at[n[at] >= x]
             if not len(at):
                 break
-            many = n[at] - x + 1
-            if compact:
-                out.append((at, name, x, start[at], start[at] + many - 1))
-            else:
-                rep = np.repeat(np.arange(len(at)), many)
-                begin = start[at[rep]] + np.arange(len(rep)) - np.repeat(np.cumsum(many) - many, many)
-                out.append((at[rep], name, x, begin, begin))
-    return out
-
-
-def _hits(frozen: Frozen, sym, n, start, border, lead, compact: bool):
-    """run, pattern id, first start, last start, length of all occurrences in a piece."""
+            yield at, name, x, start[at], start[at] + n[at] - x
+
+
+def _each_start(found: list[np.ndarray]) -> Iterator[list[np.ndarray]]:
+    """Occurrences of _hits start by start, EMIT rows at a time: a single run may hold any number of them."""
+    run, pat, first, last, size = found
+    many = last - first + 1
+    ends = np.cumsum(many)
+    for lo in range(0, int(ends[-1]) if len(ends) else 0, EMIT):
+        place = np.arange(lo, min(lo + EMIT, int(ends[-1])))
+        row = np.searchsorted(ends, place, "right")
+        begin = first[row] + place - (ends[row] - many[row])
+        yield [run[row], pat[row], begin, begin, size[row]]
+
+
+def _hits(frozen: Frozen, sym, n, start, border, lead):
+    """run, pattern id, first start, last start, length of all occurrences in a piece; those of a single-run pattern in one run are one row."""
     skip = np.zeros(len(sym), bool)
     if lead is not None:
         inside = np.arange(len(sym)) - np.repeat(border[:-1], np.diff(border))
@@ -96,7 +102,7 @@ def _hits(frozen: Frozen, sym, n, start, border, lead, compact: bool):
     run, pat, begin = frozen.multi(sym, n, start, border, lead=lead)
     ids = np.array(frozen.names, np.int64) if frozen.names else np.zeros(0, np.int64)
     parts = [(run, ids[pat] if len(pat) else np.zeros(0, np.int64), begin, begin, frozen.lengths[pat] if len(pat) else np.zeros(0, np.int64))]
-    for at, name, x, a, b in _single(frozen.dictionary, sym, n, start, skip, compact):
+    for at, name, x, a, b in _single(frozen.dictionary, sym, n, start, skip):
         parts.append((at, np.full(len(at), name, np.int64), a, b, np.full(len(at), x, np.int64)))
     return [np.concatenate(c) for c in zip(*parts)]
 
@@ -130,15 +136,20 @@ def full(text: DataFrame, patterns, emit: str = "starts", where=None, determinis
                     coded = _coded_runs(part.column("runs"), f.symbols)
                 sym, n, start, border = coded
                 extra = {c: np.asarray(part.column(c), np.int64) for c in ("base", "lead", "first_run") if c in columns}
-                run, pat, first, last, size = _hits(f, sym, n, start, border, extra.get("lead"), emit != "starts")
+                found = _hits(f, sym, n, start, border, extra.get("lead"))
+                for run, pat, first, _, size in _each_start(found) if emit == "starts" else ():
+                    owner = np.searchsorted(border, run, "right") - 1
+                    base = extra["base"][owner] if "base" in extra else 0
+                    number = run - border[owner] + (extra["first_run"][owner] if "first_run" in extra else 1)
+                    cols = [part.column("seq_id").take(pa.array(owner)), pa.array(pat), pa.array(first + base), pa.array(first + base + size), pa.array(number)]
+                    yield pa.RecordBatch.from_arrays(cols, ["seq_id", "pattern_id", "start", "end", "end_run"])
+                if emit == "starts":
+                    continue
+                run, pat, first, last, size = found
                 owner = np.searchsorted(border, run, "right") - 1
                 seq = part.column("seq_id").take(pa.array(owner))
                 base = extra["base"][owner] if "base" in extra else 0
-                if emit == "starts":
-                    number = run - border[owner] + (extra["first_run"][owner] if "first_run" in extra else 1)
-                    cols = [seq, pa.array(pat), pa.array(first + base), pa.array(first + base + size), pa.array(number)]
-                    names = ["seq_id", "pattern_id", "start", "end", "end_run"]
-                elif emit == "compact":
+                if emit == "compact":
                     cols, names = [seq, pa.array(pat), pa.array(first + base), pa.array(last + base), pa.array(size)], ["seq_id", "pattern_id", "first_start", "last_start", "len"]
                 else:
                     key, inv = np.unique(np.stack([owner, pat]), axis=1, return_inverse=True)
@@ -269,6 +280,8 @@ class CharAutomaton:
                 v = self.fail[v]
             v = self.next[v].get(c, 0)
             u = v if self.own[v] else self.output[v]
+            if self.one_output and k + 1 < len(symbols) and symbols[k + 1] == c:
+                continue  # only the end of a run is a node of its own
             while u:
                 for name in self.own[u]:
                     yield name, k + 1 - self.size[name]
@@ -279,9 +292,9 @@ def _expanded(patterns) -> list[tuple[object, list]]:
     return [(name, [s for s, n in runs for _ in range(n)]) for name, runs in pattern_list(patterns)]
 
 
-def char_automaton(text: DataFrame, patterns) -> DataFrame:
-    """seq_id, pattern_id, start by the classic automaton; text: seq_id and symbols (a string or an array)."""
-    shared = text.sparkSession.sparkContext.broadcast(CharAutomaton(_expanded(patterns)))
+def char_automaton(text: DataFrame, patterns, one_output: bool = False) -> DataFrame:
+    """seq_id, pattern_id, start by the classic automaton; text: seq_id and symbols (a string or an array). one_output: only the longest pattern that ends where a run ends."""
+    shared = text.sparkSession.sparkContext.broadcast(CharAutomaton(_expanded(patterns), one_output))
     kind = text.schema["seq_id"].dataType.simpleString()
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -328,10 +341,10 @@ def single_pattern(text: DataFrame, pattern: str) -> DataFrame:
 
 
 def longest_only(text: DataFrame, patterns) -> DataFrame:
-    """The incomplete shortcut: of the patterns that end in a run, only the longest is reported, once. It misses answers on purpose."""
-    hits = full(text, patterns)
-    best = hits.groupBy("seq_id", "end_run").agg(F.max_by(F.struct("pattern_id", "start", "end"), F.struct(F.col("end") - F.col("start"), -F.col("pattern_id"), -F.col("start"))).alias("b"))
-    return best.select("seq_id", "b.pattern_id", "b.start", "b.end", "end_run")
+    """The incomplete shortcut: one output link for each end of a run, so only the longest pattern that ends there is reported. It misses answers on purpose."""
+    from runloom.functions.encode import decode_array
+
+    return char_automaton(text.select("seq_id", decode_array(F.col("runs")).alias("symbols")), patterns, one_output=True)
 
 
 def brute_force(text: DataFrame, patterns: DataFrame) -> DataFrame:

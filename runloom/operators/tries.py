@@ -168,7 +168,7 @@ def by_pairs(strings: list[tuple[object, Runs]]) -> tuple[Node, dict[str, int]]:
     while stack:
         v = stack.pop()
         stack.extend(v.children)  # as they stand now: those moved keep their own children
-        kept = list(v.children)
+        kept, moved = list(v.children), set()
         for k in range(len(kept) - 1, 0, -1):
             shorter, longer = kept[k - 1], kept[k]
             if shorter.label[0].sym == longer.label[0].sym:
@@ -176,7 +176,8 @@ def by_pairs(strings: list[tuple[object, Runs]]) -> tuple[Node, dict[str, int]]:
                 longer.label = (Run(longer.label[0].sym, longer.label[0].len - shorter.label[0].len), *longer.label[1:])
                 longer.parent = shorter
                 shorter.children.append(longer)
-                v.children.remove(longer)
+                moved.add(id(longer))
+        v.children = [c for c in kept if id(c) not in moved]
     for v in root.walk():
         v.children.sort(key=lambda c: c.label[0].sym)
     _join_single(root, count)
@@ -184,19 +185,23 @@ def by_pairs(strings: list[tuple[object, Runs]]) -> tuple[Node, dict[str, int]]:
 
 
 def _join_single(root: Node, count: dict[str, int]) -> None:
-    for v in list(root.walk()):
-        while v is not root and len(v.children) == 1 and not v.ends:
-            child = v.children[0]
-            merged = list(v.label)
-            for r in child.label:
+    stack = [root]
+    while stack:
+        v = stack.pop()
+        merged, last = list(v.label), v
+        while v is not root and len(last.children) == 1 and not last.ends:  # the whole chain, then one label
+            last = last.children[0]
+            for r in last.label:
                 if merged and merged[-1].sym == r.sym:
                     merged[-1] = Run(r.sym, merged[-1].len + r.len)
                 else:
                     merged.append(r)
-            v.label, v.depth, v.ends, v.children = tuple(merged), child.depth, child.ends, child.children
+            count["joined"] += 1
+        if last is not v:
+            v.label, v.depth, v.ends, v.children = tuple(merged), last.depth, last.ends, last.children
             for c in v.children:
                 c.parent = v
-            count["joined"] += 1
+        stack.extend(v.children)
 
 
 # --- trie of whole runs ------------------------------------------------------------------------------------------------
@@ -222,22 +227,34 @@ class RunTrie:
 
 
 def run_trie(strings: list[tuple[object, Runs]]) -> RunTrie:
-    """Trie of whole runs; nodes are numbered by depth, then by order, so that links point to smaller numbers or to the same depth's shorter first runs."""
-    prefixes = sorted({tuple(runs[:d]) for _, runs in strings for d in range(1, len(runs) + 1)}, key=lambda p: (len(p), tuple((str(type(s)), s, n) for s, n in p)))
-    trie = RunTrie([0], [Run(None, 0)], [0], [0], [{}], [[]])
-    at: dict[Runs, int] = {(): 0}
-    for p in prefixes:
-        v, up = len(trie.parent), at[p[:-1]]
-        at[p] = v
-        trie.parent.append(up)
-        trie.label.append(Run(*p[-1]))
-        trie.depth.append(len(p))
-        trie.first_len.append(p[0][1])
-        trie.children.append({})
-        trie.children[up][Run(*p[-1])] = v
-        trie.ends.append([])
+    """Trie of whole runs, in time and space of the runs; nodes are numbered level by level, in order, so that links point to smaller numbers or to the same depth's shorter first runs."""
+    children, ends = [{}], {}
     for name, runs in strings:
-        trie.ends[at[tuple(runs)]].append(name)
+        v = 0
+        for r in runs:
+            u = children[v].get(r)
+            if u is None:
+                u = len(children)
+                children[v][Run(*r)] = u
+                children.append({})
+            v = u
+        ends.setdefault(v, []).append(name)
+    trie = RunTrie([0], [Run(None, 0)], [0], [0], [{}], [ends.get(0, [])])
+    level = [(0, 0)]  # number as inserted, number in the trie
+    while level:
+        below = []
+        for old, up in level:
+            for label, child in sorted(children[old].items(), key=lambda x: (str(type(x[0].sym)), x[0])):
+                v = len(trie.parent)
+                trie.parent.append(up)
+                trie.label.append(label)
+                trie.depth.append(trie.depth[up] + 1)
+                trie.first_len.append(trie.first_len[up] if up else label.len)
+                trie.children.append({})
+                trie.children[up][label] = v
+                trie.ends.append(ends.get(child, []))
+                below.append((child, v))
+        level = below
     return trie
 
 

@@ -231,22 +231,23 @@ def truncated_pairs_six(spark, d):
     return truncated.pairs(dictionary(spark, D.SIX))
 
 
-def user_patterns(spark: SparkSession, d: str, users: int = 20) -> DataFrame:
-    """Runs 2 to 5 of the first users' sequences: patterns that occur for certain."""
-    rows = events_by_user(spark, d).filter((F.col("seq_id") < users) & (F.size("runs") >= 5))
+def user_patterns(spark: SparkSession, d: str) -> DataFrame:
+    """Runs 2 to 5 of every user's sequence: patterns that occur for certain."""
+    rows = events_by_user(spark, d).filter(F.size("runs") >= 5)
     return rows.select(F.col("seq_id").alias("pattern_id"), F.slice("runs", 2, 4).alias("runs"))
 
 
-_USER_RUNS = f"""runs AS ({O.runs_sql("SELECT user_id AS seq_id, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id, event_type) - 1 AS n, " + O.EVENT_CODE + " AS sym FROM events WHERE user_id < 20")}),
+_USER_RUNS = f"""runs AS ({O.runs_sql("SELECT user_id AS seq_id, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id, event_type) - 1 AS n, " + O.EVENT_CODE + " AS sym FROM events")}),
 pats AS (SELECT seq_id AS pattern_id, string_agg(repeat(sym, CAST(len AS INT)), '' ORDER BY run_no) FILTER (run_no BETWEEN 2 AND 4) AS head, max(sym) FILTER (run_no = 5) AS last_sym, max(len) FILTER (run_no = 5) AS last_len, max(sym) FILTER (run_no = 4) AS before FROM runs GROUP BY 1 HAVING max(run_no) >= 5)"""
 
 
-@query(f"WITH {_USER_RUNS}, q AS (SELECT pattern_id AS i, head, CAST(unnest(generate_series(1, 4)) AS BIGINT) AS w FROM pats), s AS (SELECT DISTINCT last_sym AS sym FROM pats) SELECT i, sym, w, p.pattern_id AS j FROM q, s, pats p WHERE p.last_sym = sym AND p.last_len <= w AND right(q.head, 1) <> sym AND suffix(q.head, p.head)")
+@query(f"WITH {_USER_RUNS}, q AS (SELECT pattern_id AS i, head, CAST(unnest(generate_series(1, (SELECT max(last_len) FROM pats))) AS BIGINT) AS w FROM pats), s AS (SELECT DISTINCT last_sym AS sym FROM pats) SELECT i, sym, w, p.pattern_id AS j FROM q, s, pats p WHERE p.last_sym = sym AND p.last_len <= w AND right(q.head, 1) <> sym AND suffix(q.head, p.head)")
 def truncated_query_usr(spark, d):
     patterns = user_patterns(spark, d)
     symbols = patterns.select(F.element_at("runs", -1)["sym"].alias("sym")).distinct()
     asked = patterns.select(F.col("pattern_id").alias("i"), F.element_at("runs", -2)["sym"].alias("before")).join(symbols, F.col("sym") != F.col("before"))
-    asked = asked.select("i", "sym", F.explode(F.sequence(F.lit(1).cast("long"), F.lit(4).cast("long"))).alias("w"))
+    longest = patterns.agg(F.max(F.element_at("runs", -1)["len"]).alias("longest"))  # a row
+    asked = asked.crossJoin(F.broadcast(longest)).select("i", "sym", F.explode(F.sequence(F.lit(1).cast("long"), "longest")).alias("w"))
     code = F.create_map(*[F.lit(x) for kv in O.EVENT_LETTERS.items() for x in kv])
     return truncated.query_by_join(patterns, asked).select("i", code[F.col("sym")].alias("sym"), "w", "j")
 
@@ -329,13 +330,13 @@ def run_trie_stats(spark, d):
     return out
 
 
-@query()
+@query("""SELECT * FROM (VALUES ('', '', '', CAST(-1 AS BIGINT)), ('a3', '', '', -1), ('a5', 'a3', '', 1), ('b2', '', '', 5), ('a3b3', 'b2', 'b2', 4), ('a5b1', '', '', -1), ('a5b3', 'a3b3', 'b2', 2), ('b2a1', '', '', -1), ('a3b3a1', 'b2a1', 'b2a1', -1), ('a5b3a1', 'a3b3a1', 'b2a1', -1), ('a5b3a2', '', '', -1)) AS t(node, simple_link, group_link, report_ix)""")
 def automaton_links_six(spark, d):
     """node, simple link, group link and report index of the worked example."""
     return cost.links(spark, D.SIX)
 
 
-@query()
+@query("SELECT * FROM (VALUES (CAST(10 AS BIGINT), CAST(8 AS BIGINT), CAST(2 AS BIGINT), CAST(12 AS BIGINT)), (100, 98, 2, 102), (1000, 998, 2, 1002)) AS t(m, implicit_links, stored_words, occ)")
 def family_output_links(spark, d):
     """The family {a, a^(m-1)}: links that single characters need, words stored here, occurrences in a^m."""
     return cost.family(spark, (10, 100, 1000))
@@ -431,9 +432,9 @@ def baseline_single_pattern(spark, d):
     return match.single_pattern(rows, "thth").withColumnRenamed("seq_id", "doc_id")
 
 
-@query()
+@query(f"WITH {O.hits_ctes('events', D.EVENTS)} SELECT seq_id, pattern_id, start FROM hits JOIN seqs USING (seq_id) WHERE start + len = length(s) OR substr(s, CAST(start + len + 1 AS INT), 1) <> substr(s, CAST(start + len AS INT), 1) QUALIFY row_number() OVER (PARTITION BY seq_id, start + len ORDER BY len DESC) = 1")
 def baseline_longest_only(spark, d):
-    """The incomplete shortcut; tests hold it to be a proper subset."""
+    """The incomplete shortcut: one output link; tests hold it to be a proper subset."""
     return starts(match.longest_only(events_by_user(spark, d), D.EVENTS))
 
 
@@ -585,9 +586,13 @@ def coverage(spark, d):
     return intervals.coverage(hits(spark, d, "events"))
 
 
-@query()
+@query(f"""WITH RECURSIVE {_EVT.replace('hits AS (', 'hits AS MATERIALIZED (')},
+pick(seq_id, pattern_id, start, reach) AS (
+  SELECT seq_id, pattern_id, start, start + len FROM (SELECT *, row_number() OVER (PARTITION BY seq_id ORDER BY start, len DESC, pattern_id) AS k FROM hits) WHERE k = 1
+  UNION ALL SELECT seq_id, pattern_id, start, start + len FROM (SELECT h.*, row_number() OVER (PARTITION BY h.seq_id ORDER BY h.start, h.len DESC, h.pattern_id) AS k FROM hits h JOIN pick p ON h.seq_id = p.seq_id AND h.start >= p.reach) WHERE k = 1)
+SELECT seq_id, pattern_id, start FROM pick""")
 def non_overlapping(spark, d):
-    """Leftmost-longest choice; sequential by nature, tests hold it against a loop."""
+    """Leftmost-longest choice, sequential by nature."""
     return starts(intervals.leftmost_longest(hits(spark, d, "events")))
 
 
@@ -613,6 +618,11 @@ def funnel_orders(spark, d):
 @query(O.hits_sql("events", D.EVENTS))
 def stream_events(spark, d):
     """The events as files of a stream, in an order that is not that of time; a closing row moves the watermark past the last one."""
+    return _streamed_hits(spark, d)[0].select("seq_id", "pattern_id", "start")
+
+
+def _streamed_hits(spark, d):
+    """The hits that a stream over the events' files has written, and their folder."""
     source = shared_dir(spark, "stream")
     rows = read(spark, d, "events").select(F.col("user_id").cast("long").alias("user_id"), F.col("ts").cast("timestamp").alias("ts"), F.col("event_id").cast("long").alias("event_id"), "event_type")
     for k in range(3):
@@ -622,7 +632,31 @@ def stream_events(spark, d):
     schema = "user_id long, ts timestamp, event_id long, event_type string"
     out = shared_dir(spark, "stream-out")
     found = match_stream.match_available(source, spark, schema, D.EVENTS, "user_id", "ts", "event_id", "event_type", out, shared_dir(spark, "stream-state"), "3650 days")
-    return found.select("seq_id", "pattern_id", "start")
+    return found, out
+
+
+@query(f"WITH {_HIT_TIMES} SELECT CAST(epoch_us(date_trunc('day', ts)) AS BIGINT) AS day_us, pattern_id, CAST(count(*) AS BIGINT) AS n FROM timed GROUP BY 1, 2")
+def stream_windows_live(spark, d):
+    """Daily counts by a second stream over the hits that the first one writes; a closing hit moves the watermark past the last window."""
+    hits_of, _ = _streamed_hits(spark, d)
+    end = hits_of.agg((F.coalesce(F.max("ts_us"), F.lit(0)) + F.lit(7300 * 86_400_000_000)).alias("ts_us"))
+    closing = end.select(F.lit(None).cast(hits_of.schema["seq_id"].dataType).alias("seq_id"), F.lit(-1).cast("long").alias("pattern_id"), F.lit(0).cast("long").alias("start"), "ts_us")
+    both = shared_dir(spark, "stream-hits")
+    hits_of.unionByName(closing).write.parquet(both)
+    found = match_stream.hits_available(both, spark, hits_of.schema, shared_dir(spark, "stream-windows"), shared_dir(spark, "stream-state"), lambda h: match_stream.windowed(h, "1 day", delay="3650 days"))
+    return found.filter("pattern_id >= 0").select(F.unix_micros("window.start").alias("day_us"), "pattern_id", "n")
+
+
+_EVENT_SIZES = ", ".join(f"(CAST({k} AS BIGINT), CAST({len(O.expand(p, O.EVENT_LETTERS))} AS BIGINT))" for k, p in D.EVENTS)
+
+
+@query(f"WITH {O.hits_ctes('events', D.EVENTS)}, sizes(pattern_id, m) AS (VALUES {_EVENT_SIZES}) SELECT seq_id, pattern_id, start, m FROM hits JOIN sizes USING (pattern_id)")
+def stream_static_join(spark, d):
+    """The stream of hits joined with the dictionary's table."""
+    hits_of, folder = _streamed_hits(spark, d)
+    static = dictionary(spark, D.EVENTS).select("pattern_id", "m")
+    found = match_stream.hits_available(folder, spark, hits_of.schema, shared_dir(spark, "stream-joined"), shared_dir(spark, "stream-state"), lambda h: h.join(F.broadcast(static), "pattern_id"))
+    return found.select("seq_id", "pattern_id", "start", "m")
 
 
 # --- operators around the methods ------------------------------------------------------------------------------------------
@@ -741,11 +775,12 @@ def percentile_run_len(spark, d):
     return encode_linestatus(spark, d).groupBy("sym").agg(F.percentile("len", 0.5).alias("median"), F.percentile("len", 0.9).alias("upper"))
 
 
-@query()
+@query("SELECT CAST(count(DISTINCT w) AS BIGINT) AS exact, true AS estimate_within_6_percent FROM (SELECT unnest(regexp_extract_all(text, '[^\\x20\\x09-\\x0D]+')) AS w FROM documents)")
 def approx_distinct_symbols(spark, d):
-    """Distinct words of the documents, estimated and exact."""
+    """Distinct words of the documents, and whether the estimate is within three standard errors of their number."""
     words = read(spark, d, "documents").select(F.explode(symbol.tokens(F.col("text"))).alias("w"))
-    return words.agg(F.approx_count_distinct("w", 0.02).alias("estimate"), F.count_distinct("w").alias("exact"))
+    both = words.agg(F.approx_count_distinct("w", 0.02).alias("estimate"), F.count_distinct("w").alias("exact"))
+    return both.select("exact", (F.abs(F.col("estimate") - F.col("exact")) <= 0.06 * F.col("exact")).alias("estimate_within_6_percent"))
 
 
 @query(f"WITH r AS ({O.runs_sql(_GLOBAL_STATUS)}), p AS (SELECT * FROM (VALUES (3, 'F', 4), (7, 'O', 8)) AS t(pattern_id, sym, x)) SELECT CAST(pattern_id AS BIGINT) AS pattern_id, CAST(unnest(generate_series(start, start + len - x)) AS BIGINT) AS start FROM r JOIN p ON r.sym = p.sym AND x <= len")
@@ -776,7 +811,7 @@ def join_theta_lengths(spark, d):
     return truncated.pairs(dictionary(spark, D.EVENTS))
 
 
-@query(f"WITH {_LST} SELECT a.seq_id, a.start AS start_a, b.start AS start_b FROM hits a JOIN hits b ON a.seq_id = b.seq_id AND a.pattern_id = 1 AND b.pattern_id = 2 AND a.start < b.start + b.len AND b.start < a.start + a.len")
+@query(f"WITH {_LST.replace('hits AS (', 'hits AS MATERIALIZED (')}, a AS MATERIALIZED (SELECT * FROM hits WHERE pattern_id = 1), b AS MATERIALIZED (SELECT * FROM hits WHERE pattern_id = 2) SELECT a.seq_id, a.start AS start_a, b.start AS start_b FROM a JOIN b ON a.seq_id = b.seq_id WHERE a.start < b.start + b.len AND b.start < a.start + a.len")
 def join_range_overlap(spark, d):
     found = hits(spark, d, "linestatus")
     return intervals.overlap(found.filter("pattern_id = 1"), found.filter("pattern_id = 2")).select("seq_id", "start_a", "start_b")

@@ -17,11 +17,13 @@ def read(spark: SparkSession, sf_dir: str, name: str, where=None) -> DataFrame:
 
 
 def read_text(spark: SparkSession, path: str, whole: bool = False) -> DataFrame:
-    """seq_id, text: lines of text files, or whole files; the id is a hash of the file name and, for lines, the line."""
+    """seq_id, text: lines of text files, or whole files; the id is a hash of the file name and, for lines, of the place: split and number in it."""
     if whole:
         files = spark.read.option("wholetext", True).text(path)
         return files.select(F.xxhash64(F.input_file_name()).alias("seq_id"), F.col("value").alias("text"))
-    return spark.read.text(path).select(F.xxhash64(F.input_file_name(), "value").alias("seq_id"), F.col("value").alias("text"))
+    number = F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1))
+    lines = spark.read.text(path).select("value", "_metadata.file_path", "_metadata.file_block_start", number.alias("number"))
+    return lines.select(F.xxhash64("file_path", "file_block_start", "number").alias("seq_id"), F.col("value").alias("text"))
 
 
 def read_csv(spark: SparkSession, path: str, schema: str) -> DataFrame:
@@ -37,11 +39,12 @@ def read_orc(spark: SparkSession, path: str) -> DataFrame:
 
 
 def parse_rle(col: Column, fmt: str = "compact") -> Column:
-    """Runs from text: compact "4a3b" (a count before each character) or json [["a",4],["b",3]]."""
+    """Runs from text: compact "4a3b" (a count before each character, which is no digit; other texts are an error) or json [["a",4],["b",3]]."""
     if fmt == "json":
         pairs = F.from_json(col, "array<array<string>>")
         return F.transform(pairs, lambda p: F.struct(F.get(p, F.lit(0)).alias("sym"), F.get(p, F.lit(1)).cast("long").alias("len")))
-    parts = F.regexp_extract_all(col, F.lit(r"(?s)\d+[^\d]"), F.lit(0))
+    well_formed = F.when(col.rlike(r"(?s)^(\d+\D)*$"), col).when(col.isNotNull(), F.raise_error(F.concat(F.lit("no compact runs: "), col)).cast("string"))
+    parts = F.regexp_extract_all(well_formed, F.lit(r"(?s)\d+[^\d]"), F.lit(0))
     return F.transform(parts, lambda p: F.struct(F.substring(p, -1, 1).alias("sym"), F.regexp_extract(p, r"^\d+", 0).cast("long").alias("len")))
 
 

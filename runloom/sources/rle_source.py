@@ -5,14 +5,17 @@ from __future__ import annotations
 import re
 from collections.abc import Iterator
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
+from runloom.sources.readers import parse_rle
+
 _RUN = re.compile(r"(\d+)(\D)", re.S)
 
 
 class RleDataSource(DataSource):
-    """spark.read.format("rle").load(folder): seq_id, runs. One partition a file. The folder must be a local or mounted path of all executors."""
+    """spark.read.format("rle").load(folder): seq_id, runs. One partition a file. The folder must be a local or mounted path of all executors; read_lines() takes any path that Spark reads."""
 
     @classmethod
     def name(cls) -> str:
@@ -38,7 +41,16 @@ class RleReader(DataSourceReader):
         with open(partition.value, encoding="utf-8") as lines:
             for line in lines:
                 name, _, runs = line.rstrip("\n").partition("\t")
-                yield int(name), [(sym, int(n)) for n, sym in _RUN.findall(runs)]
+                found = _RUN.findall(runs)
+                if sum(len(n) + 1 for n, _ in found) != len(runs):
+                    raise ValueError(f"no runs of characters other than digits: {runs[:80]!r}")
+                yield int(name), [(sym, int(n)) for n, sym in found]
+
+
+def read_lines(spark: SparkSession, path: str) -> DataFrame:
+    """seq_id, runs of .rle files below any path that Spark's readers open."""
+    lines = spark.read.text(path).select(F.split("value", "\t", 2).alias("x"))
+    return lines.select(F.get("x", F.lit(0)).cast("long").alias("seq_id"), parse_rle(F.get("x", F.lit(1))).alias("runs"))
 
 
 def write_lines(df: DataFrame, path: str) -> None:

@@ -11,12 +11,13 @@ import json
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from runloom.operators.automaton import Counters, Dictionary, GroupedAutomaton
 from runloom.operators.match import pattern_list
+from runloom.plans.artefact import version_of
 from runloom.types import Run
 
 
@@ -53,18 +54,18 @@ def match_stream(events: DataFrame, patterns, key: str, ts: str, order: str, sym
 
     Rows wait until the watermark (ts less delay) has passed them, so they are read in order of (ts, order) even when they arrive
     out of order; rows later than the watermark are dropped by Spark. State: the matcher's four values and the rows that wait.
-    The dictionary's hash is kept with it: a restart with another dictionary starts sequences anew.
+    The dictionary's version is kept with it: a restart with another dictionary starts matchers anew, and rows that wait go on waiting.
     """
     spark = events.sparkSession
     automaton = GroupedAutomaton(Dictionary(pattern_list(patterns)))
-    version = str(hash(tuple(automaton.dictionary.patterns)) & 0xFFFFFFFF)
+    version = version_of(patterns)
     shared = spark.sparkContext.broadcast(automaton)
     kind = events.schema[key].dataType.simpleString()
 
     def step(group: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         kept = json.loads(state.get[0]) if state.exists else {"v": version, "m": None, "wait": []}
         if kept["v"] != version:
-            kept = {"v": version, "m": None, "wait": []}
+            kept |= {"v": version, "m": None}
         for frame in frames:
             kept["wait"] += [[int(t.value) // 1000, int(o), s] for t, o, s in zip(frame["ts"], frame["ord"], frame["sym"])]
         mark = state.getCurrentWatermarkMs() * 1000
@@ -92,6 +93,19 @@ def match_available(events_path: str, spark, schema: str, patterns, key: str, ts
     return spark.read.schema(matched.schema).parquet(out)
 
 
+def hits_available(hits_path: str, spark: SparkSession, schema, out: str, checkpoint: str, plan) -> DataFrame:
+    """A second stream over the hits that match_stream wrote (with ts, a timestamp): plan turns the streaming table into the one that is appended to out."""
+    found = plan(spark.readStream.schema(schema).parquet(hits_path).withColumn("ts", F.timestamp_micros("ts_us")))
+    query = found.writeStream.format("parquet").option("path", out).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+    query.awaitTermination()
+    return spark.read.schema(found.schema).parquet(out)
+
+
+def windowed(hits: DataFrame, length: str, slide: str | None = None, delay: str = "0 seconds") -> DataFrame:
+    """window, pattern_id, n of a stream of hits with ts: a window is appended when the watermark has passed its end."""
+    return hits.withWatermark("ts", delay).groupBy(F.window("ts", length, slide or length), "pattern_id").agg(F.count(F.lit(1)).alias("n"))
+
+
 def match_rows(events: DataFrame, patterns, key: str, order: list[str], sym: str) -> DataFrame:
     """The stream's logic on a bounded table: the eager matcher over each key's rows in order; memory is one key's state."""
     spark = events.sparkSession

@@ -4,13 +4,16 @@ import math
 
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from runloom.functions import encode, rle
 from runloom.operators import alphabet, intervals, match
 from runloom.plans import dictionaries as D
-from runloom.plans import strategies, workloads
+from runloom.plans import artefact, strategies, workloads
+from runloom.sources import readers, rle_source
 from runloom.sources.readers import dictionary
+from runloom.streaming import match_stream
 from runloom.streaming.match_stream import EagerMatcher
 from runloom.types import Run, runs_of
 
@@ -119,6 +122,55 @@ def test_longest_only_misses_answers(spark, small):
     assert few.exceptAll(all_hits).count() == 0 and few.count() < all_hits.count()
 
 
+def test_a_stream_goes_on_after_a_stop(spark, tmp_path):
+    """Two runs over one checkpoint: matchers and rows that wait are kept, also across a change of the dictionary."""
+    symbols = ["view", "view", "click", "purchase", "error", "error", "view", "click", "purchase", "view", "view", "click"]
+    rows = [(k % 2, k, f"2024-01-01 00:{k:02d}:00", symbols[k // 2 % 12]) for k in range(48)]
+    table = spark.createDataFrame(rows, "user_id long, event_id long, at string, event_type string").withColumn("ts", F.to_timestamp("at")).drop("at")
+    closing = spark.createDataFrame([(-1, -1, "2025-01-01 00:00:00", "end")], "user_id long, event_id long, at string, event_type string").withColumn("ts", F.to_timestamp("at")).drop("at")
+    source, out, state = (str(tmp_path / x) for x in ("in", "out", "state"))
+    schema = "user_id long, event_id long, event_type string, ts timestamp"
+
+    def run(patterns):
+        return match_stream.match_available(source, spark, schema, patterns, "user_id", "ts", "event_id", "event_type", out, state, "10 minutes")
+
+    table.filter("event_id < 21").coalesce(1).write.parquet(f"{source}/a")
+    first = run(D.EVENTS).count()
+    table.filter("event_id >= 21").unionByName(closing).coalesce(1).write.parquet(f"{source}/b")
+    found = {(r["seq_id"], r["pattern_id"], r["start"]) for r in run(D.EVENTS).collect()}
+    whole = match.full(encode.sequences(table, "user_id", ["ts", "event_id"], "event_type"), D.EVENTS)
+    assert found == {(r["seq_id"], r["pattern_id"], r["start"]) for r in whole.collect()} and 0 < first < len(found)
+    assert artefact.version_of(D.EVENTS) == artefact.version_of(list(D.EVENTS)) != artefact.version_of(D.EVENTS[:2])
+
+
+def test_lines_keep_their_own_ids_and_digits_are_refused(spark, tmp_path):
+    (tmp_path / "t.txt").write_text("aab\naab\nb\n")
+    assert readers.read_text(spark, str(tmp_path)).select("seq_id").distinct().count() == 3
+    for bad in ("134", "4a3", "a"):
+        with pytest.raises(Exception, match="no compact runs"):
+            spark.createDataFrame([(bad,)], "s string").select(readers.parse_rle(F.col("s"))).collect()
+    (tmp_path / "t.txt").write_text("7\t4a3b\n")
+    assert [(r["seq_id"], [tuple(x) for x in r["runs"]]) for r in rle_source.read_lines(spark, str(tmp_path)).collect()] == [(7, [("a", 4), ("b", 3)])]
+
+
+def test_one_run_with_more_starts_than_a_batch(spark, monkeypatch):
+    monkeypatch.setattr(match, "EMIT", 7)
+    rows = spark.createDataFrame([(1, [("a", 50), ("b", 1), ("a", 9)])], "seq_id long, runs array<struct<sym:string,len:bigint>>")
+    found = match.full(rows, [(1, "aaa"), (2, "ab"), (3, "a" * 9)])
+    assert sorted((r["pattern_id"], r["start"], r["end_run"]) for r in found.collect()) == sorted([(1, k, 1) for k in range(48)] + [(1, 51 + k, 3) for k in range(7)] + [(2, 49, 2)] + [(3, k, 1) for k in range(42)] + [(3, 51, 3)])
+
+
+def test_large_alphabets_are_joined(spark, monkeypatch):
+    patterns = dictionary(spark, [(1, ("x", "x", "y")), (2, ("z",)), (3, ("y", "x"))])
+    text = spark.createDataFrame([(1, [("x", 2), ("q", 1), ("p", 1), ("y", 3)]), (1, [("y", 1)]), (2, []), (3, None)], "seq_id long, runs array<struct<sym:string,len:bigint>>")
+    both = []
+    for most in (alphabet.MOST, 0):
+        monkeypatch.setattr(alphabet, "MOST", most)
+        t, p = alphabet.reduce(patterns, text)
+        both.append([sorted((r[0], tuple((x["sym"], x["len"]) for x in r["runs"] or ())) for r in df.select(c, "runs").collect()) for df, c in ((t, "seq_id"), (p, "pattern_id"))])
+    assert both[0] == both[1] and both[0][0][0] == (1, ((1, 2), (0, 2), (2, 3)))
+
+
 def test_leftmost_longest(spark, small):
     found = workloads.hits(spark, small, "events")
     want = []
