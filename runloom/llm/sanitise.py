@@ -22,7 +22,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from runloom.llm.common import bit_filter, buffers, passes, pieces, texts, written
+from runloom.llm.common import bit_filter, buffers, passes, pieces, texts, tidy, written
 from runloom.llm.secret_scan import joined
 from runloom.llm.textnum import ALNUM, words
 
@@ -102,19 +102,21 @@ SPAN = "struct<start:int,kind:int,end:int>"
 BASE_SCHEMA = f"uid long, doc_id {{id_type}}, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans array<{SPAN}>, entities array<long>, text string"
 
 
-def _base(batches: Iterator[pa.RecordBatch], schema: pa.Schema) -> Iterator[pa.RecordBatch]:
-    """Rows of BASE_SCHEMA; only texts with entities are carried on."""
+def _base(batches: Iterator[pa.RecordBatch], schema: pa.Schema, every: bool) -> Iterator[pa.RecordBatch]:
+    """Rows of BASE_SCHEMA; texts without entities are carried on if every one is asked for."""
     uid = TaskContext.get().partitionId() << 36
     for batch in batches:
         rows = []
-        for doc_id, text in zip(batch.column(0).to_pylist(), texts(batch.column(1)).to_pylist()):
+        for doc_id, given in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+            text = given or ""
             spans = base_spans(text)
             counts = [sum(k == n for _, k, _ in spans) for n in range(4)]
             marks = [{"start": s, "kind": k, "end": e} for s, k, e in spans]
             entities = sorted({int.from_bytes(hashlib.blake2b(f"{KINDS[k]}:{text[s:e]}".encode(), digest_size=8).digest(), "little", signed=True) for s, k, e in spans})
-            rows.append((uid, doc_id, *counts, hashlib.sha256(joined(spans, KINDS).encode()).hexdigest(), marks, entities, text if spans else None))
+            rows.append((uid, doc_id, *counts, hashlib.sha256(joined(spans, KINDS).encode()).hexdigest(), marks, entities, given if spans or every else None))
             uid += 1
         yield pa.RecordBatch.from_arrays([pa.array([r[j] for r in rows], f.type) for j, f in enumerate(schema)], schema=schema)
+    tidy()
 
 
 def _spans(column: pa.Array) -> Iterator[list[tuple[int, int, int]]]:
@@ -182,6 +184,7 @@ def _term_counts(batches: Iterator[pa.RecordBatch], kept) -> Iterator[pa.RecordB
                 open_terms, open_counts, size = [names], [counts], len(names) // 2
     names, counts = summed()
     yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array(counts, pa.int64())], ["term", "n"])
+    tidy()
 
 
 def disclosures(base: DataFrame, docs: DataFrame) -> DataFrame:
@@ -213,31 +216,53 @@ def disclosures(base: DataFrame, docs: DataFrame) -> DataFrame:
     return written(joint.groupBy("term").agg(F.max("ratio").alias("ratio")), "pii-found")
 
 
-def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per document: counts of base kinds, digest of base spans, all spans, n_term, marks (spans as an array with labels).
-
-    Null text counts as empty, without spans; repeated rows are documents of their own; an empty table gives no rows; other
-    columns are not read. Offsets are code points, ends exclusive.
-    """
+def _marked(docs: DataFrame, id_col: str, text_col: str, every: bool) -> DataFrame:
+    """Rows of BASE_SCHEMA (texts of all rows, or of those with entities) with terms and marks: all spans in order, with the ratio they tell."""
     from pyspark.sql.pandas.types import to_arrow_schema
     from pyspark.sql.types import StructType
 
     source = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     ddl = BASE_SCHEMA.format(id_type=source.schema[0].dataType.simpleString())
     schema = to_arrow_schema(StructType.fromDDL(ddl))
-    base = written(source.mapInArrow(lambda b: _base(b, schema), ddl), "pii-base")
+    base = written(source.mapInArrow(lambda b: _base(b, schema, every), ddl), "pii-base")
     found = disclosures(base, source)
     kept = docs.sparkSession.sparkContext.broadcast(bit_filter(found.select("term")))
     places = base.filter(F.size("entities") > 0).select("uid", "text", "spans").mapInArrow(lambda b: _places(b, kept), "uid long, term long, start int, end int")
     terms = places.join(found, "term")
     terms = terms.groupBy("uid").agg(F.collect_list(F.struct("start", F.lit(4).alias("kind"), "end", "ratio")).alias("terms"))
     marks = F.array_sort(F.concat(F.expr("transform(spans, s -> struct(s.start as start, s.kind as kind, s.end as end, 1D as ratio))"), F.coalesce("terms", F.expr("cast(array() as array<struct<start:int,kind:int,end:int,ratio:double>>)"))))
+    return base.join(terms, "uid", "left").withColumn("marks", marks)
+
+
+def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row per document: counts of base kinds, digest of base spans, all spans, n_term, marks (spans as an array with labels).
+
+    Null text counts as empty, without spans; repeated rows are documents of their own; an empty table gives no rows; other
+    columns are not read. Offsets are code points, ends exclusive.
+    """
+    rows = _marked(docs, id_col, text_col, False).drop("text", "entities")
     names = ", ".join(f"'{k}'" for k in KINDS)
     text = F.array_join(F.transform("marks", lambda m: F.concat_ws(":", F.element_at(F.expr(f"array({names})"), m["kind"] + 1), m["start"], m["end"])), ",")
-    rows = base.drop("text", "entities").join(terms, "uid", "left").withColumn("marks", marks)
     return rows.select("doc_id", "n_email", "n_ip", "n_card", "n_phone", "base_sha256", text.alias("spans"), F.coalesce(F.size("terms"), F.lit(0)).cast("long").alias("n_term"), "marks")
 
 
+def sanitised(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """doc_id, text, n_replaced of every document: base spans become their kind's label; terms that disclose a class word, or nothing.
+
+    Where spans overlap the first one counts, of equal starts the longest. Null texts stay null.
+    """
+    rows = _marked(docs, id_col, text_col, True).select("doc_id", "text", "marks")
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            marks = batch.column(2).to_pylist()
+            out = [replaced(t, m) for t, m in zip(batch.column(1).to_pylist(), marks)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.string()), pa.array([len(m) for m in marks], pa.int64())], ["doc_id", "text", "n_replaced"])
+        tidy()
+
+    return rows.mapInArrow(cut, f"doc_id {rows.schema[0].dataType.simpleString()}, text string, n_replaced long")
+
+
 def replaced(text: str | None, marks: list[dict]) -> str | None:
     """text with base spans as labels; terms as a class word, or gone."""
     if text is None:

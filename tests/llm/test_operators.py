@@ -548,6 +548,18 @@ def test_pii_edges():
         sanitise.base_spans(t)
 
 
+def test_sanitised_texts(spark, odd):
+    """Over a table: what is marked is gone from the texts, and nothing else is changed."""
+    rows = [(k, f"Please ask Zorblatt at zed@example.org about it, number {k}.") for k in range(3)] + [(10 + k, f"Please ask about it, number {k}, at the desk.") for k in range(40)] + [(60, None), (61, "")]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    marks = {r["doc_id"]: r["marks"] for r in sanitise.scan(df).collect()}
+    out = {r["doc_id"]: (r["text"], r["n_replaced"]) for r in sanitise.sanitised(df).collect()}
+    assert out == {d: (sanitise.replaced(t, [m.asDict() for m in marks[d]]), len(marks[d])) for d, t in rows}
+    assert all("zed@" not in out[k][0] and "Zorblatt" not in out[k][0] and "[EMAIL]" in out[k][0] and out[k][0].startswith("Please ask ") for k in range(3))
+    assert all(out[d] == (t, 0) for d, t in rows if d >= 10)
+    assert Counter(r["doc_id"] for r in sanitise.sanitised(odd).collect()) == Counter(r[0] for r in ODD)
+
+
 def test_terms_that_disclose(spark):
     rows = [(k, f"common words here about Zorblax and mail secret.person@mail.com today common text{k}") for k in range(3)] + [(10 + k, f"common words here about nothing today common text{k}") for k in range(40)]
     df = spark.createDataFrame(rows, "doc_id long, text string")
