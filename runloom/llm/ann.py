@@ -1,12 +1,13 @@
 """Approximate nearest neighbours by largest inner product: multiprobe p-stable hashing.
 
 Vectors are scaled by the largest norm and lifted by one component, so that a larger inner product is a smaller
-distance. Each of TABLES tables projects them on HASHES Gaussian directions and cuts each line into CELLS cells; a
-bucket is one cell per direction. A query visits buckets in the order of the estimated chance that a neighbour at the
-usual product falls there, until SUCCESS of that chance is covered. That product and the cuts come from a bounded
-sample; every row is indexed. Rows of a table are dealt into blocks of about BLOCK rows of neighbouring buckets; large
-buckets are split. A block scores the queries that visit one of its buckets and keeps the best of each; the tables'
-candidates are merged and scored again on the original vectors.
+distance. Each of TABLES tables projects them on HASHES Gaussian directions, shifts each line at random and cuts it into
+cells of WIDTH (the outer of CELLS cells are open); a bucket is one cell per direction. A query visits buckets in the order
+of the estimated chance that a neighbour at the usual product falls there, until SUCCESS of that chance is covered. That
+product comes from a bounded sample; every row is indexed. Rows of a table are dealt into blocks of about BLOCK rows of
+neighbouring buckets; large buckets are split. Queries go to the blocks that hold a bucket they visit (vectors are copied
+for each QUERY_BLOCK queries only). A block scores the rows of the visited buckets and keeps the best of each query; the
+tables' candidates are merged and scored again on the original vectors.
 """
 
 from __future__ import annotations
@@ -19,19 +20,21 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from runloom.llm.common import written
+from runloom.llm.common import tidy, written
 
-TABLES = 2
-HASHES = 4
-CELLS = 6
+TABLES = 3
+HASHES = 6
+CELLS = 4
 #: Rows of the sample that sets cuts and the usual product.
 SAMPLE = 4_096
 #: Sample rows that act as queries when the usual product is measured.
 SAMPLE_QUERIES = 128
-SUCCESS = 0.8
+#: Width of a cell; projections of scaled vectors have a standard deviation of about 1.
+WIDTH = 0.75
+SUCCESS = 0.55
 BLOCK = 8_192
-#: Queries scored against a block at once.
-QUERY_BLOCK = 2_048
+#: Queries that meet a block in one task: their vectors take 512 bytes each.
+QUERY_BLOCK = 32_768
 TOP = 20
 
 
@@ -49,7 +52,7 @@ def _normal(x: np.ndarray) -> np.ndarray:
 
 @dataclass
 class Index:
-    """Directions (tables, dim + 1, HASHES), inner cuts of each line, the sample's largest norm and usual product of a query and its TOP-th neighbour."""
+    """Directions (tables, dim + 1, HASHES), borders of the cells of each line, the sample's largest norm and usual product of a query and its TOP-th neighbour."""
 
     directions: np.ndarray
     cuts: np.ndarray
@@ -63,8 +66,8 @@ class Index:
         dim = sample.shape[1]
         rng = np.random.default_rng(seed)
         norm = float(np.sqrt((sample**2).sum(1).max()))
-        index = cls(rng.normal(size=(TABLES, dim + 1, HASHES)), np.zeros((TABLES, HASHES, CELLS - 1)), norm, 1.0, dim)
-        index.cuts = np.quantile(index.project(sample, lift=True), np.arange(1, CELLS) / CELLS, axis=1).transpose(1, 2, 0)
+        directions, shift = rng.normal(size=(TABLES, dim + 1, HASHES)), rng.uniform(-WIDTH / 2, WIDTH / 2, (TABLES, HASHES, 1))
+        index = cls(directions, WIDTH * (np.arange(1, CELLS) - CELLS / 2) + shift, norm, 1.0, dim)
         # the product that TOP of the population reach, read off the sample
         scores = np.sort(queries @ sample.T, axis=1)
         place = max(1, round(TOP * len(sample) / max(population, 1)))
@@ -164,26 +167,38 @@ def _score(key: tuple, rows: pa.Table, asked: pa.Table, index) -> pa.Table:
     """One block of rows (about BLOCK) against one block of queries (about QUERY_BLOCK)."""
     model, t = index.value, key[0].as_py()
     out: list[list] = [[np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0)]]
+    seen: list[list] = [[np.zeros(0, np.int64)], [np.zeros(0, np.int64)]]
     if rows.num_rows and asked.num_rows:
         x, xid, bucket = _matrix(rows.column("v").combine_chunks(), model.dim), rows.column("id").to_numpy(), rows.column("bucket").to_numpy()
         for lo in range(0, asked.num_rows, 256):
             part = asked.slice(lo, 256)
             q, qid = _matrix(part.column("q").combine_chunks(), model.dim), part.column("qid").to_numpy()
-            place, vec, score = best(q, qid, x, xid, model.visits(q, t)[:, bucket])
+            visited = model.visits(q, t)[:, bucket]
+            place, vec, score = best(q, qid, x, xid, visited)
             for c, v in zip(out, (qid[place.astype(np.int64)], vec.astype(np.int64), score)):
                 c.append(v)
-    return pa.table([pa.array(np.concatenate(c)) for c in out], ["query_id", "vec_id", "score"])
+            seen[0].append(qid)
+            seen[1].append(visited.sum(1))
+    found, compared = [pa.array(np.concatenate(c)) for c in out], [pa.array(np.concatenate(c)) for c in seen]
+    schema = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.float64()), ("compared", pa.int64())])
+    tidy()
+    return pa.concat_tables([
+        pa.table([*found, pa.nulls(len(found[0]), pa.int64())], schema=schema),
+        pa.table([compared[0], pa.nulls(len(compared[0]), pa.int64()), pa.nulls(len(compared[0]), pa.float64()), compared[1].cast(pa.int64())], schema=schema),
+    ])
 
 
 def search(rows: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
-    """query_id, rank, vec_id, score: each query's TOP nearest rows found but its own, nearest first, ties by smaller id.
+    """query_id, rank, vec_id, score, compared: each query's TOP nearest rows found but its own, nearest first, ties by smaller id.
+
+    compared: rows of visited buckets, all tables together.
 
     Rows with a null id, or a vector that is null, zero, or holds null or non-finite components, take no part; so do rows
     whose length differs from the sample's most frequent one. Repeated ids count once, by their largest score. Fewer rows than
     TOP: all of them. Empty tables give no rows. Other columns are not read.
     """
     spark = rows.sparkSession
-    schema = "query_id long, rank int, vec_id long, score double"
+    schema = "query_id long, rank int, vec_id long, score double, compared long"
     base = usable(rows, id_col, vector_col)
     lengths = base.groupBy(F.size("v").alias("n")).count().orderBy(F.desc("count"), "n").limit(1).collect()
     if not lengths:
@@ -198,9 +213,7 @@ def search(rows: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_c
     model = Index.fit(x, x[:SAMPLE_QUERIES], peak["n"])
     model.everything = peak["n"] <= TOP + 1
     model.norm, ratio = float(np.sqrt(peak["m"])), float(np.sqrt(peak["m"])) / model.norm
-    if ratio > 1.0001:  # the corpus has longer vectors than the sample: cuts move with the lift
-        model.cuts = np.quantile(model.project(x, lift=True), np.arange(1, CELLS) / CELLS, axis=1).transpose(1, 2, 0)
-        model.near /= ratio**2
+    model.near /= max(1.0, ratio) ** 2  # the corpus may have longer vectors than the sample
     index = spark.sparkContext.broadcast(model)
     placed = written(base.mapInArrow(lambda b: _bucketed(b, index), "id long, v array<double>, tab int, bucket int"), "ann-index")
     # the directory: at most TABLES * CELLS ** HASHES rows
@@ -228,7 +241,8 @@ def search(rows: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_c
     visiting = asked.mapInArrow(lambda b: _visited_blocks(b, index, shared), "qid long, q array<double>, tab int, block int")
     visiting = visiting.withColumn("part", F.pmod(F.xxhash64("qid"), F.lit(query_blocks)).cast("int")).select("tab", "block", "part", "qid", "q")
     by = ["tab", "block", "part"]
-    found = grid.groupBy(*by).cogroup(visiting.groupBy(*by)).applyInArrow(lambda k, a, b: _score(k, a, b, index), "query_id long, vec_id long, score double")
-    once = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
-    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
-    return once.withColumn("rank", rank).filter(F.col("rank") <= TOP).select("query_id", "rank", "vec_id", "score")
+    found = grid.groupBy(*by).cogroup(visiting.groupBy(*by)).applyInArrow(lambda k, a, b: _score(k, a, b, index), "query_id long, vec_id long, score double, compared long")
+    once = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"), F.sum("compared").alias("n"))
+    by_query = Window.partitionBy("query_id")
+    ranked = once.withColumns({"compared": F.sum("n").over(by_query), "rank": F.row_number().over(by_query.orderBy(F.desc_nulls_last("score"), "vec_id"))})
+    return ranked.filter((F.col("rank") <= TOP) & F.col("vec_id").isNotNull()).select("query_id", "rank", "vec_id", "score", "compared")

@@ -501,6 +501,27 @@ def test_ann(spark, small):
     assert hit / total >= 0.9
 
 
+def test_ann_compares_few_rows_where_vectors_have_neighbours(spark, monkeypatch):
+    """Clustered vectors: nearly all neighbours from a small share of the rows, with hot buckets split into many blocks."""
+    monkeypatch.setattr(ann, "BLOCK", 64)
+    monkeypatch.setattr(ann, "QUERY_BLOCK", 16)
+    rng = np.random.default_rng(4)
+    centres = rng.normal(size=(120, 64))
+    x = centres[rng.integers(0, 120, 4000)] + 0.3 * rng.normal(size=(4000, 64))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    df = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "vec_id long, embedding array<double>")
+    hits = compared = 0
+    found = {}
+    for r in ann.search(df, df.filter("vec_id % 50 = 0")).collect():
+        found.setdefault(r["query_id"], set()).add(r["vec_id"])
+        compared += r["compared"] / 20
+    for q in range(0, 4000, 50):
+        s = x @ x[q]
+        s[q] = -np.inf
+        hits += len(found[q] & set(np.argsort(-s)[:20].tolist()))
+    assert hits >= 0.9 * 20 * 80 and compared < 0.1 * 4000 * 80
+
+
 def test_ann_odd_vectors(spark):
     nan = float("nan")
     data = [(0, [1.0, 0.0]), (1, [1.0, 0.0]), (2, [0.0, 1.0]), (3, None), (4, [0.0, 0.0]), (5, [nan, 1.0]), (6, [None, 1.0]), (7, [-1.0, 0.0]), (8, [1.0, 0.0]), (9, [1.0, 2.0, 3.0]), (None, [1.0, 1.0]), (10, [float("inf"), 0.0])]
