@@ -203,3 +203,70 @@ def rle_global(df: DataFrame, order: list[str], sym: str) -> DataFrame:
     rows = local.withColumn("inside", inside).join(per.select("part", "joined", "base", "offset"), "part")
     rows = rows.select((F.col("base") + F.col("local") + 1 - F.col("joined")).alias("run_no"), "sym", "len", (F.col("offset") + F.col("inside")).alias("start"))
     return rows.groupBy("run_no").agg(F.first("sym").alias("sym"), F.sum("len").alias("len"), F.min("start").alias("start"))
+
+
+def rle_rows_ranged(df: DataFrame, part: str, order: list[str], sym: str) -> DataFrame:
+    """rle_rows() for keys of any size: rows are range-partitioned by key and order, so a hot key is spread over many tasks.
+
+    Runs are made inside partitions. Of the keys that reach over a border (two a partition at most) a row per partition tells
+    where each part begins and whether its first run goes on; null symbols break runs and are left out.
+    """
+    from pyspark.sql.pandas.types import to_arrow_type
+
+    from runloom.sources.store import stored
+
+    rows = df.select(F.col(part).alias("seq_id"), *[F.col(c).alias(f"__{k}") for k, c in enumerate(order)], F.col(sym).alias("__sym"))
+    by = ["seq_id", *(f"__{k}" for k in range(len(order))), "__sym"]
+    kinds = [rows.schema[c].dataType for c in ("seq_id", "__sym")]
+    seq_kind, sym_kind = (k.simpleString() for k in kinds)
+    ordered = rows.repartitionByRange(*by).sortWithinPartitions(*by).select("seq_id", "__sym")
+    local = stored(ordered.mapInArrow(lambda b: _keyed_runs(b, *map(to_arrow_type, kinds)), f"part long, local long, seq_id {seq_kind}, sym {sym_kind}, len long"), "keyed-runs")
+    ends = local.groupBy("part").agg(F.min_by(F.struct("seq_id"), "local").alias("a"), F.max_by(F.struct("seq_id"), "local").alias("b"))
+    border = ends.select("a.seq_id").union(ends.select("b.seq_id")).distinct().withColumnRenamed("seq_id", "key")
+    full = F.col("sym").isNotNull().cast("long")
+    per = local.join(border, F.col("seq_id").eqNullSafe(F.col("key")), "left_semi").groupBy("seq_id", "part")
+    per = per.agg(F.min_by("sym", "local").alias("head"), F.max_by("sym", "local").alias("tail"), F.sum(full).alias("runs"), F.sum("len").alias("n"))
+    of_key = Window.partitionBy("seq_id").orderBy("part")  # a row per partition that the key reaches
+    before = of_key.rowsBetween(Window.unboundedPreceding, -1)
+    per = per.withColumn("joined", F.coalesce(F.lag("tail").over(of_key) == F.col("head"), F.lit(False)).cast("long"))
+    sums = [F.coalesce(F.sum(c).over(before), F.lit(0)) for c in (F.col("runs") - F.col("joined"), F.col("n"))]
+    per = per.select(F.col("seq_id").alias("key"), F.col("part").alias("at"), "joined", sums[0].alias("base"), sums[1].alias("offset"))
+    inside = Window.partitionBy("part", "seq_id").orderBy("local")
+    total = lambda c, last: F.coalesce(F.sum(c).over(inside.rowsBetween(Window.unboundedPreceding, last)), F.lit(0))
+    placed = local.withColumns({"no": total(full, 0), "from": total(F.col("len"), -1)}).filter("sym IS NOT NULL")
+    placed = placed.join(per, (F.col("part") == F.col("at")) & F.col("seq_id").eqNullSafe(F.col("key")), "left")
+    zero = lambda c: F.coalesce(c, F.lit(0))
+    runs = placed.select("seq_id", (zero("base") + F.col("no") - zero("joined")).alias("run_no"), "sym", "len", (zero("offset") + F.col("from")).alias("start"))
+    return runs.groupBy("seq_id", "run_no").agg(F.first("sym").alias("sym"), F.sum("len").alias("len"), F.min("start").alias("start"))
+
+
+def _keyed_runs(batches: Iterator[pa.RecordBatch], seq_kind: pa.DataType, sym_kind: pa.DataType) -> Iterator[pa.RecordBatch]:
+    """part, local, seq_id, sym, len of the runs of one partition's rows; the last run is held back between batches."""
+    from pyspark import TaskContext
+
+    part, number, held = TaskContext.get().partitionId(), 0, None
+    names = ["part", "local", "seq_id", "sym", "len"]
+
+    def rows(seqs: list, syms: list, lens: list) -> pa.RecordBatch:
+        nonlocal number
+        number += len(seqs)
+        return pa.RecordBatch.from_arrays([pa.array([part] * len(seqs), pa.int64()), pa.array(range(number - len(seqs), number), pa.int64()), pa.array(seqs, seq_kind), pa.array(syms, sym_kind), pa.array(lens, pa.int64())], names)
+
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        codes = [c.dictionary_encode() for c in batch.columns]
+        index = [np.asarray(c.indices.fill_null(-1)) for c in codes]
+        first = np.flatnonzero(np.concatenate([[True], (np.diff(index[0]) != 0) | (np.diff(index[1]) != 0)]))
+        seqs, syms = ([names_of[i] if i >= 0 else None for i in ix[first]] for names_of, ix in zip((c.dictionary.to_pylist() for c in codes), index))
+        lens = np.diff(np.append(first, batch.num_rows)).tolist()
+        if held is not None:
+            if (seqs[0], syms[0]) == held[:2]:
+                lens[0] += held[2]
+            else:
+                seqs, syms, lens = [held[0], *seqs], [held[1], *syms], [held[2], *lens]
+        held = seqs.pop(), syms.pop(), lens.pop()
+        if seqs:
+            yield rows(seqs, syms, lens)
+    if held is not None:
+        yield rows([held[0]], [held[1]], [held[2]])

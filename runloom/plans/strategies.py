@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 
 from runloom.functions.encode import explode_runs
 from runloom.operators.automaton import Dictionary, Frozen, GroupedAutomaton
-from runloom.operators.match import CHUNK, _coded_runs, chunks, full, pattern_list, single_run
+from runloom.operators.match import CHUNK, MAX_PATTERN_RUNS, _coded_runs, chunks, full, pattern_list, single_run
 
 #: Bytes of a frozen automaton that executors take.
 BROADCAST_BYTES = 200 << 20
@@ -132,8 +132,12 @@ def anchors(text: DataFrame, patterns: DataFrame) -> DataFrame:
 
 
 def shards(text: DataFrame, patterns: DataFrame, parts: int = 4) -> DataFrame:
-    """The dictionary in parts by a hash of the id, each small enough to broadcast, one after the other."""
-    out = None
+    """The dictionary in parts by a hash of the id, each small enough to broadcast, one after the other; more parts than asked for where it is larger.
+
+    The driver holds one part at a time while the plan is made.
+    """
+    total = patterns.agg(F.sum(F.size("runs"))).first()[0] or 0
+    parts, out = max(parts, -(-2 * total // MAX_PATTERN_RUNS)), None
     for k in range(parts):
         part = full(text, patterns.filter(F.pmod(F.xxhash64("pattern_id"), F.lit(parts)) == k))
         out = part if out is None else out.unionByName(part)

@@ -107,6 +107,12 @@ def encode_events(spark, d):
     return encode.rle_rows(read(spark, d, "events"), "user_id", ["ts", "event_id"], "event_type")
 
 
+@query(ORACLE_SQL["encode_events"])
+def encode_events_ranged(spark, d):
+    """The same without a task that holds a whole key."""
+    return encode.rle_rows_ranged(read(spark, d, "events"), "user_id", ["ts", "event_id"], "event_type")
+
+
 _GLOBAL_STATUS = "SELECT 0 AS seq_id, row_number() OVER (ORDER BY l_shipdate, l_orderkey, l_linenumber, l_linestatus) - 1 AS n, l_linestatus AS sym FROM lineitem"
 
 

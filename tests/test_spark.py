@@ -171,6 +171,25 @@ def test_large_alphabets_are_joined(spark, monkeypatch):
     assert both[0] == both[1] and both[0][0][0] == (1, ((1, 2), (0, 2), (2, 3)))
 
 
+def test_hot_keys_are_encoded_over_many_tasks(spark):
+    """One key with most rows, keys of one row, null keys and null symbols, runs over every border."""
+    import random
+
+    draw, rows = random.Random(4), []
+    for k in range(3000):
+        rows.append((draw.choice([7, 7, 7, 7, 1, 2, None, 1000 + k]), k, draw.choice(["a", "a", "a", "a", "b", None])))
+    rows += [(7, 5000 + k, "z") for k in range(3000)]
+    df = spark.createDataFrame(rows, "user_id long, ts long, kind string").repartition(6)
+    want = encode.rle_rows(df, "user_id", ["ts"], "kind")
+    spark.conf.set("spark.sql.shuffle.partitions", "16")
+    try:
+        got = encode.rle_rows_ranged(df, "user_id", ["ts"], "kind").select(want.columns)
+        assert sorted(map(repr, map(tuple, got.collect()))) == sorted(map(repr, map(tuple, want.collect())))
+        assert encode.rle_rows_ranged(df.limit(0), "user_id", ["ts"], "kind").count() == 0
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", "4")
+
+
 def test_leftmost_longest(spark, small):
     found = workloads.hits(spark, small, "events")
     want = []
