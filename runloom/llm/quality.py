@@ -1,8 +1,8 @@
 """Quality classifier: naive Bayes support vectors over hashed word n-grams.
 
-Indicators of words and word pairs are scaled by the log-count ratio of the two classes; a linear model with squared
-hinge loss is fitted to them by dual coordinate descent, on a bounded sample of labelled rows, and its margin is turned
-into a probability by a logistic curve fitted on labelled rows left out of the descent.
+Indicators of words and word pairs are scaled by the log-count ratio of the two classes; a linear model with hinge loss is
+fitted to them by dual coordinate descent, on a sample of labelled rows that is bounded in rows and in features, and its
+margin is turned into a probability by a logistic curve fitted on labelled rows left out of the descent.
 """
 
 from __future__ import annotations
@@ -15,18 +15,20 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from runloom.llm.common import buffers, pieces, texts, tidy
+from runloom.llm.common import buffers, discard, pieces, texts, tidy, written
 from runloom.llm.textnum import SPACED, ngrams, same_text, words
 
 #: Hashed n-gram features.
 FEATURES = 1 << 20
 #: Most labelled rows that the model is fitted on: the first in the order of a hash of the id.
 SAMPLE_ROWS = 10_000
+#: Most features of all those rows together: what the driver receives, 4 bytes each. A text has FEATURES at most.
+SAMPLE_FEATURES = 40_000_000
 #: Of the sample, every CALIBRATE-th row fits the logistic curve and not the descent.
 CALIBRATE = 4
 SMOOTHING = 1.0
 COST = 1.0
-EPOCHS = 8
+EPOCHS = 12
 THRESHOLD = 0.3
 
 
@@ -71,23 +73,25 @@ class Model:
         return 1 / (1 + np.exp(-np.clip(self.slope * margin + self.shift, -500, 500)))
 
 
-def descend(rows: list[np.ndarray], values: list[np.ndarray], sign: np.ndarray, seed: int = 1) -> tuple[np.ndarray, float]:
-    """Dual coordinate descent for squared hinge loss: weights and bias (a constant feature of 1). Classes weigh alike in sum."""
-    rng, n = np.random.default_rng(seed), len(rows)
-    share = np.array([max(1, (sign == s).sum()) for s in sign])
-    cost = COST * n / (2 * share)
+def costs(sign: np.ndarray) -> np.ndarray:
+    """Cost of each row's loss: classes weigh alike in sum."""
+    return COST * len(sign) / (2 * np.array([max(1, (sign == s).sum()) for s in sign]))
+
+
+def descend(rows: list[np.ndarray], values: list[np.ndarray], sign: np.ndarray, seed: int = 1, epochs: int = EPOCHS) -> tuple[np.ndarray, float, np.ndarray]:
+    """Dual coordinate descent for hinge loss: weights, bias (a constant feature of 1) and the dual variables, each from 0 to its row's cost."""
+    rng, n, cost = np.random.default_rng(seed), len(rows), costs(sign)
     w, bias, alpha = np.zeros(FEATURES), 0.0, np.zeros(n)
     norm = np.array([v @ v + 1 for v in values])
-    for _ in range(EPOCHS):
+    for _ in range(epochs):
         for i in rng.permutation(n):
-            slack = 1 / (2 * cost[i])
-            gradient = sign[i] * (w[rows[i]] @ values[i] + bias) - 1 + slack * alpha[i]
-            new = max(0.0, alpha[i] - gradient / (norm[i] + slack))
+            gradient = sign[i] * (w[rows[i]] @ values[i] + bias) - 1
+            new = min(max(alpha[i] - gradient / norm[i], 0.0), cost[i])
             if step := (new - alpha[i]) * sign[i]:
                 w[rows[i]] += step * values[i]
                 bias += step
                 alpha[i] = new
-    return w, bias
+    return w, bias, alpha
 
 
 def logistic(margin: np.ndarray, positive: np.ndarray) -> tuple[float, float]:
@@ -117,7 +121,12 @@ def fit(docs: DataFrame, labels: DataFrame, text_col: str = "text", label_col: s
     rows = texts_of.join(F.broadcast(known), "doc_id").select("doc_id", "label", "text")
     kind = rows.schema["doc_id"].dataType.simpleString()
     found = rows.mapInArrow(_feature_rows, f"doc_id {kind}, label int, features binary").groupBy("doc_id").agg(F.min(F.struct("label", "features")).alias("x"))
-    table = found.select(F.xxhash64("doc_id").alias("k"), "x.label", "x.features").toArrow().sort_by("k")  # at most SAMPLE_ROWS rows
+    found = written(found.select(F.xxhash64("doc_id").alias("k"), "x.label", "x.features"), "quality-sample")
+    sizes = found.select("k", (F.octet_length("features") / 4).cast("long").alias("n")).toArrow().sort_by("k")  # at most SAMPLE_ROWS rows
+    fits = np.cumsum(sizes.column("n").to_numpy()) <= SAMPLE_FEATURES
+    last = int(sizes.column("k")[int(fits.sum()) - 1].as_py()) if fits.any() else None
+    table = found.filter(F.lit(False) if last is None else F.col("k") <= last).toArrow().sort_by("k")
+    discard(found)
     label = table.column("label").to_numpy()
     grams = [np.frombuffer(x, np.int32) for x in table.column("features").to_pylist()]
     if not len(label) or label.min() == label.max():
@@ -133,7 +142,7 @@ def fit(docs: DataFrame, labels: DataFrame, text_col: str = "text", label_col: s
     values = [ratio[g] / max(1e-12, np.sqrt((ratio[g] ** 2).sum())) for g in grams]
     sign = np.where(label > 0, 1.0, -1.0)
     at = np.flatnonzero(train)
-    w, bias = descend([grams[i] for i in at], [values[i] for i in at], sign[at])
+    w, bias, _ = descend([grams[i] for i in at], [values[i] for i in at], sign[at])
     test = ~train if (~train).any() and len(set(label[~train])) == 2 else train
     margin = np.array([w[grams[i]] @ values[i] + bias for i in np.flatnonzero(test)])
     slope, shift = logistic(margin, label[test] > 0)

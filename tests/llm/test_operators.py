@@ -456,6 +456,28 @@ def test_components_of_long_chains(spark):
 # --- 8 -----------------------------------------------------------------------------------------------------------------
 
 
+def test_descent_reaches_the_optimum():
+    """The duality gap of the hinge loss closes, and the dual variables keep their bounds."""
+    rng = np.random.default_rng(2)
+    rows = [np.sort(rng.choice(40, 6, replace=False)).astype(np.int32) for _ in range(120)]
+    values = [rng.normal(size=6) for _ in rows]
+    sign = np.where([v.sum() + rng.normal() > 0.8 for v in values], 1.0, -1.0)
+    w, bias, alpha = quality.descend(rows, values, sign, epochs=400)
+    cost = quality.costs(sign)
+    assert (alpha >= 0).all() and (alpha <= cost).all() and 0.9 < (cost[sign > 0].sum() / cost[sign < 0].sum()) < 1.1
+    assert np.allclose(w, sum(np.bincount(r, a * s * v, len(w)) for r, a, s, v in zip(rows, alpha, sign, values))) and np.isclose(bias, (alpha * sign).sum())
+    half = 0.5 * (w @ w + bias**2)
+    primal = half + sum(c * max(0.0, 1 - s * (w[r] @ v + bias)) for c, s, r, v in zip(cost, sign, rows, values))
+    assert 0 <= primal - (alpha.sum() - half) < 1e-3 * primal
+
+
+def test_the_sample_is_bounded_in_features(spark, small, monkeypatch):
+    docs, labels = (spark.read.parquet(f"{small}/{t}.parquet") for t in ("documents", "labels"))
+    for most in (0, 5_000):
+        monkeypatch.setattr(quality, "SAMPLE_FEATURES", most)
+        assert quality.classify(docs, labels).filter("score BETWEEN 0 AND 1").count() == docs.count()
+
+
 def test_quality(spark, small, odd):
     d = small.replace("sf0.001", "sf0.01")
     docs, labels = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
