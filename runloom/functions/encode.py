@@ -29,9 +29,44 @@ def array_runs(values: Column, symbol: str = "string", on_null: str = "break") -
     return F.filter(runs, lambda r: r["sym"].isNotNull()) if on_null == "break" else runs
 
 
+#: Characters that the border kernel encodes at once.
+PIECE = 1 << 20
+
+
+def _text_borders(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """seq_id, runs, n, n_runs: characters are compared with their neighbours over many texts at once."""
+    import pyarrow.compute as pc
+
+    for batch in batches:
+        sizes = np.asarray(pc.utf8_length(batch.column(1)).fill_null(0), np.int64)
+        done = np.cumsum(sizes)
+        lo = 0
+        while lo < batch.num_rows:
+            hi = max(lo + 1, int(np.searchsorted(done, (done[lo - 1] if lo else 0) + PIECE, "right")))
+            column, n = batch.column(1).slice(lo, hi - lo), sizes[lo:hi]
+            points = np.frombuffer("".join(x or "" for x in column.to_pylist()).encode("utf-32-le", "surrogatepass"), "<u4")
+            edge = np.ones(len(points) + 1, bool)
+            edge[1:-1] = points[1:] != points[:-1]
+            ends = np.cumsum(n)
+            edge[ends] = True
+            first = np.flatnonzero(edge[:-1])
+            names, index = np.unique(points[first], return_inverse=True)
+            sym = pa.DictionaryArray.from_arrays(pa.array(index.reshape(-1).astype(np.int32)), pa.array([chr(c) for c in names], pa.string())).cast(pa.string())
+            runs = pa.StructArray.from_arrays([sym, pa.array(np.diff(np.append(first, len(points))))], ["sym", "len"])
+            border = np.concatenate([[0], np.searchsorted(first, ends)]).astype(np.int32)
+            none = column.is_null()
+            lists = pa.ListArray.from_arrays(pa.array(border), runs)
+            if column.null_count:
+                lists = pc.if_else(none, pa.nulls(len(lists), lists.type), lists)
+            counts = [pc.if_else(none, pa.scalar(None, pa.int64()), pa.array(x.astype(np.int64))) for x in (n, np.diff(border))]
+            yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), lists, *counts], ["seq_id", "runs", "n", "n_runs"])
+            lo = hi
+
+
 def rle_text(df: DataFrame, id_col: str, col: str) -> DataFrame:
-    """seq_id, runs, n, n_runs of a string column."""
-    return with_sizes(df.select(F.col(id_col).alias("seq_id"), text_runs(F.col(col)).alias("runs")))
+    """seq_id, runs, n, n_runs of a string column; a null text has null runs, an empty one none. text_runs() is the same as a column."""
+    rows = df.select(F.col(id_col).alias("seq_id"), F.col(col).cast("string").alias("text"))
+    return rows.mapInArrow(_text_borders, f"seq_id {rows.schema[0].dataType.simpleString()}, runs array<struct<sym:string,len:bigint>>, n long, n_runs long")
 
 
 def rle_array(df: DataFrame, id_col: str, col: str, on_null: str = "break") -> DataFrame:

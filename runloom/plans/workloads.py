@@ -408,15 +408,16 @@ def _k_sql() -> str:
 @query(_k_sql())
 def k_sweep(spark, d):
     """Dictionaries of benchmark substrings, growing in number: occurrences in all documents."""
-    out = None
-    for k, m in K_SWEEP.items():
+    sizes, patterns = [], []
+    for t, (k, m) in enumerate(K_SWEEP.items()):
         places = F.explode(F.sequence(F.lit(1), F.length("text") - m + 1, F.lit(m)))
         grams = read(spark, d, "benchmark").filter(F.length("text") >= m).select("text", places.alias("i")).select(F.expr(f"substr(text, i, {m})").alias("p")).distinct().orderBy("p").limit(k)
-        patterns = [(j + 1, r["p"]) for j, r in enumerate(grams.collect())]
-        found = match.full(texts(spark, d, "documents", "doc_id", "text"), patterns, emit="counts")
-        row = found.agg(F.coalesce(F.sum("occ"), F.lit(0)).cast("long").alias("occ")).select(F.lit(k).cast("long").alias("k_most"), F.lit(len(patterns)).cast("long").alias("k"), "occ")
-        out = row if out is None else out.unionByName(row)
-    return out
+        own = [r["p"] for r in grams.collect()]
+        sizes.append((t, k, len(own)))
+        patterns += [((t << 32) + j, p) for j, p in enumerate(own, 1)]
+    # one automaton and one scan for all of them: an id's high bits tell its dictionary
+    found = match.full(texts(spark, d, "documents", "doc_id", "text"), patterns, emit="counts").groupBy(F.shiftright("pattern_id", 32).alias("t")).agg(F.sum("occ").alias("occ"))
+    return spark.createDataFrame(sizes, "t long, k_most long, k long").join(found, "t", "left").select("k_most", "k", F.coalesce("occ", F.lit(0)).cast("long").alias("occ"))
 
 
 # --- baselines ---------------------------------------------------------------------------------------------------------
