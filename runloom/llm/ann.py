@@ -32,7 +32,7 @@ SAMPLE_QUERIES = 128
 #: Width of a cell; projections of scaled vectors have a standard deviation of about 1.
 WIDTH = 0.75
 SUCCESS = 0.55
-BLOCK = 8_192
+BLOCK = 32_768
 #: Queries that meet a block in one task: their vectors take 512 bytes each.
 QUERY_BLOCK = 32_768
 TOP = 20
@@ -89,26 +89,35 @@ class Index:
                 out[t] = out[t] * CELLS + np.searchsorted(self.cuts[t, j], p[t, :, j], "right")
         return out
 
-    def visits(self, x: np.ndarray, table: int) -> np.ndarray:
-        """(rows, buckets): True for the buckets that a query visits."""
+    def cells(self, x: np.ndarray, table: int) -> np.ndarray:
+        """(HASHES, rows, CELLS): the chance that a query's neighbour falls into each cell of each line."""
         p = self.project(x, lift=False)[table]
         # given its query's projection, a neighbour's is normal: the directions are Gaussian
         square = np.maximum((x**2).sum(1, keepdims=True) / self.norm**2, 1e-12)
         p = p * (self.near / square)
         spread = np.sqrt(np.maximum(1 - self.near**2 / square, 1e-3))
+        edge = (self.cuts[table][:, None] - p.T[:, :, None]) / spread[None]
+        below = np.concatenate([np.zeros((HASHES, len(x), 1)), _normal(edge), np.ones((HASHES, len(x), 1))], axis=2)
+        return np.diff(below, axis=2)
+
+    def visits(self, x: np.ndarray, table: int) -> tuple[np.ndarray, np.ndarray]:
+        """(rows, buckets): True for the buckets that a query visits; and the smallest chance among them."""
         chance = np.ones((len(x), 1))
-        for j in range(HASHES):
-            edge = (self.cuts[table, j][None] - p[:, j, None]) / spread
-            below = np.concatenate([np.zeros((len(x), 1)), _normal(edge), np.ones((len(x), 1))], axis=1)
-            chance = (chance[:, :, None] * np.diff(below, axis=1)[:, None]).reshape(len(x), -1)
-        order = np.argsort(-chance, axis=1, kind="stable")
-        sorted_chance = np.take_along_axis(chance, order, 1)
-        before = np.cumsum(sorted_chance, axis=1) - sorted_chance
+        for cell in self.cells(x, table):
+            chance = (chance[:, :, None] * cell[:, None]).reshape(len(x), -1)
         if self.everything:
-            return np.ones_like(chance, bool)
-        out = np.zeros_like(chance, bool)
-        np.put_along_axis(out, order, before < SUCCESS, 1)
-        return out
+            return np.ones_like(chance, bool), np.full(len(x), -1.0)
+        ordered = -np.sort(-chance, axis=1)
+        before = np.cumsum(ordered, axis=1) - ordered
+        least = np.take_along_axis(ordered, (before < SUCCESS).sum(1, keepdims=True) - 1, 1)
+        return chance >= least, least[:, 0]
+
+    def visited(self, x: np.ndarray, table: int, buckets: np.ndarray, least: np.ndarray) -> np.ndarray:
+        """(rows, buckets): visits() for some buckets, from the smallest chance; products are made in the same order."""
+        chance, cells = np.ones((len(x), len(buckets))), self.cells(x, table)
+        for j in range(HASHES):
+            chance = chance * cells[j][:, buckets // CELLS ** (HASHES - 1 - j) % CELLS]
+        return chance >= least[:, None]
 
 
 def _matrix(column: pa.Array, dim: int) -> np.ndarray:
@@ -129,12 +138,12 @@ def _visited_blocks(batches: Iterator[pa.RecordBatch], index, blocks) -> Iterato
         x = _matrix(batch.column(1), index.value.dim) if batch.num_rows else np.zeros((0, index.value.dim))
         for lo in range(0, len(x), 256):
             for t, owner in enumerate(blocks.value):
-                seen = index.value.visits(x[lo : lo + 256], t)
+                seen, least = index.value.visits(x[lo : lo + 256], t)
                 for block, members in owner.items():
-                    rows = pa.array(np.flatnonzero(seen[:, members].any(1)) + lo)
+                    rows = np.flatnonzero(seen[:, members].any(1))
                     if len(rows):
-                        part = batch.take(rows)
-                        yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array([t] * len(rows), pa.int32()), pa.array([block] * len(rows), pa.int32())], ["qid", "q", "tab", "block"])
+                        part = batch.take(pa.array(rows + lo))
+                        yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(least[rows]), pa.array([t] * len(rows), pa.int32()), pa.array([block] * len(rows), pa.int32())], ["qid", "q", "least", "tab", "block"])
 
 
 def best(q: np.ndarray, qid: np.ndarray, x: np.ndarray, xid: np.ndarray, mask: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -169,11 +178,12 @@ def _score(key: tuple, rows: pa.Table, asked: pa.Table, index) -> pa.Table:
     out: list[list] = [[np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0)]]
     seen: list[list] = [[np.zeros(0, np.int64)], [np.zeros(0, np.int64)]]
     if rows.num_rows and asked.num_rows:
-        x, xid, bucket = _matrix(rows.column("v").combine_chunks(), model.dim), rows.column("id").to_numpy(), rows.column("bucket").to_numpy()
+        x, xid = _matrix(rows.column("v").combine_chunks(), model.dim), rows.column("id").to_numpy()
+        buckets, bucket = np.unique(rows.column("bucket").to_numpy().astype(np.int64), return_inverse=True)
         for lo in range(0, asked.num_rows, 256):
             part = asked.slice(lo, 256)
             q, qid = _matrix(part.column("q").combine_chunks(), model.dim), part.column("qid").to_numpy()
-            visited = model.visits(q, t)[:, bucket]
+            visited = model.visited(q, t, buckets, part.column("least").to_numpy())[:, bucket]
             place, vec, score = best(q, qid, x, xid, visited)
             for c, v in zip(out, (qid[place.astype(np.int64)], vec.astype(np.int64), score)):
                 c.append(v)
@@ -238,8 +248,8 @@ def search(rows: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_c
     query_blocks = max(1, -(-asked.count() // QUERY_BLOCK))
     grid = blocks.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(query_blocks - 1)))).select("tab", "block", "part", "id", "v", "bucket")
     shared = spark.sparkContext.broadcast(members)
-    visiting = asked.mapInArrow(lambda b: _visited_blocks(b, index, shared), "qid long, q array<double>, tab int, block int")
-    visiting = visiting.withColumn("part", F.pmod(F.xxhash64("qid"), F.lit(query_blocks)).cast("int")).select("tab", "block", "part", "qid", "q")
+    visiting = asked.mapInArrow(lambda b: _visited_blocks(b, index, shared), "qid long, q array<double>, least double, tab int, block int")
+    visiting = visiting.withColumn("part", F.pmod(F.xxhash64("qid"), F.lit(query_blocks)).cast("int")).select("tab", "block", "part", "qid", "q", "least")
     by = ["tab", "block", "part"]
     found = grid.groupBy(*by).cogroup(visiting.groupBy(*by)).applyInArrow(lambda k, a, b: _score(k, a, b, index), "query_id long, vec_id long, score double, compared long")
     once = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"), F.sum("compared").alias("n"))
