@@ -12,7 +12,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from runloom.functions.encode import decode
@@ -241,6 +241,33 @@ def chunks(runs: DataFrame, halo: int, size: int = CHUNK) -> DataFrame:
     return rows.filter("own > 0").select("seq_id", F.transform("r", lambda x: F.struct(x["sym"].alias("sym"), x["len"].alias("len"))).alias("runs"), "base", "lead", "first_run")
 
 
+def search(text: DataFrame, patterns, overlaps: str = "all", limit_per_seq: int | None = None, fold: bool = False, labels: dict | None = None) -> DataFrame:
+    """full() with a user's options: seq_id, pattern_id, start, end, end_run (and label).
+
+    overlaps: "all" or "leftmost_longest". limit_per_seq: that many occurrences of each sequence, first by start, then by id.
+    fold: letters of texts and string patterns count as lower case. labels: a name for each id, null where there is none.
+    """
+    if fold:
+        if "text" not in text.columns:
+            raise ValueError("case is folded in texts, before they become runs")
+        text = text.withColumn("text", F.lower("text"))
+        patterns = [(name, p.lower()) for name, p in patterns]
+    found = full(text, patterns)
+    if overlaps != "all":
+        from runloom.operators.intervals import leftmost_longest
+
+        if overlaps != "leftmost_longest":
+            raise ValueError(f"overlaps: all or leftmost_longest, not {overlaps}")
+        found = leftmost_longest(found)
+    if limit_per_seq is not None:
+        number = F.row_number().over(Window.partitionBy("seq_id").orderBy("start", "pattern_id"))
+        found = found.withColumn("__number", number).filter(F.col("__number") <= limit_per_seq).drop("__number")
+    if labels is not None:
+        names = text.sparkSession.createDataFrame(list(labels.items()), "pattern_id long, label string")
+        found = found.join(F.broadcast(names), "pattern_id", "left")
+    return found
+
+
 # --- baselines ---------------------------------------------------------------------------------------------------------
 
 

@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from runloom.functions import encode, rle, symbol
-from runloom.operators import alphabet, automaton, catr, cost, intervals, match, predecessor, tries, truncated
+from runloom.operators import alphabet, automaton, catr, cost, intervals, links, match, predecessor, tries, truncated
 from runloom.plans import dictionaries as D
 from runloom.plans import oracles as O
 from runloom.plans import strategies
@@ -353,6 +353,19 @@ def counters_simple_vs_grouped(spark, d):
     return cost.adversary(spark, 30, 10)
 
 
+@query(ORACLE_SQL["automaton_links_six"])
+def automaton_links_by_joins(spark, d):
+    """The same links without a driver's automaton."""
+    return links.links(dictionary(spark, D.SIX))
+
+
+@query("SELECT * FROM (VALUES ('SIX', CAST(8 AS BIGINT), CAST(11 AS BIGINT), CAST(8 AS BIGINT))) AS t(dictionary, compact, run_trie, groups)")
+def trie_sizes_six(spark, d):
+    """Nodes of the compact trie and of the run trie, and groups, of the worked example."""
+    found = cost.trie_sizes(match.pattern_list(D.SIX))
+    return spark.createDataFrame([("SIX", found["compact"], found["run_trie"], found["groups"])], "dictionary string, compact long, run_trie long, groups long")
+
+
 @query()
 def counters_quantity(spark, d):
     """Operation counts of both variants on the quantity runs."""
@@ -1068,3 +1081,87 @@ def saved_automaton(spark, d):
     path = shared_dir(spark, "artefact")
     save(spark, D.EVENTS, path)
     return starts(match.full(events_by_user(spark, d), load(spark, path)))
+
+
+# --- options of the matcher, and further aggregations and joins ---------------------------------------------------------------
+
+
+@query(f"WITH {_EVT} SELECT seq_id, pattern_id, start FROM hits QUALIFY row_number() OVER (PARTITION BY seq_id ORDER BY start, pattern_id) <= 3")
+def option_limit_per_seq(spark, d):
+    return starts(match.search(events_by_user(spark, d), D.EVENTS, limit_per_seq=3))
+
+
+@query(f"SELECT seq_id, pattern_id, CAST(start AS BIGINT) AS start FROM (SELECT c_custkey AS seq_id, p.pattern_id, unnest(generate_series(0, length(c_name) - 3)) AS start, lower(c_name) AS s, p.p FROM customer, (VALUES (CAST(1 AS BIGINT), 'cus'), (2, 'er#')) AS p(pattern_id, p)) WHERE substr(s, CAST(start AS INT) + 1, 3) = p")
+def option_case_folding(spark, d):
+    return starts(match.search(texts(spark, d, "customer", "c_custkey", "c_name"), [(1, "CuS"), (2, "eR#")], fold=True))
+
+
+@query(f"WITH {_EVT}, labels_of(pattern_id, label) AS (VALUES (CAST(1 AS BIGINT), 'funnel'), (4, 'trouble')) SELECT seq_id, pattern_id, start, label FROM hits LEFT JOIN labels_of USING (pattern_id)")
+def option_labels(spark, d):
+    return match.search(events_by_user(spark, d), D.EVENTS, labels={1: "funnel", 4: "trouble"}).select("seq_id", "pattern_id", "start", "label")
+
+
+@query(ORACLE_SQL["non_overlapping"])
+def option_overlaps(spark, d):
+    return starts(match.search(events_by_user(spark, d), D.EVENTS, overlaps="leftmost_longest"))
+
+
+@query(f"WITH {_EVT}, n AS (SELECT seq_id, pattern_id, count(*) AS k FROM hits GROUP BY 1, 2), m AS (SELECT seq_id, max(k) AS k FROM n GROUP BY 1) SELECT seq_id, min(pattern_id) AS most_frequent, CAST(m.k AS BIGINT) AS times FROM n JOIN m USING (seq_id, k) GROUP BY 1, 3")
+def mode_of_patterns(spark, d):
+    counted = hits(spark, d, "events").groupBy("seq_id", "pattern_id").agg(F.count(F.lit(1)).alias("k"))
+    best = counted.groupBy("seq_id").agg(F.max(F.struct("k", -F.col("pattern_id"))).alias("b"))
+    return best.select("seq_id", (-F.col("b.col2")).alias("most_frequent"), F.col("b.k").alias("times"))
+
+
+@query(f"WITH r AS ({_EVENT_RUNS}), n AS (SELECT seq_id, sum(len) AS n, count(*) AS n_runs FROM r GROUP BY 1) SELECT round(corr(n, n_runs), 6) AS corr, round(covar_samp(n, n_runs), 4) AS covariance, round(regr_slope(n, n_runs), 6) AS slope FROM n")
+def corr_runs_length(spark, d):
+    rows = encode_events(spark, d).groupBy("seq_id").agg(F.sum("len").alias("n"), F.count(F.lit(1)).alias("n_runs"))
+    return rows.agg(F.round(F.corr("n", "n_runs"), 6).alias("corr"), F.round(F.covar_samp("n", "n_runs"), 4).alias("covariance"), F.round(F.regr_slope("n", "n_runs"), 6).alias("slope"))
+
+
+@query(f"SELECT seq_id, 'n' AS measure, CAST(sum(len) AS BIGINT) AS value FROM ({_EVENT_RUNS}) GROUP BY 1 UNION ALL SELECT seq_id, 'n_runs', CAST(count(*) AS BIGINT) FROM ({_EVENT_RUNS}) GROUP BY 1")
+def unpivot_measures(spark, d):
+    rows = encode_events(spark, d).groupBy("seq_id").agg(F.sum("len").cast("long").alias("n"), F.count(F.lit(1)).alias("n_runs"))
+    return rows.unpivot("seq_id", ["n", "n_runs"], "measure", "value")
+
+
+@query(f"SELECT CAST(len AS BIGINT) AS bin, CAST(count(*) AS BIGINT) AS n FROM ({_EVENT_RUNS}) GROUP BY 1")
+def histogram_of_runs(spark, d):
+    """Run lengths as a histogram of as many bins as there are lengths, where the numeric histogram is exact."""
+    lengths = encode_events(spark, d).select("len")
+    bins = lengths.agg(F.histogram_numeric("len", F.lit(1000)).alias("h")).select(F.explode("h").alias("b"))
+    return bins.select(F.col("b.x").cast("long").alias("bin"), F.col("b.y").cast("long").alias("n"))
+
+
+@query(f"WITH {_EVT}, h AS (SELECT * FROM hits) SELECT seq_id, pattern_id, start FROM (SELECT *, row_number() OVER (PARTITION BY seq_id ORDER BY start, pattern_id) AS k FROM h) WHERE k <= 2")
+def join_lateral_first_hits(spark, d):
+    """The first two hits of every sequence by a lateral join."""
+    found = hits(spark, d, "events")
+    found.createOrReplaceTempView("runloom_hits")
+    found.select("seq_id").distinct().createOrReplaceTempView("runloom_seqs")
+    return spark.sql("SELECT s.seq_id, h.pattern_id, h.start FROM runloom_seqs s, LATERAL (SELECT pattern_id, start FROM runloom_hits x WHERE x.seq_id = s.seq_id ORDER BY start, pattern_id LIMIT 2) h")
+
+
+@query(f"WITH {_HIT_TIMES}, a AS (SELECT * FROM timed WHERE pattern_id = 1), b AS (SELECT * FROM timed WHERE pattern_id = 2) SELECT a.seq_id, a.start AS start_a, b.start AS start_b FROM a JOIN b ON a.seq_id = b.seq_id AND b.ts BETWEEN a.ts AND a.ts + INTERVAL 2 DAY")
+def stream_stream_join(spark, d):
+    """Two streams of hits: those of pattern 2 up to two days after one of pattern 1 of the same sequence."""
+    hits_of, folder = _streamed_hits(spark, d)
+
+    def plan(h):
+        side = lambda k, p: h.filter(F.col("pattern_id") == p).select(F.col("seq_id").alias(f"seq_{k}"), F.col("start").alias(f"start_{k}"), F.col("ts").alias(f"ts_{k}")).withWatermark(f"ts_{k}", "3650 days")
+        within = (F.col("seq_a") == F.col("seq_b")) & (F.col("ts_b") >= F.col("ts_a")) & (F.col("ts_b") <= F.col("ts_a") + F.expr("INTERVAL 2 DAYS"))
+        return side("a", 1).join(side("b", 2), within)
+
+    found = match_stream.hits_available(folder, spark, hits_of.schema, shared_dir(spark, "stream-pairs"), shared_dir(spark, "stream-state"), plan)
+    return found.select(F.col("seq_a").alias("seq_id"), "start_a", "start_b")
+
+
+@query("SELECT (SELECT CAST(count(DISTINCT event_type) AS BIGINT) FROM events) AS text_symbols, CAST(4 AS BIGINT) AS pattern_symbols, CAST(4 AS BIGINT) AS shared, (SELECT CAST(count(DISTINCT CASE WHEN event_type IN ('view', 'click', 'error', 'purchase') THEN event_type ELSE 'other' END) AS BIGINT) FROM events) AS reduced")
+def alphabet_sizes(spark, d):
+    """Symbols of the texts, of some patterns and of both, and what is left of the texts' symbols after the reduction."""
+    text, patterns = events_by_user(spark, d), dictionary(spark, [p for p in D.EVENTS if all(r.sym != "signup" for r in p[1])])
+    table = alphabet.mapping(patterns, text)
+    reduced, _ = alphabet.reduce(patterns, text)
+    count = lambda c: F.count_if(c)
+    sizes = table.agg(count("in_text").alias("text_symbols"), count("in_patterns").alias("pattern_symbols"), count(F.col("in_text") & F.col("in_patterns")).alias("shared"))
+    return sizes.crossJoin(reduced.select(F.explode("runs.sym").alias("s")).agg(F.count_distinct("s").alias("reduced")))

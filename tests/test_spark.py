@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from runloom.functions import encode, rle
-from runloom.operators import alphabet, intervals, match
+from runloom.operators import alphabet, cost, intervals, links, match
 from runloom.plans import dictionaries as D
 from runloom.plans import artefact, strategies, workloads
 from runloom.sources import readers, rle_source
@@ -190,6 +190,18 @@ def test_hot_keys_are_encoded_over_many_tasks(spark):
         spark.conf.set("spark.sql.shuffle.partitions", "4")
 
 
+def test_links_by_joins_equal_the_automaton_s(spark):
+    import random
+
+    draw = random.Random(11)
+    patterns = [(k, "".join(draw.choice("ab") * draw.randrange(1, 4) for _ in range(draw.randrange(1, 6)))) for k in range(60)]
+    shown = lambda df: {(r["node"], r["simple_link"], r["group_link"]) for r in df.collect()}
+    found, want = links.links(dictionary(spark, patterns)), cost.links(spark, [(k, tuple(runs_of(p))) for k, p in patterns])
+    assert shown(found) == shown(want) and found.count() == want.count() > 40
+    # equal truncated strings: the smallest id; an index that is inherited is the one of the longest suffix
+    assert {(r["node"], r["report_ix"]) for r in found.collect()} == {(r["node"], r["report_ix"]) for r in want.collect()}
+
+
 def test_leftmost_longest(spark, small):
     found = workloads.hits(spark, small, "events")
     want = []
