@@ -57,7 +57,8 @@ def source_targets(sizes: DataFrame) -> DataFrame:
 
 def _drawn(docs: DataFrame, seed: int, id_col: str, source_col: str, text_col: str) -> DataFrame:
     """docs with __mix_source, __mix_size and a hash-random key of 63 bits, made from id and text."""
-    draw = F.xxhash64(F.col(id_col), F.col(text_col), F.lit(seed)).bitwiseAND(F.lit((1 << 63) - 1))
+    spelled = F.concat_ws("|", F.lit(str(seed)), F.coalesce(F.col(id_col).cast("string"), F.lit("")), F.coalesce(F.col(text_col).cast("string"), F.lit("")))
+    draw = F.shiftleft(F.conv(F.substring(F.md5(spelled), 1, 15), 16, 10).cast("long"), 3)  # 60 random bits of 63
     return docs.withColumns({"__mix_source": F.col(source_col).cast("string"), "__mix_size": n_words(F.col(text_col)), "__mix_draw": draw})
 
 

@@ -76,6 +76,22 @@ words AS (SELECT r, count(*) AS n_hit FROM (SELECT DISTINCT r, unnest(generate_s
 found AS (SELECT r, list_sort(list(DISTINCT item)) AS ids FROM hits GROUP BY r)
 SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(coalesce(n_hit, 0) AS BIGINT) AS n_hit, CAST(coalesce(len(ids), 0) AS BIGINT) AS n_items, sha256(coalesce(array_to_string(ids, ','), '')) AS items_sha256,
   coalesce(n_hit, 0) > 0 AS contaminated FROM docs LEFT JOIN words USING (r) LEFT JOIN found USING (r)""",
+    "op6_source_mixing": r"""WITH docs AS (SELECT doc_id, source, CAST(coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0) AS BIGINT) AS size,
+  CAST('0x' || substr(md5(concat_ws('|', '17', coalesce(CAST(doc_id AS VARCHAR), ''), coalesce(text, ''))), 1, 15) AS BIGINT) AS draw FROM documents),
+sources AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size FROM docs GROUP BY 1),
+ranked AS (SELECT *, (row_number() OVER (ORDER BY source IS NULL, source) - 1) % 3 + 1 AS weight, 3 * source_size AS cap FROM sources),
+needs AS (SELECT *, sum(source_size) OVER () - coalesce(sum(cap) OVER (ORDER BY cap / weight, source IS NULL, source ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS rest,
+  sum(weight) OVER (ORDER BY cap / weight, source IS NULL, source ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS weights, row_number() OVER (ORDER BY cap / weight, source IS NULL, source) AS place FROM ranked),
+ends AS (SELECT place AS last, rest AS unit_rest, weights AS unit_weights FROM needs WHERE rest * weight <= cap * weights ORDER BY place LIMIT 1),
+targets AS (SELECT source, source_size, CASE WHEN last IS NULL OR place < last THEN CAST(cap AS DOUBLE) ELSE CAST(unit_rest * weight AS DOUBLE) / CAST(unit_weights AS DOUBLE) END AS target,
+  CAST(CASE WHEN last IS NULL OR place < last THEN cap ELSE (unit_rest * weight) // unit_weights END AS BIGINT) AS budget FROM needs LEFT JOIN ends ON true),
+plan AS (SELECT *, CASE WHEN source_size > 0 THEN budget // source_size ELSE 0 END AS epochs FROM targets),
+ties AS (SELECT source, draw, sum(size) AS words FROM docs GROUP BY 1, 2),
+places AS (SELECT t.source, draw, words, budget - epochs * source_size - coalesce(sum(words) OVER (PARTITION BY t.source ORDER BY draw ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS rest
+  FROM ties t JOIN plan p ON t.source IS NOT DISTINCT FROM p.source),
+cuts AS (SELECT source, draw AS cut_draw, rest AS cut_words, words AS cut_total FROM places WHERE rest >= 0 AND rest < words)
+SELECT d.doc_id, size, source_size, target, CAST(epochs * size + CASE WHEN cut_draw IS NULL THEN 0 WHEN draw < cut_draw THEN size WHEN draw = cut_draw THEN (cut_words * size) // cut_total ELSE 0 END AS BIGINT) AS taken
+FROM docs d JOIN plan p ON d.source IS NOT DISTINCT FROM p.source LEFT JOIN cuts c ON d.source IS NOT DISTINCT FROM c.source""",
     "op7_ngram_join": f"""WITH RECURSIVE docs AS MATERIALIZED (SELECT row_number() OVER () AS r, doc_id, {_SPACED} AS w FROM documents),
 shingles AS MATERIALIZED (SELECT DISTINCT r, array_to_string(w[k : k + 4], ' ') AS g FROM (SELECT r, w, unnest(generate_series(1, greatest(len(w) - 4, least(len(w), 1)))) AS k FROM docs)),
 sizes AS MATERIALIZED (SELECT r, count(*) AS n FROM shingles GROUP BY r),
