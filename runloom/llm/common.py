@@ -27,6 +27,8 @@ def work_dir(spark: SparkSession, name: str) -> str:
         context = spark.sparkContext._jsc.sc().getCheckpointDir()
         base = context.get() if context.isDefined() else None
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir is not set: executors need a folder that all of them reach")
         base = tempfile.mkdtemp(prefix="runloom-")
         spark.sparkContext.setCheckpointDir(base)
     return f"{base.rstrip('/')}/runloom-{name}-{uuid.uuid4().hex[:12]}"
