@@ -139,13 +139,25 @@ def shards(text: DataFrame, patterns: DataFrame, parts: int = 4) -> DataFrame:
     total = patterns.agg(F.sum(F.size("runs"))).first()[0] or 0
     parts, out = max(parts, -(-2 * total // MAX_PATTERN_RUNS)), None
     for k in range(parts):
-        part = full(text, patterns.filter(F.pmod(F.xxhash64("pattern_id"), F.lit(parts)) == k))
+        part = full(text, patterns) if parts == 1 else full(text, patterns.filter(F.pmod(F.xxhash64("pattern_id"), F.lit(parts)) == k))
         out = part if out is None else out.unionByName(part)
     return out
 
 
 def closure(text: DataFrame, patterns: DataFrame) -> DataFrame:
-    """Kernel rows (state's report index, run) without expansion, joined with the closure of every index: what it reports by symbol and last length."""
+    """Kernel rows (state's report index, run) without expansion, joined with the closure of every index: what it reports by symbol and last length.
+
+    A dictionary too large to broadcast is taken in parts.
+    """
+    total = patterns.agg(F.sum(F.size("runs"))).first()[0] or 0
+    parts, out = max(1, -(-2 * total // MAX_PATTERN_RUNS)), None
+    for k in range(parts):
+        part = _closure(text, patterns if parts == 1 else patterns.filter(F.pmod(F.xxhash64("pattern_id"), F.lit(parts)) == k))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+def _closure(text: DataFrame, patterns: DataFrame) -> DataFrame:
     spark = text.sparkSession
     frozen = Frozen(GroupedAutomaton(Dictionary(pattern_list(patterns))))
     rows = [
@@ -162,15 +174,10 @@ def closure(text: DataFrame, patterns: DataFrame) -> DataFrame:
         f = shared.value
         for batch in batches:
             sym, n, start, border = _coded_runs(batch.column(1), f.symbols)
-            label, out = f.labels(sym, n), []
-            for s in range(batch.num_rows):
-                v = np.zeros(1, np.int64)
-                for r in range(border[s], border[s + 1]):
-                    if f.report[v[0]] >= 0 and sym[r] >= 0:
-                        out.append((s, f.report[v[0]], sym[r], n[r], start[r], r - border[s] + 1))
-                    v = f.step(v, label[r : r + 1], sym[r : r + 1], n[r : r + 1])
-            cols = np.array(out, np.int64).reshape(-1, 6).T
-            yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(cols[0])), *[pa.array(c) for c in cols[1:]]], ["seq_id", "ix", "sym", "y", "at", "end_run"])
+            run, ix = f.reports(sym, n, border)
+            owner = np.searchsorted(border, run, "right") - 1
+            cols = (ix, sym[run], n[run], start[run], run - border[owner] + 1)
+            yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(owner)), *[pa.array(c.astype(np.int64)) for c in cols]], ["seq_id", "ix", "sym", "y", "at", "end_run"])
 
     asked = text.select("seq_id", "runs").mapInArrow(kernel, f"seq_id {kind}, ix long, sym long, y long, at long, end_run long")
     hit = asked.join(table, ["ix", "sym"]).filter("x <= y")
@@ -189,4 +196,4 @@ def prefilter(text: DataFrame, patterns: DataFrame) -> DataFrame:
     own = patterns.select("pattern_id", F.explode(F.when(F.size("runs") > 1, pairs_of).otherwise(F.array(F.get("runs", F.lit(0))["sym"].cast("string")))).alias("key"))
     rarest = own.join(counts, "key", "left").groupBy("pattern_id").agg(F.min_by("key", F.struct(F.coalesce("n", F.lit(0)), "key")).alias("key")).select("key").distinct()
     kept = seen.join(rarest, "key", "left_semi").select("seq_id").distinct()
-    return full(text.join(kept, "seq_id", "left_semi"), patterns)
+    return shards(text.join(kept, "seq_id", "left_semi"), patterns, 1)
