@@ -28,7 +28,7 @@ from runloom.llm.textnum import SPACED, mix, ngrams, same_text, words
 
 SHINGLE = 5
 #: Of n shingles, n // MEET more than needed are sent out: linked sets meet in that many tiles besides one.
-MEET = 32
+MEET = 8
 #: Bits of a set's bitmap.
 BITMAP = 1024
 #: Hashed counts that order the shingles: 4 MB a task, whatever the corpus.
