@@ -65,7 +65,7 @@ def _drawn(docs: DataFrame, seed: int, id_col: str, source_col: str, text_col: s
 def source_cuts(rows: DataFrame) -> DataFrame:
     """Rows of __mix_source, __mix_size, __mix_draw -> one row per source: its size, target, whole epochs, and the key at which the last epoch is cut.
 
-    Keys below cut_draw are in the last epoch; those equal to it share the cut_words left by their sizes (cut_total together).
+    Keys below cut_draw are in the last epoch; the cut_rows equal to it, alike in id and text, take the cut_words left one after the other.
     """
     source = rows.groupBy(F.col("__mix_source").alias("source")).agg(F.sum("__mix_size").alias("source_size"), F.count(F.lit(1)).alias("n"))
     source = written(source.coalesce(1), "mix-sources")
@@ -88,31 +88,49 @@ def source_cuts(rows: DataFrame) -> DataFrame:
     cut_part = sums.filter((F.col("base") <= F.col("rest")) & (F.col("rest") < F.col("base") + F.col("words"))).select(F.col("source").alias("name"), F.col("part").alias("cut_part"), "base")
     # only the range in which the cut falls is ordered
     near = placed.join(cut_part, F.col("source").eqNullSafe(F.col("name")) & (F.col("part") == F.col("cut_part")))
-    near = near.groupBy("source", "__mix_draw").agg(F.sum("__mix_size").alias("words"), F.max("rest").alias("rest"), F.max("base").alias("base"))
+    near = near.groupBy("source", "__mix_draw").agg(F.sum("__mix_size").alias("words"), F.count(F.lit(1)).alias("rows"), F.max("rest").alias("rest"), F.max("base").alias("base"))
     ordered = Window.partitionBy("source").orderBy("__mix_draw").rowsBetween(Window.unboundedPreceding, -1)
     near = near.withColumn("left", F.col("rest") - F.col("base") - F.coalesce(F.sum("words").over(ordered), F.lit(0)))
     near = near.filter((F.col("left") >= 0) & (F.col("left") < F.col("words")))
-    cut = near.select(F.col("source").alias("name"), F.col("__mix_draw").alias("cut_draw"), F.col("left").alias("cut_words"), F.col("words").alias("cut_total"))
+    cut = near.select(F.col("source").alias("name"), F.col("__mix_draw").alias("cut_draw"), F.col("left").alias("cut_words"), F.col("rows").alias("cut_rows"))
     return written(plan.join(cut, F.col("source").eqNullSafe(F.col("name")), "left").drop("name", "rest", "ranges", "budget").coalesce(1), "mix-cuts")
 
 
-#: Words that a row takes of its source's last epoch. No cut: the epochs end with a whole one.
+#: Words that a row takes of its source's last epoch. No cut: the epochs end with a whole one. __mix_before: rows before it at the cut.
 _LAST = """CASE WHEN cut_draw IS NULL THEN 0 WHEN __mix_draw < cut_draw THEN __mix_size
-           WHEN __mix_draw = cut_draw THEN (cut_words * __mix_size) div cut_total ELSE 0 END"""
+           WHEN __mix_draw = cut_draw THEN least(greatest(cut_words - __mix_before * __mix_size, 0), __mix_size) ELSE 0 END"""
+#: Parts into which rows at a cut are dealt while they are numbered.
+SALTS = 64
+
+
+def _numbered(rows: DataFrame, cuts: DataFrame, prefix: str = "") -> DataFrame:
+    """rows, which cuts are joined to, with __mix_before. Rows alike at a cut are numbered in parts, and the parts' counts are summed: no task holds all."""
+    if cuts.filter("cut_rows > 1").isEmpty():
+        return rows.withColumn("__mix_before", F.lit(0).cast("long"))
+    at_cut = F.coalesce(F.col("__mix_draw") == F.col(f"{prefix}cut_draw"), F.lit(False))
+    ties = written(rows.filter(at_cut).withColumn("__mix_salt", F.pmod(F.monotonically_increasing_id(), F.lit(SALTS))), "mix-ties")
+    counts = ties.groupBy(F.col("__mix_source").alias("__mix_of"), F.col("__mix_salt").alias("__mix_part")).agg(F.count(F.lit(1)).alias("n"))
+    running = Window.partitionBy("__mix_of").orderBy("__mix_part").rowsBetween(Window.unboundedPreceding, -1)  # SALTS rows a source
+    counts = counts.select("__mix_of", "__mix_part", F.coalesce(F.sum("n").over(running), F.lit(0)).alias("__mix_first"))
+    number = F.row_number().over(Window.partitionBy("__mix_source", "__mix_salt").orderBy(F.lit(0))) - 1
+    ties = ties.withColumn("__mix_number", number).join(F.broadcast(counts), F.col("__mix_source").eqNullSafe(F.col("__mix_of")) & (F.col("__mix_salt") == F.col("__mix_part")))
+    ties = ties.withColumn("__mix_before", F.col("__mix_first") + F.col("__mix_number")).drop("__mix_salt", "__mix_of", "__mix_part", "__mix_first", "__mix_number")
+    return rows.filter(~at_cut).withColumn("__mix_before", F.lit(0).cast("long")).unionByName(ties)
 
 
 def mix(docs: DataFrame, seed: int = 17, id_col: str = "doc_id", source_col: str = "source", text_col: str = "text") -> DataFrame:
     """doc_id, size, source_size, target, taken of every document.
 
     taken counts repeats: whole epochs of the source, then documents in key order up to the budget, the last one in part.
-    Null text: size 0, taken 0. A null source is a source of its own. Rows alike in id and text share one key, and the cut
-    by size if it falls on them, so reruns agree. An empty table gives no rows. Other columns are not read.
+    Null text: size 0, taken 0. A null source is a source of its own. Rows alike in id and text share one key; if the cut
+    falls on them, some are taken whole, one in part and the others not, so reruns agree. An empty table gives no rows. Other
+    columns are not read.
     """
     rows = _drawn(docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), F.col(text_col).alias("text")), seed, "doc_id", "source", "text")
     rows = written(rows.select("doc_id", "__mix_source", "__mix_size", "__mix_draw"), "mix")  # a few bytes a document: texts are read once
     cuts = source_cuts(rows)
     taken = F.col("epochs") * F.col("__mix_size") + F.expr(_LAST)
-    return rows.join(cuts, F.col("__mix_source").eqNullSafe(F.col("source"))).select(
+    return _numbered(rows.join(cuts, F.col("__mix_source").eqNullSafe(F.col("source"))), cuts).select(
         "doc_id", F.col("__mix_size").alias("size"), "source_size", "target", taken.cast("long").alias("taken")
     )
 
@@ -126,10 +144,10 @@ def apply_mix(docs: DataFrame, seed: int = 17) -> DataFrame:
     drawn = _drawn(docs, seed, "doc_id", "source", "text")
     rows = written(drawn.select("__mix_source", "__mix_size", "__mix_draw"), "mix")
     cuts = source_cuts(rows)
-    cuts = cuts.select(F.col("source").alias("__mix_name"), *[F.col(c) for c in ("epochs", "cut_draw", "cut_words", "cut_total")])
-    cuts = cuts.withColumnsRenamed({c: f"__mix_{c}" for c in ("epochs", "cut_draw", "cut_words", "cut_total")})
-    last = _LAST.replace("cut_", "__mix_cut_")
-    both = drawn.join(cuts, F.col("__mix_source").eqNullSafe(F.col("__mix_name"))).withColumn("__mix_last", F.expr(last).cast("int"))
+    names = ("epochs", "cut_draw", "cut_words", "cut_rows")
+    own = cuts.select(F.col("source").alias("__mix_name"), *[F.col(c).alias(f"__mix_{c}") for c in names])
+    joined = drawn.join(own, F.col("__mix_source").eqNullSafe(F.col("__mix_name")))
+    both = _numbered(joined, cuts, "__mix_").withColumn("__mix_last", F.expr(_LAST.replace("cut_", "__mix_cut_")).cast("int"))
     whole = F.col("__mix_epochs").cast("int") + F.when(F.col("__mix_last") == F.col("__mix_size"), 1).otherwise(0)
     part = F.when((F.col("__mix_last") > 0) & (F.col("__mix_last") < F.col("__mix_size")), F.array("__mix_last")).otherwise(F.expr("cast(array() as array<int>)"))
     copies = F.when(F.col("__mix_size") == 0, F.array(F.lit(-1))).otherwise(F.concat(F.array_repeat(F.lit(-1), whole), part))

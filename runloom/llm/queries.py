@@ -89,8 +89,8 @@ plan AS (SELECT *, CASE WHEN source_size > 0 THEN budget // source_size ELSE 0 E
 ties AS (SELECT source, draw, sum(size) AS words FROM docs GROUP BY 1, 2),
 places AS (SELECT t.source, draw, words, budget - epochs * source_size - coalesce(sum(words) OVER (PARTITION BY t.source ORDER BY draw ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS rest
   FROM ties t JOIN plan p ON t.source IS NOT DISTINCT FROM p.source),
-cuts AS (SELECT source, draw AS cut_draw, rest AS cut_words, words AS cut_total FROM places WHERE rest >= 0 AND rest < words)
-SELECT d.doc_id, size, source_size, target, CAST(epochs * size + CASE WHEN cut_draw IS NULL THEN 0 WHEN draw < cut_draw THEN size WHEN draw = cut_draw THEN (cut_words * size) // cut_total ELSE 0 END AS BIGINT) AS taken
+cuts AS (SELECT source, draw AS cut_draw, rest AS cut_words FROM places WHERE rest >= 0 AND rest < words)
+SELECT d.doc_id, size, source_size, target, CAST(epochs * size + CASE WHEN cut_draw IS NULL THEN 0 WHEN draw < cut_draw THEN size WHEN draw = cut_draw THEN least(greatest(cut_words - (row_number() OVER (PARTITION BY d.source, draw) - 1) * size, 0), size) ELSE 0 END AS BIGINT) AS taken
 FROM docs d JOIN plan p ON d.source IS NOT DISTINCT FROM p.source LEFT JOIN cuts c ON d.source IS NOT DISTINCT FROM c.source""",
     "op7_ngram_join": f"""WITH RECURSIVE docs AS MATERIALIZED (SELECT row_number() OVER () AS r, doc_id, {_SPACED} AS w FROM documents),
 shingles AS MATERIALIZED (SELECT DISTINCT r, array_to_string(w[k : k + 4], ' ') AS g FROM (SELECT r, w, unnest(generate_series(1, greatest(len(w) - 4, least(len(w), 1)))) AS k FROM docs)),

@@ -350,6 +350,16 @@ def test_mixing(spark, small, odd):
     assert mixing.mix(odd.limit(0)).count() == 0
 
 
+def test_mixing_of_many_equal_rows(spark):
+    """Rows alike in id and text at the cut: none of what is left there is lost."""
+    rows = [(7, "one", "a")] * 500 + [(8, "two words", "b")] * 400 + [(k, f"text number {k}", "c") for k in range(20)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string").withColumn("lang", F.lit("x")).repartition(5)
+    out = mixing.mix(df).groupBy("target").agg(F.sum("taken").alias("t"), F.count(F.lit(1)).alias("n"), F.max(F.col("taken") / F.col("size")).alias("m")).collect()
+    assert sum(r["n"] for r in out) == len(rows) and all(abs(r["t"] - r["target"]) <= 2 and r["m"] <= 3 for r in out)
+    words = mixing.apply_mix(df).groupBy("source").agg(F.sum(F.regexp_count("text", F.lit(r"\S+"))).alias("w")).collect()
+    assert sorted(r["w"] for r in words) == sorted(r["t"] for r in out)
+
+
 # --- 7 -----------------------------------------------------------------------------------------------------------------
 
 
