@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -53,6 +54,13 @@ def tidy() -> None:
         _trim(0)
 
 
+def settle(spark: SparkSession) -> None:
+    """After a phase of many jobs: the driver gives freed memory back, and Spark's cleaner sees what nothing refers to any more."""
+    gc.collect()
+    tidy()
+    spark._jvm.System.gc()
+
+
 def _trimmer():
     import ctypes
 

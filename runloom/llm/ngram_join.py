@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from runloom.llm.common import bit_filter, buffers, discard, passes, pieces, texts, tidy, written
+from runloom.llm.common import bit_filter, buffers, discard, passes, pieces, settle, texts, tidy, written
 from runloom.llm.textnum import SPACED, mix, ngrams, same_text, words
 
 SHINGLE = 5
@@ -350,17 +350,15 @@ def components(links: DataFrame) -> DataFrame:
     Each round takes the neighbours' smallest label and then the label of that label, so long chains take few rounds.
     """
     edges = written(links.select(F.col("a").alias("node"), F.col("b").alias("other")).union(links.select("b", "a")).distinct(), "cc-edges")
-    labels = written(edges.groupBy("node").agg(F.least(F.first("node"), F.min("other")).alias("label")), "cc")
+    rows = written(edges.groupBy("node").agg(F.least(F.first("node"), F.min("other")).alias("label")), "cc")
     while True:
+        labels = rows.select("node", "label")
         around = edges.join(labels.withColumnRenamed("node", "other"), "other").groupBy("node").agg(F.min("label").alias("near"))
         step = labels.join(around, "node").select("node", "label", F.least("label", "near").alias("next"))
         far = labels.select(F.col("node").alias("next"), F.col("label").alias("far"))
-        after = written(step.join(far, "next", "left").select("node", F.least("next", "far").alias("label"), F.col("label").alias("old")), "cc")
-        discard(labels)
-        if after.filter(F.col("label") != F.col("old")).isEmpty():
-            discard(edges)
-            return written(after.select("node", "label"), "cc-labels", after)
-        labels = written(after.select("node", "label"), "cc", after)
+        rows = written(step.join(far, "next", "left").select("node", F.least("next", "far").alias("label"), F.col("label").alias("old")), "cc", rows)
+        if rows.filter(F.col("label") != F.col("old")).isEmpty():
+            return written(rows.select("node", "label"), "cc-labels", rows, edges)
 
 
 def _trees(nodes: DataFrame) -> DataFrame:
@@ -435,6 +433,7 @@ def _labelled(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     arrays = written(arrays.dropDuplicates(["sid"]), "join-arrays")
     wanted.destroy()
     labels = components(_block_links_of(arrays))
+    settle(spark)
     slim = tiles.join(homes.select("sid", "home"), "sid").select("token", "sid", "place", "number", "home")
     mixed = written(_mixed(slim, labels).select("token", "sid", "place", "number", "home"), "join-mixed")
     # the tiles that two linked sets of different components and homes share are all among these
@@ -450,6 +449,7 @@ def _labelled(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
         links, pairs = _open_links(mixed, labels, arrays, None)
         labels = _joined(labels, links)
     discard(links, pairs, mixed, arrays)
+    settle(spark)
     documents = sets.filter("chunk is null").select("doc_id", "text_hash", "n", "sid")
     return documents.join(labels.withColumnRenamed("node", "sid"), "sid", "left").withColumn("label", F.coalesce("label", "sid"))
 

@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from runloom.llm.common import buffers, discard, pieces, texts, tidy, written
+from runloom.llm.common import buffers, discard, pieces, settle, texts, tidy, written
 from runloom.llm.textnum import SPACED, ngrams, same_text, words
 
 #: Hashed n-gram features.
@@ -153,6 +153,7 @@ def _scored(docs: DataFrame, model: Model, text_col: str) -> DataFrame:
     """docs and __score, in one pass over whole rows."""
     from pyspark.sql.types import DoubleType, StructField, StructType
 
+    settle(docs.sparkSession)  # the sample is gone
     shared, at = docs.sparkSession.sparkContext.broadcast(model), docs.columns.index(text_col)
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
