@@ -9,6 +9,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from runloom.functions.bind import bound
+
 
 def text_runs(text: Column) -> Column:
     """Maximal runs of the characters of a string, as array<struct<sym,len>>; null stays null, empty gives none."""
@@ -23,9 +25,13 @@ def array_runs(values: Column, symbol: str = "string", on_null: str = "break") -
     """
     if on_null == "drop":
         values = F.filter(values, lambda x: x.isNotNull())
-    n = F.size(values)
-    ends = F.filter(F.sequence(F.lit(1), F.greatest(n, F.lit(1))), lambda i: (i <= n) & ((i == n) | ~F.get(values, i - 1).eqNullSafe(F.get(values, i))))
-    runs = F.transform(ends, lambda e, k: F.struct(F.get(values, e - 1).cast(symbol).alias("sym"), (e - F.when(k == 0, 0).otherwise(F.get(ends, k - 1))).cast("long").alias("len")))
+
+    def coded(v: Column) -> Column:
+        n = F.size(v)
+        ends = F.filter(F.sequence(F.lit(1), F.greatest(n, F.lit(1))), lambda i: (i <= n) & ((i == n) | ~F.get(v, i - 1).eqNullSafe(F.get(v, i))))
+        return bound(ends, lambda border: F.transform(border, lambda e, k: F.struct(F.get(v, e - 1).cast(symbol).alias("sym"), (e - F.when(k == 0, 0).otherwise(F.get(border, k - 1))).cast("long").alias("len"))))
+
+    runs = bound(values, coded)
     return F.filter(runs, lambda r: r["sym"].isNotNull()) if on_null == "break" else runs
 
 

@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from runloom.functions.bind import bound
+
 #: Ranks of symbols that only the text or only the patterns hold; shared symbols count from 1.
 TEXT_ONLY, PATTERN_ONLY = 0, -1
 #: Most shared symbols whose ranks travel with a closure.
@@ -53,9 +55,14 @@ def joined(rows: DataFrame, ranks: DataFrame, other: int) -> DataFrame:
     return back.select("seq_id", merged(F.transform("x", lambda r: F.struct(r["sym"].alias("sym"), r["len"].alias("len")))).alias("runs"))
 
 
-def merged(runs):
-    """Runs with equal neighbours joined, by the places where the symbol changes."""
-    n = F.size(runs)
-    ends = F.filter(F.sequence(F.lit(1), F.greatest(n, F.lit(1))), lambda i: (i <= n) & ((i == n) | (F.get(runs, i - 1)["sym"] != F.get(runs, i)["sym"])))
-    total = lambda a, b: F.aggregate(F.slice(runs, a, b), F.lit(0).cast("long"), lambda s, r: s + r["len"])
-    return F.transform(ends, lambda e, k: F.struct(F.get(runs, e - 1)["sym"].alias("sym"), total(F.when(k == 0, 0).otherwise(F.get(ends, k - 1)) + 1, e - F.when(k == 0, 0).otherwise(F.get(ends, k - 1))).alias("len")))
+def merged(runs: Column) -> Column:
+    """Runs with equal neighbours joined: between two places where the symbol changes the lengths are summed."""
+
+    def joined(v: Column) -> Column:
+        n = F.size(v)
+        ends = F.filter(F.sequence(F.lit(1), F.greatest(n, F.lit(1))), lambda i: (i <= n) & ((i == n) | (F.get(v, i - 1)["sym"] != F.get(v, i)["sym"])))
+        total = lambda a, b: F.aggregate(F.slice(v, a, b), F.lit(0).cast("long"), lambda s, r: s + r["len"])
+        before = lambda border, k: F.when(k == 0, 0).otherwise(F.get(border, k - 1))
+        return bound(ends, lambda border: F.transform(border, lambda e, k: F.struct(F.get(v, e - 1)["sym"].alias("sym"), total(before(border, k) + 1, e - before(border, k)).alias("len"))))
+
+    return bound(runs, joined)
