@@ -1,4 +1,4 @@
-"""A dictionary as a versioned Parquet artefact: patterns, and the run trie's nodes for inspection."""
+"""A dictionary as a versioned Parquet artefact: patterns, and the run trie's nodes with their links and report indexes."""
 
 from __future__ import annotations
 
@@ -7,6 +7,7 @@ import hashlib
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from runloom.operators import links
 from runloom.operators.match import pattern_list
 from runloom.operators.tries import run_trie_nodes
 from runloom.sources.readers import dictionary
@@ -17,19 +18,24 @@ def version_of(patterns) -> str:
 
 
 def save(spark: SparkSession, patterns, path: str) -> str:
-    """Writes path/patterns and path/nodes; the version is a column of both."""
+    """Writes path/patterns, path/nodes and path/links; the version is a column of all."""
     version = version_of(patterns)
     rows = patterns if isinstance(patterns, DataFrame) else dictionary(spark, patterns)
     rows.withColumn("version", F.lit(version)).write.parquet(f"{path}/patterns")
     run_trie_nodes(rows).withColumn("version", F.lit(version)).write.parquet(f"{path}/nodes")
+    links.links(rows).withColumn("version", F.lit(version)).write.parquet(f"{path}/links")
     return version
 
 
 def load(spark: SparkSession, path: str) -> DataFrame:
     """The patterns; fails if the artefact was written half."""
     rows = spark.read.parquet(f"{path}/patterns")
-    versions = {r["version"] for r in rows.select("version").distinct().collect()}
-    nodes = {r["version"] for r in spark.read.parquet(f"{path}/nodes").select("version").distinct().collect()}
-    if versions != nodes or len(versions) > 1:
-        raise ValueError(f"the artefact's parts are of versions {versions} and {nodes}")
+    found = {part: {r["version"] for r in spark.read.parquet(f"{path}/{part}").select("version").distinct().collect()} for part in ("patterns", "nodes", "links")}
+    if len(set().union(*found.values())) > 1:
+        raise ValueError(f"the artefact's parts are of versions {found}")
     return rows.drop("version")
+
+
+def load_links(spark: SparkSession, path: str) -> DataFrame:
+    """node, simple_link, group_link, report_ix as they were written: what a plan over the trie joins, without building an automaton."""
+    return spark.read.parquet(f"{path}/links").drop("version")

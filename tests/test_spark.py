@@ -202,6 +202,18 @@ def test_links_by_joins_equal_the_automaton_s(spark):
     assert {(r["node"], r["report_ix"]) for r in found.collect()} == {(r["node"], r["report_ix"]) for r in want.collect()}
 
 
+def test_artefacts_hold_their_links(spark, tmp_path):
+    for k, patterns in enumerate((D.SIX, [(1, "aa")], D.SIX[:3])):
+        version = artefact.save(spark, patterns, str(tmp_path / f"a{k}"))
+        assert version == artefact.version_of(patterns)
+        assert sorted(match.pattern_list(artefact.load(spark, str(tmp_path / f"a{k}")))) == sorted(match.pattern_list(patterns))
+    assert rows(artefact.load_links(spark, str(tmp_path / "a0"))) == rows(cost.links(spark, D.SIX))
+    (tmp_path / "a2" / "links").rename(tmp_path / "gone")
+    (tmp_path / "a0" / "links").rename(tmp_path / "a2" / "links")
+    with pytest.raises(ValueError, match="versions"):
+        artefact.load(spark, str(tmp_path / "a2"))
+
+
 def test_leftmost_longest(spark, small):
     found = workloads.hits(spark, small, "events")
     want = []
