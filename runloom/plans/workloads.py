@@ -366,6 +366,13 @@ def trie_sizes_six(spark, d):
     return spark.createDataFrame([("SIX", found["compact"], found["run_trie"], found["groups"])], "dictionary string, compact long, run_trie long, groups long")
 
 
+@query(f"WITH {O.hits_ctes('quantity', D.QUANTITY)}, found AS (SELECT seq_id, count(*) AS occ FROM hits GROUP BY 1) SELECT seq_id, variant, CAST(length(s) AS BIGINT) AS n, CAST(length(regexp_replace(regexp_replace(s, 'L+', 'L', 'g'), 'H+', 'H', 'g')) AS BIGINT) AS n_runs, CAST(coalesce(occ, 0) AS BIGINT) AS occ FROM seqs LEFT JOIN found USING (seq_id), (VALUES ('grouped'), ('simple')) AS v(variant)")
+def counters_totals_quantity(spark, d):
+    """Sizes and occurrences that the counters of both variants report."""
+    parts = [cost.counters(quantity(spark, d), D.QUANTITY, v).select("seq_id", F.lit(v).alias("variant"), "n", "n_runs", "occ") for v in ("grouped", "simple")]
+    return parts[0].unionByName(parts[1])
+
+
 @query()
 def counters_quantity(spark, d):
     """Operation counts of both variants on the quantity runs."""
